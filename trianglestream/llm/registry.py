@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from .bpe import op5_byte_bpe
 from .exact_dedup import OP2_SQL, op2_exact_dedup
+from .sharding import op8_sharding
 
-QUERIES = [op2_exact_dedup]
+QUERIES = [op2_exact_dedup, op5_byte_bpe, op8_sharding]
 ORACLES = {"op2_exact_dedup": OP2_SQL}
 
 
