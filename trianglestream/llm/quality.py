@@ -95,8 +95,13 @@ def train_ftrl(texts: list[str], labels: np.ndarray, passes: int = 3, alpha: flo
     z_bias = n_bias = 0.0
     if not len(texts):
         return QualityModel(np.zeros(1 << BITS, np.float32), 0.0)
-    rows, slots, values = hashed_features(texts, {})
-    cuts = np.searchsorted(rows, np.arange(len(texts) + 1))
+    parts, cuts, known = [], [0], {}
+    for a in range(0, len(texts), 200):  # small pieces, as the driver holds only slots and values
+        rows, own, value = hashed_features(texts[a : a + 200], known)
+        parts.append((own.astype(np.int32), value.astype(np.float32)))
+        cuts += (cuts[-1] + np.cumsum(np.bincount(rows, minlength=len(texts[a : a + 200])))).tolist()
+    slots, values = (np.concatenate(c) for c in zip(*parts))
+    known.clear()
     share = labels.mean()
     weight_of = {1: min(1.0, (1 - share) / share) if share else 1.0, 0: min(1.0, share / (1 - share)) if share < 1 else 1.0}
     rng = np.random.default_rng(seed)
@@ -122,8 +127,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn, most_
     rows = labels.select(F.col("doc_id").cast("bigint").alias("key"), F.col(label).cast("int").alias("label")).where(F.col("label").isin(0, 1) & learn(F.col("key")))
     drawn = rows.withColumn("u", unit_hash("key", seed=seed)).orderBy("u", "key", "label").limit(most_rows)
     texts = docs.select(F.col("doc_id").cast("bigint").alias("key"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    got = texts.join(F.broadcast(drawn), "key").orderBy("u", "key", "label").limit(most_rows).select("text", "label").toPandas()
-    return got["text"].tolist(), got["label"].to_numpy(np.float64)
+    got = texts.join(F.broadcast(drawn), "key").orderBy("u", "key", "label").limit(most_rows).select("text", "label").toArrow()
+    return got["text"].to_pylist(), got["label"].to_numpy().astype(np.float64)
 
 
 def score_kernel(shared):
@@ -145,7 +150,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(score_kernel(shared), schema).withColumnRenamed("id", id_col)
 
 
-def op4_quality(spark, sf_dir: str, most_rows: int = 6000) -> DataFrame:
+def op4_quality(spark, sf_dir: str, most_rows: int = 4000) -> DataFrame:
     docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
 
     def fold(key):
