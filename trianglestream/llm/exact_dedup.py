@@ -114,16 +114,20 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns; one row for each text."""
-    kept = exact_groups(docs, id_col, text_col).where("kept")
-    key, norm = working_name(docs, "_kept_id"), working_name(docs, "_copy")
-    kept = kept.select(F.col(id_col).alias(key))
-    stay = docs.join(kept, docs[id_col].eqNullSafe(kept[key]), "left_semi")
-    # Only an identifier that occurs again needs this: its rows may hold the dropped text too.
-    many = stay.groupBy(id_col).count().where("count > 1")
-    if many.isEmpty():
-        return stay
-    order = Window.partitionBy(F.col(id_col), sha256(normalise(F.col(text_col)))).orderBy(F.lit(1))
-    return stay.withColumn(norm, F.row_number().over(order)).where(F.col(norm) == 1).drop(norm)
+    key, norm = working_name(docs, "_copy_id"), working_name(docs, "_copy")
+    groups = exact_groups(docs, id_col, text_col).select(F.col(id_col).alias(key), "digest", "kept")
+    again = groups.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > 1)
+    if again.isEmpty():
+        # Most documents stay: the dropped identifiers are the small side.
+        gone = groups.where(~F.col("kept")).select(key)
+        return docs.join(gone, docs[id_col].eqNullSafe(gone[key]), "left_anti")
+    # An identifier that occurs again tells rows apart only together with its text.
+    rows = docs.withColumn(norm, sha256(normalise(F.col(text_col))))
+    kept = groups.where("kept").select(key, F.col("digest").alias("kept_digest")).distinct()
+    stay = rows.join(kept, rows[id_col].eqNullSafe(kept[key]) & (rows[norm] == kept["kept_digest"]), "left_semi")
+    order = Window.partitionBy(F.col(id_col), F.col(norm)).orderBy(F.lit(1))
+    nth = working_name(stay, "_nth")
+    return stay.withColumn(nth, F.row_number().over(order)).where(F.col(nth) == 1).drop(nth, norm)
 
 
 def op2_exact_dedup(spark, sf_dir: str) -> DataFrame:

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .bpe import op5_byte_bpe
 from .exact_dedup import OP2_SQL, op2_exact_dedup
+from .mixing import OP1_SQL, op1_mixing
 from .near_dedup import op7_near_dedup
 from .neighbours import op9_nearest
 from .quality import op4_quality
@@ -12,8 +13,8 @@ from .sharding import op8_sharding
 from .substring import op6_substring_dedup
 from .toxicity import op3_toxicity
 
-QUERIES = [op2_exact_dedup, op3_toxicity, op4_quality, op5_byte_bpe, op6_substring_dedup, op7_near_dedup, op8_sharding, op9_nearest, op10_secret_scan]
-ORACLES = {"op2_exact_dedup": OP2_SQL}
+QUERIES = [op1_mixing, op2_exact_dedup, op3_toxicity, op4_quality, op5_byte_bpe, op6_substring_dedup, op7_near_dedup, op8_sharding, op9_nearest, op10_secret_scan]
+ORACLES = {"op1_mixing": OP1_SQL, "op2_exact_dedup": OP2_SQL}
 
 
 def queries():

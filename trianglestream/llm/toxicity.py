@@ -51,7 +51,7 @@ def word_inputs(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     count = np.maximum(size - 2, 1)
     grams = np.where(np.arange(width - 2)[None, :] < count[:, None], grams, GRAM_SLOTS).astype(np.int64)
     slots = np.fromiter((zlib.crc32(r) & (WORD_SLOTS - 1) for r in raw), np.int64, n)
-    return slots, grams, count
+    return slots, grams.astype(np.uint16), count
 
 
 def windows_of(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -87,6 +87,8 @@ class ToxicityModel:
         return ToxicityModel(p)
 
     def embed(self, slots, grams, count) -> np.ndarray:
+        if len(slots) > 4096:  # the trigrams of many words at once would not fit a worker
+            return np.concatenate([self.embed(slots[a : a + 4096], grams[a : a + 4096], count[a : a + 4096]) for a in range(0, len(slots), 4096)])
         chars = self.p["gram"][grams].sum(1) / np.sqrt(count)[:, None].astype(np.float32)
         return np.concatenate([self.p["word"][slots], chars], 1)
 
@@ -192,17 +194,15 @@ class ToxicityModel:
 def starting_windows(ids: np.ndarray, doc: np.ndarray, at: np.ndarray, labels: np.ndarray, vocabulary: int) -> np.ndarray:
     """How much each window's words speak for its document's label, from document counts of words."""
     seen = [np.zeros(vocabulary + 1), np.zeros(vocabulary + 1)]
-    window_words = ids[at]
-    flat_doc, flat_word = np.repeat(doc, WINDOW), window_words.ravel()
-    pairs = np.unique(flat_doc[flat_word >= 0].astype(np.int64) * (vocabulary + 1) + flat_word[flat_word >= 0])
-    for label in (0, 1):
-        own = pairs[labels[pairs // (vocabulary + 1)] == label] % (vocabulary + 1)
-        seen[label] += np.bincount(own, minlength=vocabulary + 1)
+    firsts = np.concatenate([np.flatnonzero(np.diff(doc, prepend=-1)), [len(doc)]])
+    for a, b in zip(firsts, firsts[1:]):
+        words = np.unique(ids[at[a:b]])
+        seen[int(labels[doc[a]])][words[words >= 0]] += 1
     n0, n1 = max(1, (labels == 0).sum()), max(1, (labels == 1).sum())
     odds = np.log((seen[1] + 0.5) / n1) - np.log((seen[0] + 0.5) / n0)
     odds[(seen[1] < 3) | (odds < 1)] = 0
     odds[-1] = 0
-    return odds[window_words].sum(1)
+    return np.concatenate([odds[ids[at[a : a + 4096]]].sum(1) for a in range(0, len(at), 4096)])
 
 
 def train(texts: list[str], labels: np.ndarray, seed: int = 11, epochs: tuple[int, ...] = (4, 3, 2)) -> ToxicityModel:
@@ -214,9 +214,12 @@ def train(texts: list[str], labels: np.ndarray, seed: int = 11, epochs: tuple[in
     lists = [words_of(x) for x in texts]
     sizes = np.array([len(x) for x in lists], np.int64)
     names = {w: i for i, w in enumerate(dict.fromkeys(w for x in lists for w in x))}
-    ids = np.array([names[w] for x in lists for w in x] + [-1], np.int64)
+    ids = np.fromiter((names[w] for x in lists for w in x), np.int32, int(sizes.sum()))
+    ids = np.append(ids, np.int32(-1))
     slots, grams, count = word_inputs(list(names))
     doc, at = windows_of(sizes)
+    at = at.astype(np.int32)
+    del lists
     rank = starting_windows(ids, doc, at, labels, len(names))
     moments = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in model.p.items()}
     step = 0
@@ -301,7 +304,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id"
     return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(score_kernel(shared), schema).withColumnRenamed("id", id_col)
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, learn, most_toxic: int = 1200, most_clean: int = 2400) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, learn, most_toxic: int = 1000, most_clean: int = 1600) -> ToxicityModel:
     return train(*toxic_sample(docs, labels, learn, most_toxic, most_clean))
 
 
@@ -314,3 +317,25 @@ def op3_toxicity(spark, sf_dir: str) -> DataFrame:
     model = fit_toxicity(docs, labels, lambda key: ~fold(key))
     scored = score_toxicity(docs, model)
     return scored.select("doc_id", F.coalesce(fold(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, id_col: str = "doc_id", text_col: str = "text", **bounds) -> DataFrame:
+    """The rows of ``docs`` that score under ``threshold``, with all their columns.
+
+    Scores stand beside their rows in one pass, so repeated or null identifiers need no join.
+    """
+    model = fit_toxicity(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), labels, lambda key: F.lit(True), **bounds)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    names, at = docs.columns, docs.columns.index(text_col)
+    packed = docs.toDF(*[f"c{i}" for i in range(len(names))]).withColumn(f"c{at}", F.col(f"c{at}").cast("string"))
+
+    def run(batches):
+        for batch in batches:
+            start = 0
+            for end in cut_points(batch.column(at), 3_000_000):
+                part = batch.slice(start, end - start)
+                start = end
+                clean = shared.value.scores([x or "" for x in part.column(at).to_pylist()]) < threshold
+                yield part.filter(pa.array(clean))
+
+    return packed.mapInArrow(run, packed.schema).toDF(*names)
