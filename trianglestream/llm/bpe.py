@@ -17,13 +17,14 @@ from __future__ import annotations
 
 import base64
 import heapq
+import uuid
 import zlib
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize
+from .common import documents, new_path
 
 #: White space as the Unicode property has it; fixed values.
 WHITE_SPACE = "\\t\\n\\x0b\\x0c\\r\\x20\\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
@@ -96,23 +97,46 @@ def encode_word(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return merge_short(piece, ranks) if len(piece) <= 64 else merge_long(piece, ranks)
 
 
+def squeeze(data: bytes) -> bytes:
+    return len(data).to_bytes(8, "little") + pa.Codec("zstd", compression_level=6).compress(data, asbytes=True)
+
+
+def expand(data: bytes) -> bytes:
+    return pa.Codec("zstd").decompress(data[8:], decompressed_size=int.from_bytes(data[:8], "little"), asbytes=True)
+
+
 def pack_numbers(values: np.ndarray) -> bytes:
     """Byte planes of unsigned numbers, then zstd."""
     planes = np.ascontiguousarray(values.astype("<u4").view(np.uint8).reshape(-1, 4).T)
-    return len(values).to_bytes(8, "little") + pa.Codec("zstd").compress(planes.tobytes(), asbytes=True)
+    return squeeze(planes.tobytes())
 
 
 def unpack_numbers(data: bytes) -> np.ndarray:
-    n = int.from_bytes(data[:8], "little")
-    planes = np.frombuffer(pa.Codec("zstd").decompress(data[8:], decompressed_size=4 * n, asbytes=True), np.uint8)
-    return np.ascontiguousarray(planes.reshape(4, n).T).view("<u4").ravel().astype(np.int64)
+    planes = np.frombuffer(expand(data), np.uint8)
+    return np.ascontiguousarray(planes.reshape(4, -1).T).view("<u4").ravel().astype(np.int64)
+
+
+def pack_words(words: list[bytes]) -> tuple[bytes, bytes]:
+    return squeeze(b"".join(words)), pack_numbers(np.fromiter(map(len, words), np.int64, len(words)))
+
+
+def unpack_words(data: bytes, lengths: bytes) -> list[bytes]:
+    text, ends = expand(data), np.cumsum(unpack_numbers(lengths)).tolist()
+    return [text[a:b] for a, b in zip([0, *ends], ends)]
 
 
 BLOCK_SCHEMA = T.StructType([
-    T.StructField("block", T.LongType()), T.StructField("pack", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType())),
-    T.StructField("docs", T.ArrayType(T.LongType())), T.StructField("data", T.BinaryType()), T.StructField("ends", T.BinaryType()),
+    T.StructField("block", T.LongType()), T.StructField("pack", T.IntegerType()), T.StructField("docs", T.ArrayType(T.LongType())),
+    T.StructField("data", T.BinaryType()), T.StructField("ends", T.BinaryType()), T.StructField("packs", T.BinaryType()),
 ])
-ARROW_BLOCK = pa.schema([("block", pa.int64()), ("pack", pa.int32()), ("words", pa.list_(pa.string())), ("docs", pa.list_(pa.int64())), ("data", pa.binary()), ("ends", pa.binary())])
+ARROW_BLOCK = pa.schema([("block", pa.int64()), ("pack", pa.int32()), ("docs", pa.list_(pa.int64())), ("data", pa.binary()), ("ends", pa.binary()), ("packs", pa.binary())])
+
+
+def bucketed(df: DataFrame, buckets: int) -> DataFrame:
+    """Write ``df`` as a table bucketed by block and read it back: bodies, the bulk, then need no further shuffle."""
+    spark, name = df.sparkSession, f"blocks_{uuid.uuid4().hex}"
+    df.write.option("path", new_path(spark, "blocks")).option("compression", "zstd").bucketBy(buckets, "block").saveAsTable(name)
+    return spark.table(name)
 
 
 def split_kernel(pattern: str, packs: int, block_chars: int):
@@ -129,14 +153,15 @@ def split_kernel(pattern: str, packs: int, block_chars: int):
         def flush():
             tokens = pa.chunked_array(parts, pa.string()).combine_chunks() if parts else pa.array([], pa.string())
             coded = tokens.dictionary_encode()
-            words = coded.dictionary.to_pylist()
-            pack_of = np.array([zlib.crc32(w.encode()) % packs for w in words], np.int64)
+            words = [w.encode() for w in coded.dictionary.to_pylist()]
             index = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
-            often = np.bincount(index, minlength=len(words))
-            # Words lie pack by pack, frequent ones first, so that small numbers are common.
-            order = np.lexsort((-often, pack_of))
-            place = np.empty(len(words), np.int64)
-            place[order] = np.arange(len(words))
+            often = np.bincount(index, minlength=len(words)).tolist()
+            # Numbers follow frequency, so that small ones are common; equals lie in order of their letters.
+            order = np.array(sorted(range(len(words)), key=lambda i: (-often[i], words[i])), np.int64)
+            rank = np.empty(len(words), np.int64)
+            rank[order] = np.arange(len(words))
+            pack_of = np.array([zlib.crc32(words[i]) % packs for i in order], np.int64)
+            by_pack = np.argsort(pack_of, kind="stable")
             block = (partition << 32) | made
             rows = {k: [] for k in ARROW_BLOCK.names}
 
@@ -144,11 +169,12 @@ def split_kernel(pattern: str, packs: int, block_chars: int):
                 for k in rows:
                     rows[k].append(row.get(k))
 
-            sorted_pack = pack_of[order]
+            sorted_pack = pack_of[by_pack]
             cuts = [0, *(np.flatnonzero(np.diff(sorted_pack)) + 1).tolist(), len(words)] if words else [0]
             for a, b in zip(cuts, cuts[1:]):
-                add(block=block, pack=int(sorted_pack[a]), words=[words[i] for i in order[a:b]])
-            add(block=block, pack=BODY, docs=list(ids), data=pack_numbers(place[index]), ends=pack_numbers(np.array(ends, np.int64)))
+                data, lengths = pack_words([words[i] for i in order[by_pack[a:b]]])
+                add(block=block, pack=int(sorted_pack[a]), data=data, ends=lengths)
+            add(block=block, pack=BODY, docs=list(ids), data=pack_numbers(rank[index]), ends=pack_numbers(np.array(ends, np.int64)), packs=pack_numbers(pack_of))
             return pa.RecordBatch.from_pydict(rows, schema=ARROW_BLOCK)
 
         for batch in batches:
@@ -176,20 +202,21 @@ def encode_kernel(shared_ranks):
         ranks = shared_ranks.value
         known, current = {}, None
         for batch in batches:
-            rows = {k: [] for k in ARROW_BLOCK.names}
-            for block, pack, words in zip(batch.column("block").to_pylist(), batch.column("pack").to_pylist(), batch.column("words").to_pylist()):
+            rows = {k: [] for k in ("block", "pack", "data", "ends")}
+            for block, pack, data, lengths in zip(*[batch.column(c).to_pylist() for c in ("block", "pack", "data", "ends")]):
                 if pack != current:
                     known, current = {}, pack
-                ids, lengths = [], []
-                for word in words:
+                ids, sizes = [], []
+                for word in unpack_words(data, lengths):
                     got = known.get(word)
                     if got is None:
-                        got = known[word] = encode_word(word.encode(), ranks)
+                        got = known[word] = encode_word(word, ranks)
                     ids += got
-                    lengths.append(len(got))
-                for k, v in (("block", block), ("pack", pack), ("words", None), ("docs", None), ("data", pack_numbers(np.array(ids, np.int64))), ("ends", pack_numbers(np.array(lengths, np.int64)))):
-                    rows[k].append(v)
-            yield pa.RecordBatch.from_pydict(rows, schema=ARROW_BLOCK)
+                    sizes.append(len(got))
+                made = {"block": block, "pack": pack, "data": pack_numbers(np.array(ids, np.int64)), "ends": pack_numbers(np.array(sizes, np.int64))}
+                for k in rows:
+                    rows[k].append(made[k])
+            yield pa.RecordBatch.from_pydict(rows, schema=pa.schema([ARROW_BLOCK.field(k) for k in rows]))
 
     return run
 
@@ -201,29 +228,26 @@ def gather_runs(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 
 
 def assemble_kernel(batches):
-    """Blocks sorted by pack, body last: put each document's ids in order."""
-    ids, lengths = [], []
-    for batch in batches:
-        for row in batch.select(["pack", "docs", "data", "ends"]).to_pylist():
-            if row["pack"] != BODY:
-                ids.append(unpack_numbers(row["data"]))
-                lengths.append(unpack_numbers(row["ends"]))
-                continue
-            flat = np.concatenate(ids) if ids else np.zeros(0, np.int64)
-            size = np.concatenate(lengths) if lengths else np.zeros(0, np.int64)
-            start = np.cumsum(size) - size
-            tokens, ends = unpack_numbers(row["data"]), unpack_numbers(row["ends"])
-            begin = 0
-            for at in range(0, len(row["docs"]), 256):
-                part = ends[at : at + 256]
-                own = tokens[begin : part[-1]]
-                stream = flat[gather_runs(start[own], size[own])].astype(np.int32)
-                total = np.concatenate([[0], np.cumsum(size[own])])
-                cuts = np.concatenate([[0], total[part - begin]]).astype(np.int32)
-                begin = int(part[-1])
-                lists = pa.ListArray.from_arrays(pa.array(cuts), pa.array(stream))
-                yield pa.RecordBatch.from_arrays([pa.array(row["docs"][at : at + 256], pa.int64()), lists], ["id", "ids"])
-            ids, lengths = [], []
+    """Block bodies with their coded packs: put each document's ids in order."""
+    for batch in (b.slice(at, 1) for b in batches for at in range(len(b))):
+        row = batch.to_pylist()[0]
+        coded = sorted(row["coded"] or [], key=lambda c: c["pack"])
+        flat = np.concatenate([unpack_numbers(c["data"]) for c in coded]) if coded else np.zeros(0, np.int64)
+        by_pack = np.concatenate([unpack_numbers(c["ends"]) for c in coded]) if coded else np.zeros(0, np.int64)
+        place = np.argsort(unpack_numbers(row["packs"]), kind="stable")
+        size, start = np.empty_like(by_pack), np.empty_like(by_pack)
+        size[place], start[place] = by_pack, np.cumsum(by_pack) - by_pack
+        tokens, ends = unpack_numbers(row["data"]), unpack_numbers(row["ends"])
+        begin = 0
+        for at in range(0, len(row["docs"]), 256):
+            part = ends[at : at + 256]
+            own = tokens[begin : part[-1]]
+            stream = flat[gather_runs(start[own], size[own])].astype(np.int32)
+            total = np.concatenate([[0], np.cumsum(size[own])])
+            cuts = np.concatenate([[0], total[part - begin]]).astype(np.int32)
+            begin = int(part[-1])
+            lists = pa.ListArray.from_arrays(pa.array(cuts), pa.array(stream))
+            yield pa.RecordBatch.from_arrays([pa.array(row["docs"][at : at + 256], pa.int64()), lists], ["id", "ids"])
 
 
 def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", packs: int | None = None, block_chars: int = 8_000_000) -> DataFrame:
@@ -232,10 +256,12 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
     shared = spark.sparkContext.broadcast(load_ranks(path))
     packs = packs or max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     rows = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
-    blocks = materialize(rows.mapInArrow(split_kernel(explicit_spaces(pattern), packs, block_chars), BLOCK_SCHEMA), "blocks", compression="zstd")
-    words = blocks.where(F.col("pack") != BODY).repartition("pack").sortWithinPartitions("pack")
-    coded = words.mapInArrow(encode_kernel(shared), BLOCK_SCHEMA)
-    together = coded.unionByName(blocks.where(F.col("pack") == BODY)).repartition("block").sortWithinPartitions("block", "pack")
+    blocks = bucketed(rows.mapInArrow(split_kernel(explicit_spaces(pattern), packs, block_chars), BLOCK_SCHEMA), packs)
+    words = blocks.where(F.col("pack") != BODY).select("block", "pack", "data", "ends").repartition("pack").sortWithinPartitions("pack")
+    coded = words.mapInArrow(encode_kernel(shared), "block bigint, pack int, data binary, ends binary")
+    by_block = coded.repartition(packs, "block").groupBy("block").agg(F.collect_list(F.struct("pack", "data", "ends")).alias("coded"))
+    bodies = blocks.where(F.col("pack") == BODY).select("block", "docs", "data", "ends", "packs")
+    together = bodies.join(by_block.hint("shuffle_hash"), "block", "left")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
     return together.mapInArrow(assemble_kernel, schema).withColumnRenamed("id", id_col)
 
@@ -245,7 +271,7 @@ def decode_kernel(shared_table):
 
     def run(batches):
         table = shared_table.value
-        for batch in batches:
+        for batch in (b.slice(at, 512) for b in batches for at in range(0, len(b), 512)):
             lists = batch.column("ids")
             ends = lists.offsets.to_numpy()
             tokens = table.take(lists.values.slice(ends[0], ends[-1] - ends[0]).cast(pa.int32()))
