@@ -62,3 +62,29 @@ def working_name(df: DataFrame, base: str) -> str:
     while name.lower() in taken:
         name = f"_{name}"
     return name
+
+
+def only_listed(rows: DataFrame, listed: DataFrame, bits: int = 1 << 23) -> DataFrame:
+    """``rows`` whose id may be in ``listed`` (id): a bitmap of ``bits`` bits, whatever the input, drops most others.
+
+    False positives stay, so a join must follow; it then moves few rows besides those it needs.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    place = F.pmod(F.xxhash64("id"), F.lit(bits))
+    pages = listed.select(place.alias("p")).groupBy(F.floor(F.col("p") / 32768).alias("page")).agg(F.bitmap_construct_agg(F.col("p") % 32768).alias("part"))
+    bitmap = np.zeros(bits // 8, np.uint8)
+    for row in pages.collect():  # at most bits / 8 bytes
+        bitmap[row["page"] * 4096 : (row["page"] + 1) * 4096] = np.frombuffer(bytes(row["part"]), np.uint8)
+    shared = rows.sparkSession.sparkContext.broadcast(bitmap)
+    spot = working_name(rows, "_spot")
+    marked = rows.withColumn(spot, place)
+    at = len(rows.columns)
+
+    def run(batches):
+        for batch in batches:
+            p = batch.column(at).to_numpy()
+            yield batch.filter(pa.array((shared.value[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1))
+
+    return marked.mapInArrow(run, marked.schema).drop(spot)

@@ -26,7 +26,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize, working_name
+from .common import documents, materialize, only_listed, working_name
 from .substring import chunked_words, gram_hashes, mix, word_hashes
 
 SHINGLE, THRESHOLD, BANDS, ROWS, DF_BITS = 5, 0.8, 12, 3, 18
@@ -124,7 +124,7 @@ def signature_kernel(shared, bands: int, rows: int):
     def run(batches):
         idf = shared.value
         for batch in batches:
-            for ids, data, begin, stop, first in chunked_words(batch, 2_000_000):
+            for ids, data, begin, stop, first in chunked_words(batch):
                 words = word_hashes(data, begin, stop)
                 shingles, weights, starts, own, nodes, n = [], [], [], [], [], 0
                 for doc, a, b in zip(ids.to_pylist(), first, first[1:]):
@@ -235,11 +235,11 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BAN
     shared = spark.sparkContext.broadcast(inverse_frequencies(texts))
     signed = materialize(texts.mapInArrow(signature_kernel(shared, bands, rows), "id bigint, node binary, bands array<bigint>"), "signatures", compression="zstd")
     nodes = materialize(signed.groupBy("node").agg(F.min("id").alias("id"), F.first("bands").alias("bands")), "nodes", compression="zstd")
-    keyed = nodes.select("id", F.explode("bands").alias("key")).distinct()
+    keyed = nodes.select("id", F.explode("bands").alias("key"))
     sizes = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("least")).where("size > 1")
     buckets = materialize(keyed.join(sizes, "key"), "buckets")
     needed = buckets.select("id").distinct()
-    held = materialize(texts.join(needed, "id"), "texts", compression="zstd")
+    held = materialize(only_listed(texts, needed).join(needed, "id"), "texts", compression="zstd")
     tried = materialize(first_pairs(buckets), "pairs")
     links = materialize(verified(tried, held, shared, threshold), "edges")
     labels = components(links)
