@@ -2,14 +2,211 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
+from ..operators import analysis, baselines, exact, metrics
+from ..operators.aggregate import lazy_updates, updates
+from ..functions.hashing import coin_sql
+from ..operators.counting import placed_triangles
+from ..operators.mapping import adaptive_map
+from ..operators.sampling import assign, messages, rank_in_worker, reservoir
+from ..sources.graphs import GRAPHS, stream, stream_sql
+from . import oracles as sql
+from .experiments import WORKLOADS
+from .relational import RELATIONAL
+from .estimators import estimate_broadcast, estimate_routed, estimate_single
+
+QUERIES, ORACLES = {}, {}
+#: Oracle runs: workers, budget by graph, seed.
+K, SEED = 7, 7
+BUDGET = {"copurchase": 2000, "coactivity": 400, "neardup": 150, "nation_trade": 40, "tripartite": 3000, "bipartite": 1000, "hostlinks": 60, "hreflinks": 60, "consecutive": 400, "knn": 200, "cosupply": 300}
+
+
+def add(name, run, oracle=None):
+    QUERIES[name] = run
+    if oracle is not None:
+        ORACLES[name] = oracle
+
+
+def edges_and_truth():
+    for g in GRAPHS:
+        for order in ("random", "arrival") if g in ("copurchase", "coactivity") else ("random",):
+            add(f"edges_{g}" + ("" if order == "random" else "_arrival"), lambda spark, d, g=g, o=order: stream(spark, d, g, o), stream_sql(g, order))
+    for g in ("copurchase", "coactivity", "nation_trade", "neardup", "hostlinks", "bipartite", "tripartite"):
+        add(f"exact_global_{g}", lambda spark, d, g=g: exact.exact_global(stream(spark, d, g)), sql.chain(sql.triangle_parts(g), "SELECT count(*) AS n FROM tri"))
+        add(f"exact_local_{g}", lambda spark, d, g=g: exact.exact_local(stream(spark, d, g)), sql.chain(sql.triangle_parts(g), "SELECT node, count(*) AS n FROM (SELECT unnest([u, v, apex]) AS node FROM tri) GROUP BY node"))
+    add("exact_bruteforce_coactivity", lambda spark, d: exact.exact_bruteforce(stream(spark, d, "coactivity")), sql.chain(sql.triangle_parts("coactivity"), "SELECT count(*) AS n FROM tri"))
+    add("triangles_coactivity", lambda spark, d: exact.triangles(stream(spark, d, "coactivity")), sql.chain(sql.triangle_parts("coactivity"), "SELECT * FROM tri"))
+
+
+def with_bigint(df):
+    """num as BIGINT, which DuckDB shares."""
+    return df.withColumn("num", F.col("num").cast("bigint"))
+
+
+def routed():
+    for mapping in ("modulo", "random"):
+        for g in ("copurchase", "coactivity", "neardup", "bipartite", "tripartite"):
+            b = BUDGET[g]
+            run = lambda spark, d, g=g, m=mapping, b=b, n=1, **o: estimate_routed(stream(spark, d, g), K, b, m, seed=SEED, trials=n, **o)
+            parts = sql.estimate_parts(g, K, b, mapping, SEED, 1)
+            add(f"routed_{mapping}_global_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, strategy="wedge").global_df), sql.global_sql(parts, b, 1, 1))
+            add(f"routed_{mapping}_local_{g}", lambda spark, d, run=run: run(spark, d, strategy="wedge").local_df, sql.local_sql(parts, b, 1))
+        g, b = "coactivity", BUDGET["coactivity"]
+        run = lambda spark, d, m=mapping, **o: estimate_routed(stream(spark, d, "coactivity"), K, BUDGET["coactivity"], m, seed=SEED, **o)
+        times = [500, 1000, 2000, 4000, 6000]
+        parts, many = sql.estimate_parts(g, K, b, mapping, SEED, 1), sql.estimate_parts(g, K, b, mapping, SEED, 5)
+        add(f"routed_{mapping}_snapshots_{g}", lambda spark, d, run=run: with_bigint(run(spark, d).snapshots(times)), sql.snapshot_sql(parts, b, 1, times))
+        add(f"routed_{mapping}_trials_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, trials=5, strategy="triangle").global_df), sql.global_sql(many, b, 1, 5))
+        add(f"routed_{mapping}_eager_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, aggregation="eager", aggregators=4).global_df), sql.global_sql(parts, b, 1, 1))
+        add(f"closures_{mapping}_{g}", lambda spark, d, run=run: run(spark, d, strategy="wedge").weighed.select("trial", "worker", "u", "v", "apex", "t", "load_before"), sql.chain(parts, "SELECT trial, worker, u, v, apex, t, load_before FROM l"))
+        add(f"updates_eager_{mapping}_{g}", lambda spark, d, run=run: updates(run(spark, d).weighed).groupBy("worker").count().select("worker", F.col("count").alias("updates")), sql.chain(parts, "SELECT worker, count(*) AS updates FROM k GROUP BY worker"))
+        add(f"updates_lazy_{mapping}_{g}", lambda spark, d, run=run: with_bigint(lazy_updates(run(spark, d).weighed)).na.fill(-1, ["node"]), sql.chain(parts, "SELECT trial, worker, coalesce(node, -1) AS node, CAST(sum(hit) AS BIGINT) AS hits, CAST(sum(num) AS BIGINT) AS num FROM k GROUP BY ALL"))
+    for g in ("copurchase", "coactivity"):
+        base = sql.stream_parts(g) + sql.assigned_parts(K, "modulo")
+        add(f"assigned_{g}", lambda spark, d, g=g: rank_in_worker(assign(stream(spark, d, g), "modulo", K)), sql.chain(base, "SELECT worker, t, u, v, rank FROM a"))
+        add(f"loads_{g}", lambda spark, d, g=g: assign(stream(spark, d, g), "modulo", K).groupBy("worker").agg(F.count(F.lit(1)).alias("load")), sql.chain(base, "SELECT worker, count(*) AS load FROM a GROUP BY worker"))
+        add(f"residency_{g}", lambda spark, d, g=g: reservoir(rank_in_worker(assign(stream(spark, d, g), "modulo", K)), BUDGET[g], SEED, 2).na.fill(-1, ["t_out"]), sql.chain(base + sql.residency_parts(BUDGET[g], SEED, 2), "SELECT * REPLACE (coalesce(t_out, -1) AS t_out) FROM r"))
+    add("messages_coactivity", lambda spark, d: messages(stream(spark, d, "coactivity"), "modulo", K), sql.chain(sql.stream_parts("coactivity") + sql.assigned_parts(K, "modulo"), f"SELECT w.worker, t, u, v, w.worker = fu OR w.worker = fv AS assigned FROM ew, (SELECT CAST(range AS INTEGER) AS worker FROM range({K})) w WHERE fu <> fv OR w.worker = fu"))
+    custom = lambda c: F.pmod(F.floor(c / 3), F.lit(K)).cast("int")
+    own = [(n, b.replace(f"CAST(u % {K} AS INTEGER)", f"CAST((u // 3) % {K} AS INTEGER)").replace(f"CAST(v % {K} AS INTEGER)", f"CAST((v // 3) % {K} AS INTEGER)")) for n, b in sql.estimate_parts("tripartite", K, BUDGET["tripartite"], "modulo", SEED, 1)]
+    add("routed_custom_global_tripartite", lambda spark, d: with_bigint(estimate_routed(stream(spark, d, "tripartite"), K, BUDGET["tripartite"], custom, seed=SEED, strategy="wedge").global_df), sql.global_sql(own, BUDGET["tripartite"], 1, 1))
+
+
+def adaptive():
+    g, k, b, theta = "nation_trade", 4, BUDGET["nation_trade"], 0.2
+    for name, th in (("", 0.2), ("_theta0", 0.0), ("_theta4", 4.0)):
+        add(f"adaptive_map{name}_{g}", lambda spark, d, th=th: adaptive_map(stream(spark, d, g), k, th), sql.chain(sql.stream_parts(g) + sql.adaptive_parts(k, th), "SELECT node, worker FROM nodemap"))
+    parts = sql.stream_parts(g) + sql.adaptive_parts(k, theta) + sql.assigned_parts(k, "", nodemap=True) + sql.residency_parts(b, SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(b)
+    run = lambda spark, d: estimate_routed(stream(spark, d, g), k, b, "adaptive", theta, SEED, strategy="wedge")
+    add(f"routed_adaptive_global_{g}", lambda spark, d: with_bigint(run(spark, d).global_df), sql.global_sql(parts, b, 1, 1))
+    add(f"routed_adaptive_local_{g}", lambda spark, d: run(spark, d).local_df, sql.local_sql(parts, b, 1))
+    for other in ("copurchase", "neardup", "hostlinks"):
+        add(f"routed_adaptive_global_{other}", lambda spark, d, o=other: with_bigint(estimate_routed(stream(spark, d, o), K, BUDGET[o], "adaptive", theta, SEED).global_df))
+        add(f"routed_epoch_global_{other}", lambda spark, d, o=other: with_bigint(estimate_routed(stream(spark, d, o), K, BUDGET[o], "adaptive", theta, SEED, engine="epoch").global_df))
+
+
+def broadcasts():
+    for g in ("copurchase", "coactivity", "neardup"):
+        k, b = 3, BUDGET[g]
+        parts = sql.estimate_parts(g, k, b, None, SEED, 1)
+        run = lambda spark, d, g=g, b=b, k=k: estimate_broadcast(stream(spark, d, g), k, b, SEED)
+        add(f"broadcast_avg_global_{g}", lambda spark, d, run=run: with_bigint(run(spark, d).global_df), sql.global_sql(parts, b, k, 1))
+        add(f"broadcast_avg_local_{g}", lambda spark, d, run=run: run(spark, d).local_df, sql.local_sql(parts, b, k))
+        add(f"single_reservoir_global_{g}", lambda spark, d, g=g, b=b: with_bigint(estimate_single(stream(spark, d, g), b, SEED, 2).global_df), sql.global_sql(sql.estimate_parts(g, 1, b, None, SEED, 2), b, 1, 2))
+
+
+def single_machine():
+    g, e = "coactivity", sql.stream_parts("coactivity")
+    p = 0.125
+    kept = e + [("a", "SELECT 0 AS worker, t, u, v, t AS rank FROM e"), ("r", f"SELECT trial, worker, u, v, rank, t AS slot, t AS t_in, CAST(NULL AS BIGINT) AS t_out FROM a, (SELECT CAST(range AS INTEGER) AS trial FROM range(3)) WHERE {coin_sql(chr(39) + 'c' + chr(39), str(SEED), 'trial', 't')} < {p}")]
+    found = sql.chain(kept + sql.closure_parts(False), f"SELECT trial, coalesce(node, -1) AS node, count(*) AS found, count(*) / {p * p!r} AS est FROM (SELECT trial, unnest([NULL, u, v, apex]) AS node FROM l) GROUP BY ALL")
+    add(f"edge_coin_{g}", lambda spark, d: baselines.edge_coin(stream(spark, d, g), p, SEED, 3).na.fill(-1, ["node"]), found)
+    r = 200
+    one, two = (coin_sql(f"'{c}'", str(SEED), "trial", "i") for c in ("w1", "w2"))
+    parts = e + [
+        ("grid", f"SELECT CAST(range % 2 AS INTEGER) AS trial, range // 2 AS i, CAST(floor({one.replace('trial', 'range % 2').replace('AS VARCHAR', 'AS VARCHAR').replace('CAST(i ', 'CAST(range // 2 ')} * (SELECT max(t) FROM e)) AS BIGINT) + 1 AS t1 FROM range({2 * r})"),
+        ("f", "SELECT trial, i, t1, u AS mine, v AS far FROM grid JOIN e ON t = t1 UNION ALL SELECT trial, i, t1, v, u FROM grid JOIN e ON t = t1"),
+        ("h", "SELECT u AS mine, v AS o, t AS t2 FROM e UNION ALL SELECT v, u, t FROM e"),
+        ("later", "SELECT *, row_number() OVER (PARTITION BY trial, i ORDER BY t2) AS nth, count(*) OVER (PARTITION BY trial, i) AS c FROM f JOIN h USING (mine) WHERE t2 > t1"),
+        ("chosen", f"SELECT * FROM later WHERE nth = CAST(floor({two} * c) AS BIGINT) + 1"),
+        ("picks", "SELECT trial, i, c, coalesce(t > t2, false) AS closed FROM chosen LEFT JOIN e ON least(far, o) = u AND greatest(far, o) = v"),
+    ]
+    add(f"wedge_picks_{g}", lambda spark, d: baselines.wedge_picks(stream(spark, d, g), r, SEED, 2), sql.chain(parts, "SELECT * FROM picks"))
+    add(f"wedge_reservoir_{g}", lambda spark, d: baselines.wedge_reservoir(stream(spark, d, g), r, SEED, 2), sql.chain(parts, f"SELECT trial, sum(CASE WHEN closed THEN c ELSE 0 END) * CAST((SELECT max(t) FROM e) AS DOUBLE) / {float(r)!r} AS est FROM picks GROUP BY trial"))
+    add(f"hold_sampler_{g}", lambda spark, d: baselines.hold_sampler(stream(spark, d, g), 0.1, 0.05, SEED, 3))
+    add(f"hold_sampler_plain_{g}", lambda spark, d: baselines.hold_sampler(stream(spark, d, g), 0.1, 0.05, SEED, 3, sure=False))
+
+
+def properties():
+    g, b = "coactivity", BUDGET["coactivity"]
+    s = lambda spark, d, g=g: stream(spark, d, g)
+    tri = sql.triangle_parts(g)
+    old = "SELECT {k} e, CASE WHEN x = apex THEN y ELSE x END AS leaves, count(*) AS n FROM (SELECT *, unnest([t1, t2]) AS e FROM {src}) q JOIN (SELECT t AS e, u AS x, v AS y FROM e) USING (e) GROUP BY ALL"
+    pairs = "SELECT {k} CAST(coalesce(sum((q - s) / 2), 0) AS BIGINT) AS type1, CAST(coalesce(sum((s * s - q) / 2), 0) AS BIGINT) AS type2 FROM (SELECT {k} e, sum(n) AS s, sum(n * n) AS q FROM {src} GROUP BY ALL) {g}"
+    whole = tri + [("o", old.format(k="", src="tri")), ("pq", pairs.format(k="", src="o", g=""))]
+    add(f"pair_counts_{g}", lambda spark, d: analysis.pair_counts(s(spark, d)), sql.chain(whole, "SELECT * FROM pq"))
+    for m in ("modulo", "random"):
+        placed = sql.placed_parts(g, K, m)
+        by = placed + [("o", old.format(k="worker,", src="p")), ("pq", pairs.format(k="worker,", src="o", g="GROUP BY worker"))]
+        add(f"pair_counts_by_worker_{m}_{g}", lambda spark, d, m=m: analysis.pair_counts_by_worker(s(spark, d), m, K), sql.chain(by, "SELECT * FROM pq"))
+        add(f"counting_worker_{m}_{g}", lambda spark, d, m=m: placed_triangles(s(spark, d), m, K), sql.chain(placed, "SELECT worker, u, v, apex, t, t1, t2 FROM p"))
+        add(f"p1_audit_{m}_{g}", lambda spark, d, m=m: analysis.storage_copies(s(spark, d), m, K), sql.chain(sql.stream_parts(g) + sql.assigned_parts(K, m), "SELECT copies, count(*) AS edges FROM (SELECT t, count(*) AS copies FROM a GROUP BY t) GROUP BY copies"))
+        add(f"p2_audit_{m}_{g}", lambda spark, d, m=m: analysis.able_workers(s(spark, d), m, K).select(F.col("able").cast("bigint").alias("able"), "triangles"), sql.chain(placed, "SELECT CAST(1 AS BIGINT) AS able, count(*) AS triangles FROM tri"))
+        add(f"exact_budget_{m}_{g}", lambda spark, d, m=m: analysis.exact_budget(s(spark, d), m, K), sql.chain(placed + [("l", "SELECT p.*, coalesce(a.rank, 0) AS load_before FROM p ASOF LEFT JOIN a ON p.worker = a.worker AND p.t > a.t")], "SELECT greatest(max(load_before), 2) AS budget FROM l"))
+        add(f"message_costs_{m}_{g}", lambda spark, d, m=m: metrics.message_costs(s(spark, d), m, K), sql.chain(sql.stream_parts(g) + sql.assigned_parts(K, m), f"SELECT CAST(sum(CASE WHEN fu = fv THEN 1 ELSE {K} END) AS BIGINT) AS messages, CAST(16 * sum(CASE WHEN fu = fv THEN 1 ELSE {K} END) AS BIGINT) AS bytes, CAST(sum(CASE WHEN fu = fv THEN 1 ELSE 2 END) AS BIGINT) AS considered, count(*) AS stored_unique FROM ew"))
+        add(f"load_balance_{m}_{g}", lambda spark, d, m=m: metrics.load_balance(s(spark, d), m, K), sql.chain(sql.stream_parts(g) + sql.assigned_parts(K, m), f"SELECT min(l) AS least, max(l) AS most, avg(l) AS mean, max(l) / avg(l) AS imbalance FROM (SELECT count(worker) AS l FROM range({K}) r LEFT JOIN a ON a.worker = r.range GROUP BY r.range)"))
+        add(f"counting_calls_{m}_{g}", lambda spark, d, m=m: metrics.counting_calls(s(spark, d), m, K), sql.chain(sql.stream_parts(g) + sql.assigned_parts(K, m), f"SELECT CAST(r.range AS INTEGER) AS worker, count(*) AS calls FROM range({K}) r JOIN ew ON fu <> fv OR fu = r.range GROUP BY r.range"))
+    z = "greatest(0.0, CAST({n} AS DOUBLE) * (CAST({t} AS DOUBLE) * (CAST({t} AS DOUBLE) - 1) / {bb} - 1) + 2.0 * CAST(type1 + type2 AS DOUBLE) * (CAST({t} AS DOUBLE) - {b}) / {bf})"
+    args = {"bb": repr(float(b) * (b - 1)), "b": b, "bf": repr(float(b))}
+    one = z.format(n="(SELECT count(*) FROM tri)", t="((SELECT max(t) FROM e) - 1)", **args)
+    add(f"bound_single_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "single", b), sql.chain(whole, f"SELECT {one} / 1 AS bound FROM pq"))
+    add(f"bound_broadcast_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "broadcast", b, K), sql.chain(whole, f"SELECT {one} / {K} AS bound FROM pq"))
+    placed = sql.placed_parts(g, K, "modulo")
+    by = placed + [("o", old.format(k="worker,", src="p")), ("pq", pairs.format(k="worker,", src="o", g="GROUP BY worker")), ("wn", "SELECT worker, count(*) AS n FROM p GROUP BY worker"), ("wl", "SELECT worker, count(*) AS load FROM a GROUP BY worker"), ("ws", "SELECT worker, load, coalesce(n, 0) AS n, coalesce(type1, 0) AS type1, coalesce(type2, 0) AS type2 FROM wl LEFT JOIN wn USING (worker) LEFT JOIN pq USING (worker)")]
+    each = z.format(n="n", t="load", **args)
+    add(f"bound_routed_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "routed", b, K).select(F.round(F.col("bound") / 1000).alias("bound")), sql.chain(by, f"SELECT round(sum({each}) / 1000) AS bound FROM ws"))
+    uni = by + [("oo", old.format(k="", src="tri")), ("ppqq", pairs.format(k="", src="oo", g=""))]
+    share = lambda part, whole_, f: f"max(CASE WHEN {whole_} > 0 THEN {float(f)!r} * {part} / {whole_} ELSE 0.0 END)"
+    parts = [share("n", "(SELECT count(*) FROM tri)", K) + " AS triangles", share("load", "(SELECT count(*) FROM e)", K) + " AS load", share("type1", "(SELECT type1 FROM ppqq)", K) + " AS type1", share("type2", "(SELECT type2 FROM ppqq)", K * K) + " AS type2"]
+    add(f"epsilon_uniform_{g}", lambda spark, d: analysis.epsilon_uniform(s(spark, d), "modulo", K), sql.chain(uni, f"SELECT *, greatest(triangles, load, type1, type2) - 1 AS epsilon FROM (SELECT {', '.join(parts)} FROM ws)"))
+    add("expected_uniformity", lambda spark, d: spark.createDataFrame([(k, *analysis.expected_uniformity(k).values()) for k in range(1, 9)], "k int, triangles double, load double, type1 double, type2 double"), "SELECT CAST(k AS INTEGER) AS k, 1.0 / k AS triangles, (2.0 * k - 1) / (k * k) AS load, (k * k * k - 2 * k * k + 4 * k - 2) / CAST(k * k * k * k AS DOUBLE) AS type1, (3 * k * k - 4 * k + 2) / CAST(k * k * k * k AS DOUBLE) AS type2 FROM (SELECT range AS k FROM range(1, 9))")
+    add("variance_terms", lambda spark, d: spark.createDataFrame([(m, k, *v) for k in (5, 10, 30) for m, v in analysis.variance_terms(k, 1000, 100_000, 50_000, 10**6, 10**6).items()], "method string, k int, triangles double, type1 double, type2 double"))
+    add("predicted_cost", lambda spark, d: spark.createDataFrame([(m, role, float(v)) for m in ("routed", "broadcast") for role, v in analysis.predicted_cost(m, 100_000, 30, 2_000, 400_000, 2_000).items()], "method string, role string, value double"))
+    run = lambda spark, d: estimate_routed(s(spark, d), K, b, "modulo", seed=SEED)
+    parts = sql.estimate_parts(g, K, b, "modulo", SEED, 1) + sql.TRIANGLES
+    local = parts + [
+        ("truth", "SELECT node, count(*) AS x FROM (SELECT unnest([u, v, apex]) AS node FROM tri) GROUP BY node"),
+        ("loc", f"SELECT node, {sql.est(b, 1)} AS est FROM (SELECT node, sum(hit) AS hits, sum(num) AS num FROM k WHERE node IS NOT NULL GROUP BY node)"),
+        ("pr", "SELECT n.node, coalesce(x, 0) AS x, coalesce(est, 0.0) AS est FROM (SELECT DISTINCT unnest([u, v]) AS node FROM e) n LEFT JOIN truth USING (node) LEFT JOIN loc USING (node)"),
+        ("rk", "SELECT *, rank() OVER (ORDER BY x) + (count(*) OVER (PARTITION BY x) - 1) / 2.0 AS rx, rank() OVER (ORDER BY est) + (count(*) OVER (PARTITION BY est) - 1) / 2.0 AS re FROM pr"),
+    ]
+
+    def measured(spark, d):
+        edges = s(spark, d)
+        out = metrics.local_metrics(metrics.paired_local(run(spark, d).local_df, edges, exact.exact_local(edges)))
+        return out.select("nodes", *[F.round(c, 8).alias(c) for c in ("error", "rmse", "spearman")])
+
+    add(f"metric_local_{g}", measured, sql.chain(local, "SELECT count(*) AS nodes, round(avg(abs(x - est) / (x + 1)), 8) AS error, round(sqrt(avg((x - est) * (x - est))), 8) AS rmse, round(corr(rx, re), 8) AS spearman FROM rk"))
+    add(f"metric_paired_{g}", lambda spark, d: metrics.paired_local(run(spark, d).local_df, s(spark, d), exact.exact_local(s(spark, d))), sql.chain(local, "SELECT node, x, est FROM pr"))
+    many = sql.estimate_parts(g, K, b, "modulo", SEED, 5) + sql.TRIANGLES
+    glob = many + [("gl", f"SELECT trial, {sql.est(b, 1)} AS est FROM (SELECT trial, coalesce(sum(hit), 0) AS hits, coalesce(sum(num), 0) AS num FROM (SELECT CAST(range AS INTEGER) AS trial FROM range(5)) LEFT JOIN x USING (trial) GROUP BY trial)"), ("tt", "SELECT CAST(count(*) AS DOUBLE) AS x FROM tri")]
+
+    def global_measured(spark, d):
+        edges = s(spark, d)
+        est = estimate_routed(edges, K, b, "modulo", seed=SEED, trials=5, strategy="triangle").global_df
+        out = metrics.global_metrics(est, exact.exact_global(edges).first()["n"])
+        return out.select("trials", *[F.round(c, 6).alias(c) for c in ("mean", "stderr", "error")], F.round(F.col("variance") / 1000, 3).alias("variance"))
+
+    add(f"metric_global_{g}", global_measured, sql.chain(glob, "SELECT count(*) AS trials, round(avg(est), 6) AS mean, round(stddev_samp(est) / sqrt(count(*)), 6) AS stderr, round(avg(abs(est - x) / (x + 1)), 6) AS error, round(avg((est - x) * (est - x)) / 1000, 3) AS variance FROM gl, tt"))
+    deg = tri + [("dg", "SELECT node, count(*) AS degree FROM (SELECT unnest([u, v]) AS node FROM e) GROUP BY node"), ("tn", "SELECT node, count(*) AS n FROM (SELECT unnest([u, v, apex]) AS node FROM tri) GROUP BY node")]
+    add(f"degrees_{g}", lambda spark, d: exact.degrees(s(spark, d)), sql.chain(deg, "SELECT * FROM dg"))
+    add(f"local_clustering_{g}", lambda spark, d: exact.local_clustering(s(spark, d)), sql.chain(deg, "SELECT node, degree, coalesce(n, 0) AS n, CASE WHEN degree > 1 THEN 2.0 * coalesce(n, 0) / (degree * (degree - 1)) ELSE 0.0 END AS clustering FROM dg LEFT JOIN tn USING (node)"))
+    add(f"transitivity_{g}", lambda spark, d: exact.transitivity(s(spark, d)), sql.chain(deg, "SELECT 3.0 * ((SELECT sum(n) FROM tn) / 3) / (SELECT sum(degree * (degree - 1) / 2) FROM dg) AS transitivity"))
+    add(f"edge_support_{g}", lambda spark, d: exact.edge_support(s(spark, d)), sql.chain(tri, "SELECT u, v, count(*) AS support FROM (SELECT u, v FROM tri UNION ALL SELECT least(u, apex), greatest(u, apex) FROM tri UNION ALL SELECT least(v, apex), greatest(v, apex) FROM tri) GROUP BY ALL"))
+
+
+edges_and_truth()
+routed()
+adaptive()
+broadcasts()
+single_machine()
+properties()
+for _name, _run in WORKLOADS.items():
+    add(_name, _run)
+for _name, (_run, _sql) in RELATIONAL.items():
+    add(_name, _run, _sql)
+
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    """Estimated local counts of the busiest nodes of the co-purchase stream."""
+    estimate = estimate_routed(stream(spark, sf_dir, "copurchase"), k=30, budget=500, mapping="modulo", seed=SEED)
+    return estimate.local_df.orderBy(F.desc("est"), "node").limit(20)
 
 
 def queries():
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(ORACLES)
