@@ -113,7 +113,7 @@ def runs_of(words: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.
     return least[change].view(np.int64), change, many, np.where(inside | (many > length), 2, 1)
 
 
-def chunked_words(batch, most_bytes: int = 4_000_000):
+def chunked_words(batch, most_bytes: int = 1_000_000):
     """(identifiers, bytes, word starts, word ends, first word of each document) of pieces of a batch."""
     at = 0
     for end in cut_points(batch.column(1), most_bytes):
