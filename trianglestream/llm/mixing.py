@@ -23,7 +23,7 @@ from .common import documents, materialize, unit_hash, working_name
 AXES = ["source", "lang", "topic"]
 #: Topic rules in order: name, texts of which one must occur.
 TOPICS = [("legal", ["License", "license", "Copyright"]), ("web", ["http", "www."]), ("contact", ["@"]), ("code", ["{", "def ", "();"])]
-SWEEPS, SCALE_STEPS, SHORT_TEXT = 12, 8, 1000
+SWEEPS, SCALE_STEPS, SHORT_TEXT = 10, 8, 1000
 
 
 def topic_of(text: Column) -> Column:
@@ -63,15 +63,25 @@ def targets_of(cells: DataFrame, axis: str, given: dict[str, float] | None, temp
 
 def fit_cells(cells: DataFrame, given: dict[str, dict[str, float]], temper: float, sweeps: int, budget: float) -> DataFrame:
     """Cells (axes, tokens) with ratio and probability. Only totals and the scale, single numbers, reach the driver."""
-    targets = [(a, materialize(targets_of(cells, a, given.get(a), temper), "targets")) for a in AXES]
+    targets = {a: materialize(targets_of(cells, a, given.get(a), temper), "targets") for a in AXES}
     total = float(cells.agg(F.sum("tokens")).first()[0] or 1)
-    now = cells.withColumn("fit", F.col("tokens") / F.lit(total))
-    for sweep in range(sweeps):
-        for axis, target in targets:
-            factor = now.groupBy(axis).agg(F.sum("fit").alias("have")).join(target, axis).select(axis, F.when(F.col("have") > 0, F.col("target") / F.col("have")).otherwise(0.0).alias("factor"))
-            now = now.join(factor, axis).withColumn("fit", F.col("fit") * F.col("factor")).drop("factor")
-        if sweep % 2 or sweep == sweeps - 1:
-            now = materialize(now, "sweep")
+    # A cell's fit is its present share times one factor for each axis. Only factors change, each in a plan
+    # of its own over the cells, so plans stay small however many sweeps there are.
+    share = cells.withColumn("share", F.col("tokens") / F.lit(total))
+    factors = {a: targets[a].select(a, F.lit(1.0).alias(f"{a}_factor")) for a in AXES}
+    for _ in range(sweeps):
+        for axis in AXES:
+            rows, weight = share, F.col("share")
+            for other in AXES:
+                if other != axis:
+                    rows, weight = rows.join(factors[other], other), weight * F.col(f"{other}_factor")
+            have = rows.groupBy(axis).agg(F.sum(weight).alias("have")).join(targets[axis], axis)
+            new = have.select(axis, F.when(F.col("have") > 0, F.col("target") / F.col("have")).otherwise(0.0).alias(f"{axis}_factor"))
+            factors[axis] = materialize(new, "factors")
+    now = share
+    for axis in AXES:
+        now = now.join(factors[axis], axis)
+    now = materialize(now.select(*AXES, "tokens", (F.col("share") * F.col("source_factor") * F.col("lang_factor") * F.col("topic_factor")).alias("fit")), "fit")
     now = now.withColumn("ratio", F.col("fit") * F.lit(total) / F.col("tokens"))
     scale = float(budget)
     for _ in range(SCALE_STEPS):
