@@ -13,12 +13,13 @@ from ..functions.weights import counting_worker
 from .exact import triangles
 from .mapping import with_workers
 
-END = F.lit((1 << 62)).cast("bigint")
+#: A time after all others.
+END = 1 << 62
 
 
 def wedges(residency: DataFrame) -> DataFrame:
     """(trial, worker, apex, a, b, t_lo, t_hi): pairs of sampled edges at one node that overlap in time."""
-    stay = residency.select("trial", "worker", "u", "v", "t_in", F.coalesce("t_out", END).alias("t_out"))
+    stay = residency.select("trial", "worker", "u", "v", "t_in", F.coalesce("t_out", F.lit(END)).alias("t_out"))
     ends = F.explode(F.array(F.struct(F.col("u").alias("apex"), F.col("v").alias("o")), F.struct(F.col("v").alias("apex"), F.col("u").alias("o"))))
     rows = stay.select("trial", "worker", ends.alias("e"), "t_in", "t_out").select("trial", "worker", "e.apex", "e.o", "t_in", "t_out")
     left = rows.withColumnsRenamed({"o": "a", "t_in": "in_a", "t_out": "out_a"})
@@ -53,7 +54,7 @@ def _apex_workers(found: DataFrame, mapping, k: int, seed: int) -> DataFrame:
 
 def closures_from_triangles(placed: DataFrame, residency: DataFrame) -> DataFrame:
     """The same closures, from placed triangles and two look-ups of the samples."""
-    stay = residency.select("trial", "worker", "t_in", F.coalesce("t_out", END).alias("t_out"))
+    stay = residency.select("trial", "worker", "t_in", F.coalesce("t_out", F.lit(END)).alias("t_out"))
     one = stay.withColumnsRenamed({"t_in": "t1", "t_out": "out1"})
     two = stay.withColumnsRenamed({"t_in": "t2", "t_out": "out2"})
     met = placed.join(one, ["worker", "t1"]).join(two, ["trial", "worker", "t2"])
