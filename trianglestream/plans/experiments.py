@@ -148,7 +148,7 @@ def effect_of_theta(spark, sf_dir, graph: str = "neardup", thetas=(0.0, 0.2, 1.0
     for theta in thetas:
         m = pin(adaptive_map(edges, k, theta), "nodemap")
         est = metrics.global_metrics(estimate_routed(edges, k, b, m, seed=8, trials=trials, strategy="triangle").global_df, truth)
-        parts.append(_tag(est.crossJoin(F.broadcast(metrics.load_balance(edges, m, k))).crossJoin(F.broadcast(share_local(edges, m, k))), theta=theta))
+        parts.append(_tag(est.crossJoin(F.broadcast(metrics.load_balance(edges, m, k).select("least", "most", "imbalance"))).crossJoin(F.broadcast(share_local(edges, m, k))), theta=theta))
     return _union(parts)
 
 
