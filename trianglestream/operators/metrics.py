@@ -32,11 +32,11 @@ def ranked(rows: DataFrame, column: str) -> DataFrame:
 
 
 def local_metrics(paired: DataFrame) -> DataFrame:
-    """(nodes, error, rmse, spearman) of (node, x, est)."""
+    """(nodes, error, rmse, spearman) of (node, x, est); the rank correlation of constants is null."""
     both = paired.join(ranked(paired, "x"), "x").join(ranked(paired, "est"), "est")
     return both.agg(
         F.count(F.lit(1)).alias("nodes"), F.avg(F.abs(F.col("x") - F.col("est")) / (F.col("x") + 1)).alias("error"),
-        F.sqrt(F.avg((F.col("x") - F.col("est")) * (F.col("x") - F.col("est")))).alias("rmse"), F.corr("x_rank", "est_rank").alias("spearman"),
+        F.sqrt(F.avg((F.col("x") - F.col("est")) * (F.col("x") - F.col("est")))).alias("rmse"), F.try_divide(F.covar_pop("x_rank", "est_rank"), F.stddev_pop("x_rank") * F.stddev_pop("est_rank")).alias("spearman"),
     )
 
 

@@ -167,7 +167,7 @@ def properties():
         out = metrics.local_metrics(metrics.paired_local(run(spark, d).local_df, edges, exact.exact_local(edges)))
         return out.select("nodes", *[F.round(c, 8).alias(c) for c in ("error", "rmse", "spearman")])
 
-    add(f"metric_local_{g}", measured, sql.chain(local, "SELECT count(*) AS nodes, round(avg(abs(x - est) / (x + 1)), 8) AS error, round(sqrt(avg((x - est) * (x - est))), 8) AS rmse, round(corr(rx, re), 8) AS spearman FROM rk"))
+    add(f"metric_local_{g}", measured, sql.chain(local, "SELECT count(*) AS nodes, round(avg(abs(x - est) / (x + 1)), 8) AS error, round(sqrt(avg((x - est) * (x - est))), 8) AS rmse, CASE WHEN stddev_pop(rx) * stddev_pop(re) > 0 THEN round(corr(rx, re), 8) END AS spearman FROM rk"))
     add(f"metric_paired_{g}", lambda spark, d: metrics.paired_local(run(spark, d).local_df, s(spark, d), exact.exact_local(s(spark, d))), sql.chain(local, "SELECT node, x, est FROM pr"))
     many = sql.estimate_parts(g, K, b, "modulo", SEED, 5) + sql.TRIANGLES
     glob = many + [("gl", f"SELECT trial, {sql.est(b, 1)} AS est FROM (SELECT trial, coalesce(sum(hit), 0) AS hits, coalesce(sum(num), 0) AS num FROM (SELECT CAST(range AS INTEGER) AS trial FROM range(5)) LEFT JOIN x USING (trial) GROUP BY trial)"), ("tt", "SELECT CAST(count(*) AS DOUBLE) AS x FROM tri")]

@@ -44,7 +44,7 @@ class Estimate:
 
 def choose_strategy(trials: int, k: int, budget: int, edges: int) -> str:
     """Wedges while the samples are small beside the stream; true triangles for large samples or many trials."""
-    return "triangle" if trials > 3 or k * budget >= edges else "wedge"
+    return "triangle" if trials > 3 or 4 * k * budget >= edges else "wedge"
 
 
 def routed_closures(edges: DataFrame, k: int, budget: int, mapping, seed: int, trials: int, strategy: str = "wedge", coins: str = "portable") -> DataFrame:
