@@ -24,7 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, new_path
+from .common import documents, new_path, tidied
 
 #: White space as the Unicode property has it; fixed values.
 WHITE_SPACE = "\\t\\n\\x0b\\x0c\\r\\x20\\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
@@ -256,14 +256,14 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
     shared = spark.sparkContext.broadcast(load_ranks(path))
     packs = packs or max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     rows = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
-    blocks = bucketed(rows.mapInArrow(split_kernel(explicit_spaces(pattern), packs, block_chars), BLOCK_SCHEMA), packs)
+    blocks = bucketed(rows.mapInArrow(tidied(split_kernel(explicit_spaces(pattern), packs, block_chars)), BLOCK_SCHEMA), packs)
     words = blocks.where(F.col("pack") != BODY).select("block", "pack", "data", "ends").repartition("pack").sortWithinPartitions("pack")
-    coded = words.mapInArrow(encode_kernel(shared), "block bigint, pack int, data binary, ends binary")
+    coded = words.mapInArrow(tidied(encode_kernel(shared)), "block bigint, pack int, data binary, ends binary")
     by_block = coded.repartition(packs, "block").groupBy("block").agg(F.collect_list(F.struct("pack", "data", "ends")).alias("coded"))
     bodies = blocks.where(F.col("pack") == BODY).select("block", "docs", "data", "ends", "packs")
     together = bodies.join(by_block.hint("shuffle_hash"), "block", "left")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
-    return together.mapInArrow(assemble_kernel, schema).withColumnRenamed("id", id_col)
+    return together.mapInArrow(tidied(assemble_kernel), schema).withColumnRenamed("id", id_col)
 
 
 def decode_kernel(shared_table):
@@ -289,7 +289,7 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
     table = pa.array([by_rank.get(i) for i in range(max(by_rank) + 1)], pa.large_binary())
     shared = encoded.sparkSession.sparkContext.broadcast(table)
     schema = T.StructType([*encoded.schema.fields, T.StructField("decoded", T.BinaryType())])
-    return encoded.mapInArrow(decode_kernel(shared), schema)
+    return encoded.mapInArrow(tidied(decode_kernel(shared)), schema)
 
 
 def token_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:

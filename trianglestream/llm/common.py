@@ -87,4 +87,26 @@ def only_listed(rows: DataFrame, listed: DataFrame, bits: int = 1 << 23) -> Data
             p = batch.column(at).to_numpy()
             yield batch.filter(pa.array((shared.value[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1))
 
-    return marked.mapInArrow(run, marked.schema).drop(spot)
+    return marked.mapInArrow(tidied(run), marked.schema).drop(spot)
+
+
+def tidied(kernel):
+    """The kernel, giving freed memory back when its task ends: workers live on and share their executor's room."""
+
+    def run(batches):
+        import ctypes
+        import gc
+
+        import pyarrow as pa
+
+        try:
+            yield from kernel(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL("libc.so.6").malloc_trim(0)
+            except (OSError, AttributeError):
+                pass  # another C library
+
+    return run

@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import materialize
+from .common import materialize, tidied
 
 LINKS = 24  # on upper levels; twice as many on the ground
 
@@ -254,13 +254,13 @@ def nearest(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", v
     index = materialize(spread.repartitionByRange(shards, "shard").groupBy("shard").applyInArrow(build_kernel(dim, build_width, seed), INDEX), "graphs")
     asked = members.where(is_query(F.col("id"))).select(F.col("id").alias("query_id"), F.col("class_id").alias("query_class"))
     query_classes = classes.join(asked.select(F.col("query_class").alias("class_id")).distinct(), "class_id", "left_semi")
-    blocks = query_classes.select("class_id", "vector").mapInArrow(block_kernel(dim, 128), INDEX)
+    blocks = query_classes.select("class_id", "vector").mapInArrow(tidied(block_kernel(dim, 128)), INDEX)
     group = F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")
     every = F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))
     copies = index.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).withColumn("key", F.col("key") * groups + F.col("copy")).drop("copy")
     routed = blocks.withColumn("shard", every).withColumn("key", F.col("shard") * groups + group).drop("shard")
     stream = copies.unionByName(routed).repartitionByRange(shards * groups, "key").sortWithinPartitions("key", "rank", "block")
-    found = stream.mapInArrow(search_kernel(dim, search_width, k + 1), "query_class bigint, class_id bigint, score double")
+    found = stream.mapInArrow(tidied(search_kernel(dim, search_width, k + 1)), "query_class bigint, class_id bigint, score double")
     best = Window.partitionBy("query_class").orderBy(F.desc("score"))
     top = found.withColumn("place", F.rank().over(best)).where(F.col("place") <= k + 1).drop("place")
     # The least k + 1 identifiers of a class are all an answer can need; salted, so a hot class is cut down early.

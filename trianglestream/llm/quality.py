@@ -21,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, unit_hash
+from .common import documents, tidied, unit_hash
 
 BITS = 18
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
@@ -147,7 +147,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     """One row per row of ``docs``: id_col, score."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("score", T.DoubleType())])
-    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(score_kernel(shared), schema).withColumnRenamed("id", id_col)
+    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(tidied(score_kernel(shared)), schema).withColumnRenamed("id", id_col)
 
 
 def op4_quality(spark, sf_dir: str, most_rows: int = 4000) -> DataFrame:

@@ -24,7 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize
+from .common import documents, materialize, tidied
 
 #: Kinds of span in listing order.
 KINDS = ["assign", "access", "hex", "random"]
@@ -148,7 +148,7 @@ def discovery_threshold(found: DataFrame, rate: float) -> float:
 def scan(docs: DataFrame, rate: float = 0.001, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id_col, base (start, kind, stop), extra (start, stop, encoding, strength) that the battery adds."""
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    found = materialize(rows.mapInArrow(scan_kernel, FOUND), "secrets")
+    found = materialize(rows.mapInArrow(tidied(scan_kernel), FOUND), "secrets")
     least = discovery_threshold(found, rate)
     keep = F.filter("extra", lambda x: x["strength"] >= F.lit(least)) if least < math.inf else F.array().cast(FOUND["extra"].dataType)
     return found.select(F.col("id").alias(id_col), "base", keep.alias("extra"))

@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
-from .common import documents, materialize, new_path, release
+from .common import documents, materialize, new_path, release, tidied
 
 MASK = (1 << 64) - 1
 
@@ -89,7 +89,7 @@ def shard_documents(
     before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select((F.col("shard") * F.lit(per_shard) + F.col("part")).alias("bucket"), F.coalesce(F.sum("count").over(before), F.lit(0)).alias("start"))
     ready = scattered.repartition(int(shards * per_shard), "bucket").sortWithinPartitions("bucket", "key_id", F.xxhash64("key_text")).select("bucket", "shard", "record")
-    shuffled = ready.mapInArrow(shuffle_kernel(seed), T.StructType([*ready.schema.fields, T.StructField("place", T.LongType())]))
+    shuffled = ready.mapInArrow(tidied(shuffle_kernel(seed)), T.StructType([*ready.schema.fields, T.StructField("place", T.LongType())]))
     placed = shuffled.join(starts, "bucket").withColumn("slot", F.col("start") + F.col("place"))
     path = path or new_path(spark, "shards")
     placed.select("shard", "slot", "bucket", "record").write.option("maxRecordsPerFile", 0).parquet(path)

@@ -30,7 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize, release
+from .common import documents, materialize, release, tidied
 from .toxicity import cut_points
 
 GRAM = 8
@@ -279,17 +279,17 @@ def repeated_windows(docs: DataFrame, length: int = 35, hot: int = 2000) -> Data
 
     ``docs`` has columns id (unique, not null) and text.
     """
-    runs = materialize(docs.mapInArrow(run_kernel(length), RUNS), "runs", compression="zstd")
+    runs = materialize(docs.mapInArrow(tidied(run_kernel(length)), RUNS), "runs", compression="zstd")
     often = runs.groupBy("key").agg(F.sum("weight").alias("met")).where("met > 1")
     kept = runs.join(often, "key").select("id", F.struct("key", "start", "many", (F.col("met") > hot).alias("hot")).alias("run"))
     per_doc = kept.groupBy("id").agg(F.collect_list("run").alias("runs"))
-    cut = docs.join(per_doc, "id").select("id", "text", "runs").mapInArrow(segment_kernel(length), SEGMENTS)
+    cut = docs.join(per_doc, "id").select("id", "text", "runs").mapInArrow(tidied(segment_kernel(length)), SEGMENTS)
     segments = materialize(cut, "segments", compression="zstd")
     release(runs)
     distinct = segments.groupBy("key", "hash").agg(F.first("words").alias("words"), F.count(F.lit(1)).cast("int").alias("weight"))
     alone = distinct.repartition("key").sortWithinPartitions("key", "hash")
     schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("hash", T.BinaryType()), T.StructField("offsets", T.ArrayType(T.IntegerType()))])
-    found = materialize(alone.mapInArrow(shard_kernel(length), schema), "repeats", compression="zstd")
+    found = materialize(alone.mapInArrow(tidied(shard_kernel(length)), schema), "repeats", compression="zstd")
     spots = segments.select("key", "hash", "id", "start").join(found, ["key", "hash"])
     return spots.groupBy("id").agg(F.array_distinct(F.flatten(F.collect_list(F.transform("offsets", lambda o: o + F.col("start"))))).alias("starts"))
 
@@ -326,7 +326,7 @@ def remove_repeats(docs: DataFrame, length: int = 35, id_col: str = "doc_id", te
     starts = repeated_windows(rows, length)
     joined = rows.join(starts, "id", "left").select("id", "text", "starts")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
-    return joined.mapInArrow(removal_kernel(length), schema).withColumnRenamed("id", id_col)
+    return joined.mapInArrow(tidied(removal_kernel(length)), schema).withColumnRenamed("id", id_col)
 
 
 def matched_spans(docs: DataFrame, reference: list[str], length: int = 35, shard_words: int = 200_000, most_words: int = 5_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -364,7 +364,7 @@ def matched_spans(docs: DataFrame, reference: list[str], length: int = 35, shard
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())])))], ["id", "spans"])
 
     schema = "id bigint, spans array<struct<start:int,stop:int>>"
-    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(tidied(run), schema).withColumnRenamed("id", id_col)
 
 
 def op6_substring_dedup(spark, sf_dir: str) -> DataFrame:

@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents
+from .common import documents, tidied
 from .quality import labelled_sample
 
 WINDOW, STRIDE, WORD_BYTES = 24, 12, 24
@@ -277,7 +277,7 @@ def score_kernel(shared):
         model = shared.value
         for batch in batches:
             at = 0
-            for end in cut_points(batch.column(1), 3_000_000):
+            for end in cut_points(batch.column(1), 1_000_000):
                 part = batch.slice(at, end - at)
                 at = end
                 scores = model.scores([x or "" for x in part.column(1).to_pylist()])
@@ -301,7 +301,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id"
     """One row per row of ``docs``: id_col, score."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("score", T.DoubleType())])
-    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(score_kernel(shared), schema).withColumnRenamed("id", id_col)
+    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(tidied(score_kernel(shared)), schema).withColumnRenamed("id", id_col)
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, learn, most_toxic: int = 1000, most_clean: int = 1600) -> ToxicityModel:
@@ -332,10 +332,10 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, id_co
     def run(batches):
         for batch in batches:
             start = 0
-            for end in cut_points(batch.column(at), 3_000_000):
+            for end in cut_points(batch.column(at), 1_000_000):
                 part = batch.slice(start, end - start)
                 start = end
                 clean = shared.value.scores([x or "" for x in part.column(at).to_pylist()]) < threshold
                 yield part.filter(pa.array(clean))
 
-    return packed.mapInArrow(run, packed.schema).toDF(*names)
+    return packed.mapInArrow(tidied(run), packed.schema).toDF(*names)
