@@ -299,7 +299,7 @@ def test_near_classes_equal_brute_force(spark):
         changed = False
         for i in range(len(texts)):
             for j in range(i):
-                if label[i] != label[j] and near_dedup.weighted_jaccard(sets[i], sets[j]) >= 0.8:
+                if label[i] != label[j] and near_dedup.similarity(sets[i], sets[j]) >= 0.8:
                     low, high = sorted((label[i], label[j]))
                     label = [low if x == high else x for x in label]
                     changed = True

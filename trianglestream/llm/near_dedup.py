@@ -5,13 +5,15 @@ frequency. Frequencies come from a table of ``2**DF_BITS`` hashed slots filled o
 all documents (the hashing trick), so its size is fixed whatever the input. Improved
 consistent weighted sampling draws ``bands * rows`` samples of each text; texts that
 share a whole band are candidates and are verified by their exact weighted Jaccard
-similarity. Classes are the connected components of verified pairs.
+similarity (or the unweighted one, where that is greater). Classes are the connected components of verified pairs.
 
 Copies never meet as pairs: texts with the same words are one node, unfolded at the
 end. In a small band bucket every pair is tried. In a larger one all are tried against
 its least node; while a bucket holds more than one class, further rounds try each
 member against a leader of another class, drawn anew by hash for every bucket and
-round, until a round finds no new link or ``rounds`` are over.
+round. Last, each node outside its bucket's largest class is tried against the
+nodes of other classes whose samples agree with its own best. Pairs whose samples
+agree too seldom for the threshold are not compared further.
 
 Texts under five words have one shingle of all their words; empty and null texts
 are nobody's near duplicate. Rows that repeat an identifier are one document with
@@ -26,11 +28,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize, only_listed, working_name
+from .common import documents, materialize, only_listed, tidied, working_name
 from .substring import chunked_words, gram_hashes, mix, word_hashes
 
 SHINGLE, THRESHOLD, BANDS, ROWS, DF_BITS = 5, 0.8, 12, 3, 18
 SEGMENT = 1 << 12
+#: Of the samples of a pair, so many must agree before its texts are compared; at the threshold fewer do once in ten thousand.
+AGREE = 0.55
 #: Buckets up to this size try every pair; leaders of larger groups are copied for so many members.
 SMALL, SALT = 8, 256
 
@@ -76,9 +80,9 @@ def total_kernel(batches):
 
 def inverse_frequencies(rows: DataFrame) -> np.ndarray:
     """Weight of each hashed slot: 1 + ln((1 + N) / (1 + n)), over all documents."""
-    parts = rows.mapInArrow(frequency_kernel, "segment int, counts binary").repartition("segment").sortWithinPartitions("segment")
+    parts = rows.mapInArrow(tidied(frequency_kernel), "segment int, counts binary").repartition("segment").sortWithinPartitions("segment")
     seen = np.zeros(1 << DF_BITS, np.int64)
-    for row in parts.mapInArrow(total_kernel, "segment int, counts binary").collect():  # 2**DF_BITS numbers, whatever the input
+    for row in parts.mapInArrow(tidied(total_kernel), "segment int, counts binary").collect():  # 2**DF_BITS numbers, whatever the input
         seen[row["segment"] * SEGMENT : (row["segment"] + 1) * SEGMENT] = np.frombuffer(row["counts"], np.int64)
     n = rows.count()
     return (1 + np.log((1 + n) / (1 + np.minimum(seen, n)))).astype(np.float32)
@@ -118,8 +122,34 @@ def band_keys(tokens: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return keys.view(np.int64)
 
 
+def lanes_of(tokens: np.ndarray) -> np.ndarray:
+    """One byte of each sample, seven to a number so that sums of bytes stay in range: (texts, lanes)."""
+    lanes = -(-tokens.shape[0] // 7)
+    flat = np.zeros((tokens.shape[1], lanes * 7), np.uint8)
+    flat[:, : tokens.shape[0]] = (tokens.T & np.uint64(0xFF)).astype(np.uint8)
+    wide = np.zeros((tokens.shape[1], lanes, 8), np.uint8)
+    wide[:, :, :7] = flat.reshape(-1, lanes, 7)
+    return wide.view("<i8").reshape(-1, lanes)
+
+
+def agreement(a: str, b: str, lanes: int):
+    """Bytes in which two rows' lanes agree, padding included."""
+    low, high = F.lit(0x7F7F7F7F7F7F7F), F.lit(0x80808080808080)
+    total = F.lit(7 * lanes)
+    for i in range(lanes):
+        x = F.col(a)[i].bitwiseXOR(F.col(b)[i])
+        total = total - F.bit_count((x.bitwiseAND(low) + low).bitwiseOR(x).bitwiseAND(high))
+    return total
+
+
+def alike(a: str, b: str, samples: int):
+    """Whether the samples of two rows agree enough for a comparison of their texts."""
+    lanes = -(-samples // 7)
+    return agreement(a, b, lanes) - (7 * lanes - samples) >= int(AGREE * samples)
+
+
 def signature_kernel(shared, bands: int, rows: int):
-    """(id, node, bands): node names the sequence of words; no row for texts without words."""
+    """(id, node, bands, lanes): node names the sequence of words; no row for texts without words."""
 
     def run(batches):
         idf = shared.value
@@ -140,7 +170,9 @@ def signature_kernel(shared, bands: int, rows: int):
                     tokens = consistent_samples(np.concatenate(shingles), np.log(np.concatenate(weights)).astype(np.float32), np.array(starts), bands * rows)
                     keys = band_keys(tokens, bands, rows)
                     lists = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()))
-                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(nodes, pa.binary()), lists], ["id", "node", "bands"])
+                    lanes = lanes_of(tokens)
+                    packed = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * lanes.shape[1]), pa.array(lanes.ravel()))
+                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(nodes, pa.binary()), lists, packed], ["id", "node", "bands", "lanes"])
 
     return run
 
@@ -161,6 +193,14 @@ def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.n
     return both / either if either > 0 else 0.0
 
 
+def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
+    """Weighted Jaccard similarity, or that of the bare shingle sets where it is greater: rare words in the few
+    changed shingles then do not part texts of which four fifths are the same."""
+    both = len(np.intersect1d(a[0], b[0], assume_unique=True))
+    either = len(a[0]) + len(b[0]) - both
+    return max(weighted_jaccard(a, b), both / either if either else 0.0)
+
+
 def verify_kernel(shared, threshold: float):
     """Sorted by (a, salt, kind): a leader's text, then its members'. Pairs at or over the threshold stay."""
 
@@ -173,7 +213,7 @@ def verify_kernel(shared, threshold: float):
                     if row["b"] is None:
                         leader, held = row["a"], weighted_set(row["text"], idf)
                     elif row["a"] == leader:
-                        s = weighted_jaccard(held, weighted_set(row["text"], idf))
+                        s = similarity(held, weighted_set(row["text"], idf))
                         if s >= threshold:
                             for c, v in zip(out, (row["a"], row["b"], s)):
                                 c.append(v)
@@ -189,7 +229,7 @@ def verified(pairs: DataFrame, texts: DataFrame, shared, threshold: float) -> Da
     members = salted.select("a", "salt", "b").join(texts.withColumnRenamed("id", "b"), "b").select("a", "salt", "b", "text")
     leaders = salted.select("a", "salt").distinct().join(texts.withColumnRenamed("id", "a"), "a").select("a", "salt", F.lit(None).cast("bigint").alias("b"), "text")
     rows = leaders.unionByName(members).repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    return rows.mapInArrow(verify_kernel(shared, threshold), "a bigint, b bigint, similarity double")
+    return rows.mapInArrow(tidied(verify_kernel(shared, threshold)), "a bigint, b bigint, similarity double")
 
 
 def components(edges: DataFrame, most_steps: int = 60) -> DataFrame:
@@ -207,49 +247,121 @@ def components(edges: DataFrame, most_steps: int = 60) -> DataFrame:
     raise RuntimeError(f"components did not settle in {most_steps} steps")
 
 
+def similar_pairs(pairs: DataFrame, lanes: DataFrame, samples: int) -> DataFrame:
+    """Pairs (a, b), a < b, whose samples agree enough; each once."""
+    of = lambda c: lanes.select(F.col("id").alias(c), F.col("lanes").alias(f"lanes_{c}"))
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct()
+    return pairs.join(of("a"), "a").join(of("b"), "b").where(alike("lanes_a", "lanes_b", samples)).select("a", "b")
+
+
 def first_pairs(buckets: DataFrame) -> DataFrame:
     """All pairs of small buckets; each node of a larger one against the least."""
     small = buckets.where(F.col("size") <= SMALL)
     left, right = small.select("key", F.col("id").alias("a")), small.select("key", F.col("id").alias("b"))
     pairs = left.join(right, "key").where("a < b").select("a", "b")
     large = buckets.where(F.col("size") > SMALL).where("id > least").select(F.col("least").alias("a"), F.col("id").alias("b"))
-    return pairs.unionByName(large).distinct()
+    return pairs.unionByName(large)
+
+
+def placed_nodes(buckets: DataFrame, labels: DataFrame) -> DataFrame:
+    """(key, id, label) of the large buckets."""
+    return buckets.where(F.col("size") > SMALL).join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
 
 
 def next_pairs(buckets: DataFrame, labels: DataFrame, round_: int) -> DataFrame:
     """In large buckets of several classes: each node against one leader of another class."""
-    placed = buckets.where(F.col("size") > SMALL).join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
+    placed = placed_nodes(buckets, labels)
     classes = placed.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct(F.xxhash64(F.lit(round_), F.col("key"), F.col("id")).alias("h"), F.col("id").alias("leader"))).alias("head"))
     ordered = F.struct("n", F.xxhash64(F.lit(round_), F.col("label")).alias("h"), F.col("label").alias("label"), F.col("head.leader").alias("leader"))
     chosen = classes.groupBy("key").agg(F.max(ordered).alias("main"), F.max(F.struct(ordered["h"].alias("h"), ordered["label"].alias("label"), ordered["leader"].alias("leader"))).alias("other"), F.count(F.lit(1)).alias("classes")).where("classes > 1")
-    met = placed.join(chosen, "key")
     leader = F.when(F.col("label") != F.col("main.label"), F.col("main.leader")).when(F.col("label") != F.col("other.label"), F.col("other.leader"))
-    met = met.select("id", leader.alias("leader")).where("leader is not null")
-    return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
+    return placed.join(chosen, "key").select(F.col("id").alias("a"), leader.alias("b")).where("b is not null")
+
+
+def partner_kernel(samples: int, most: int = 8, block: int = 4096):
+    """Rows of (key, id, label, main, lanes) sorted by key: for each node outside its bucket's largest class the
+    ``most`` nodes of other classes whose samples agree best. A bucket is held as bytes, and compared in blocks."""
+    least, lanes = int(AGREE * samples), -(-samples // 7)
+
+    def pairs_of(rows):
+        ids, labels = np.concatenate([r[0] for r in rows]), np.concatenate([r[1] for r in rows])
+        sign = np.concatenate([r[2] for r in rows]).view(np.uint8).reshape(len(ids), lanes, 8)[:, :, :7].reshape(len(ids), -1)[:, :samples]
+        strays = np.flatnonzero(labels != rows[0][3])
+        for at in range(0, len(strays), 128):
+            own = strays[at : at + 128]
+            best = np.full((len(own), most), -1, np.int64)
+            who = np.zeros((len(own), most), np.int64)
+            for m in range(0, len(ids), block):
+                agree = np.zeros((len(own), len(ids[m : m + block])), np.int64)
+                for j in range(samples):
+                    agree += sign[own, j][:, None] == sign[None, m : m + block, j]
+                agree[labels[own][:, None] == labels[None, m : m + block]] = -1
+                both = np.concatenate([best, agree], 1)
+                names = np.concatenate([who, np.broadcast_to(ids[m : m + block], agree.shape)], 1)
+                top = np.argsort(-both, 1, kind="stable")[:, :most]
+                best, who = np.take_along_axis(both, top, 1), np.take_along_axis(names, top, 1)
+            i, j = np.nonzero(best >= least)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[own[i]]), pa.array(who[i, j])], ["a", "b"])
+
+    def run(batches):
+        rows, current = [], None
+        for batch in batches:
+            keys = batch.column("key").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(keys)) + 1).tolist(), len(keys)]
+            for a, b in zip(cuts, cuts[1:]):
+                if a == b:
+                    continue
+                if current is not None and keys[a] != current:
+                    yield from pairs_of(rows)
+                    rows = []
+                current = keys[a]
+                part = batch.slice(a, b - a)
+                rows.append((part.column("id").to_numpy(), part.column("label").to_numpy(), part.column("lanes").flatten().to_numpy(), part.column("main")[0].as_py()))
+        if rows:
+            yield from pairs_of(rows)
+
+    return run
+
+
+def best_partners(buckets: DataFrame, labels: DataFrame, lanes: DataFrame, samples: int) -> DataFrame:
+    """In large buckets of several classes: nodes outside the largest against their most alike of other classes."""
+    placed = placed_nodes(buckets, labels)
+    classes = placed.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"))
+    mixed = classes.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.count(F.lit(1)).alias("classes")).where("classes > 1")
+    rows = placed.join(mixed.select("key", "main"), "key").join(lanes.select("id", "lanes"), "id").select("key", "id", "label", "main", "lanes")
+    found = rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(tidied(partner_kernel(samples)), "a bigint, b bigint")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, rounds: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, rounds: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per identifier: id_col, class_id (least identifier of the class), class_size."""
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
     shared = spark.sparkContext.broadcast(inverse_frequencies(texts))
-    signed = materialize(texts.mapInArrow(signature_kernel(shared, bands, rows), "id bigint, node binary, bands array<bigint>"), "signatures", compression="zstd")
-    nodes = materialize(signed.groupBy("node").agg(F.min("id").alias("id"), F.first("bands").alias("bands")), "nodes", compression="zstd")
+    signed = materialize(texts.mapInArrow(tidied(signature_kernel(shared, bands, rows)), "id bigint, node binary, bands array<bigint>, lanes array<bigint>"), "signatures", compression="zstd")
+    nodes = materialize(signed.groupBy("node").agg(F.min("id").alias("id"), F.first("bands").alias("bands"), F.first("lanes").alias("lanes")), "nodes", compression="zstd")
     keyed = nodes.select("id", F.explode("bands").alias("key"))
+    samples = bands * rows
     sizes = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("least")).where("size > 1")
     buckets = materialize(keyed.join(sizes, "key"), "buckets")
     needed = buckets.select("id").distinct()
     held = materialize(only_listed(texts, needed).join(needed, "id"), "texts", compression="zstd")
-    tried = materialize(first_pairs(buckets), "pairs")
+    lanes = nodes.select("id", "lanes").join(needed, "id", "left_semi")
+    tried = materialize(similar_pairs(first_pairs(buckets), lanes, samples), "pairs")
     links = materialize(verified(tried, held, shared, threshold), "edges")
     labels = components(links)
     for round_ in range(1, rounds):
-        pairs = materialize(next_pairs(buckets, labels, round_).join(tried, ["a", "b"], "left_anti"), "pairs")
+        pairs = materialize(similar_pairs(next_pairs(buckets, labels, round_), lanes, samples).join(tried, ["a", "b"], "left_anti"), "pairs")
         more = materialize(verified(pairs, held, shared, threshold), "edges")
+        tried = tried.unionByName(pairs)
         if more.isEmpty():
             break
-        tried, links = tried.unionByName(pairs), links.unionByName(more)
+        links = links.unionByName(more)
         labels = components(links)
+    rest = materialize(best_partners(buckets, labels, lanes, samples).join(tried, ["a", "b"], "left_anti"), "pairs")
+    more = materialize(verified(rest, held, shared, threshold), "edges")
+    if not more.isEmpty():
+        labels = components(links.unionByName(more))
     # Identifiers are nodes too: one that repeats with other words joins the classes of both.
     same = signed.select("id", "node").join(nodes.select("node", F.col("id").alias("head")), "node").select("id", "head")
     of = same.join(labels.withColumnRenamed("id", "head"), "head", "left").select("id", F.coalesce("label", "head").alias("label"))
