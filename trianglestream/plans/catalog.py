@@ -186,7 +186,28 @@ def properties():
     add(f"edge_support_{g}", lambda spark, d: exact.edge_support(s(spark, d)), sql.chain(tri, "SELECT u, v, count(*) AS support FROM (SELECT u, v FROM tri UNION ALL SELECT least(u, apex), greatest(u, apex) FROM tri UNION ALL SELECT least(v, apex), greatest(v, apex) FROM tri) GROUP BY ALL"))
 
 
+def live():
+    g, b = "coactivity", BUDGET["coactivity"]
+    parts = sql.stream_parts(g, "arrival") + sql.assigned_parts(K, "modulo") + sql.residency_parts(b, SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(b)
+    text = sql.chain(parts, f"SELECT node, {sql.est(b, 1)} AS est FROM (SELECT coalesce(node, -1) AS node, sum(hit) AS hits, sum(num) AS num FROM k GROUP BY 1)")
+
+    def run(spark, d, lazy):
+        from uuid import uuid4
+
+        from ..sources.tables import shared_root
+        from ..streaming.edges import edge_files
+        from ..streaming.routed import estimate_stream, run_to_end, settle, stream_events
+
+        root = f"{shared_root(spark)}/live-{uuid4().hex}"
+        updates = estimate_stream(edge_files(spark, stream_events(spark, d, f"{root}/in"), 1000), K, b, seed=SEED, lazy=lazy)
+        return settle(run_to_end(updates, f"{root}/out", f"{root}/state"), b)
+
+    for name, lazy in (("eager", False), ("lazy", True)):
+        add(f"streaming_routed_{name}_{g}", lambda spark, d, lazy=lazy: run(spark, d, lazy), text)
+
+
 edges_and_truth()
+live()
 routed()
 adaptive()
 broadcasts()
