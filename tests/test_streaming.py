@@ -35,7 +35,7 @@ def test_stream_equals_kernel_and_survives_restart(spark, tmp_path):
 
 def test_clean_windows_and_sessions(spark, tmp_path):
     src = str(tmp_path / "raw")
-    spark.createDataFrame([(10, 2, 1), (11, 1, 2), (12, 3, 3), (5000, 1, 4)], "t bigint, u bigint, v bigint").select(F.timestamp_seconds("t").alias("ts"), "u", "v").write.parquet(src)
+    spark.createDataFrame([(10, 2, 1), (11, 1, 2), (12, 3, 3), (5000, 1, 4)], "t bigint, u bigint, v bigint").select(F.timestamp_seconds("t").alias("ts"), "u", "v").coalesce(1).write.parquet(src)
     for name, df, want in (
         ("clean", clean_stream(edge_files(spark, src)).select("u", "v"), {(1, 2), (1, 4)}),
         ("counts", edge_counts(edge_files(spark, src)).select("edges"), {(3,), (1,)}),
