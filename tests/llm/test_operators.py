@@ -306,6 +306,30 @@ def test_near_classes_equal_brute_force(spark):
     assert got == dict(enumerate(label))
 
 
+def test_hot_bucket_loses_no_link(spark, monkeypatch):
+    """One crowd of texts alike by three fifths, of which 200 pairs pass the threshold."""
+    rng = random.Random(31)
+    base, texts = text_of(77, 120).split(), []
+    for f in range(400):
+        edits = [(at, f"e{f}x{at}") for at in rng.sample(range(5, 115, 5), 4)]
+        for own in [edits[:3], edits[1:]][: 1 + f % 2]:
+            words = list(base)
+            for at, word in own:
+                words[at] = word
+            texts.append(" ".join(words))
+    monkeypatch.setattr(near_dedup, "inverse_frequencies", lambda rows: np.ones(1 << near_dedup.DF_BITS, np.float32))
+    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(docs(spark, texts)).collect()}
+    sets = [set(near_dedup.weighted_set(t, np.ones(1 << near_dedup.DF_BITS))[0].tolist()) for t in texts]
+    label = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if label[i] != label[j] and both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
+                low, high = sorted((label[i], label[j]))
+                label = [low if x == high else x for x in label]
+    assert len(set(label)) == 400 and got == dict(enumerate(label))
+
+
 def test_sampling_agrees_with_weighted_jaccard():
     rng = np.random.default_rng(3)
     shingles = np.unique(rng.integers(0, 1 << 63, 400).astype(np.uint64))

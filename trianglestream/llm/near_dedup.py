@@ -9,11 +9,11 @@ similarity (or the unweighted one, where that is greater). Classes are the conne
 
 Copies never meet as pairs: texts with the same words are one node, unfolded at the
 end. In a small band bucket every pair is tried. In a larger one all are tried against
-its least node; while a bucket holds more than one class, further rounds try each
-member against a leader of another class, drawn anew by hash for every bucket and
-round. Last, each node outside its bucket's largest class is tried against the
-nodes of other classes whose samples agree with its own best. Pairs whose samples
-agree too seldom for the threshold are not compared further.
+its least node; while a bucket holds more than one class, one further round tries each
+member against a leader of another class, drawn by hash for every bucket. Last, in
+blocks, each node outside its bucket's largest class is tried against all nodes of
+other classes, so no pair of two classes is left untried. Pairs whose samples agree
+too seldom for the threshold are not compared further.
 
 Texts under five words have one shingle of all their words; empty and null texts
 are nobody's near duplicate. Rows that repeat an identifier are one document with
@@ -37,6 +37,8 @@ SEGMENT = 1 << 12
 AGREE = 0.55
 #: Buckets up to this size try every pair; leaders of larger groups are copied for so many members.
 SMALL, SALT = 8, 256
+#: A block of a larger bucket holds about so many nodes and shingles at most.
+BLOCK_NODES, BLOCK_SHINGLES = 1024, 1 << 19
 
 
 def shingle_counts(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -149,7 +151,7 @@ def alike(a: str, b: str, samples: int):
 
 
 def signature_kernel(shared, bands: int, rows: int):
-    """(id, node, bands, lanes): node names the sequence of words; no row for texts without words."""
+    """(id, node, bands, lanes, width): node names the sequence of words, width counts its shingles; no row for texts without words."""
 
     def run(batches):
         idf = shared.value
@@ -172,7 +174,7 @@ def signature_kernel(shared, bands: int, rows: int):
                     lists = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()))
                     lanes = lanes_of(tokens)
                     packed = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * lanes.shape[1]), pa.array(lanes.ravel()))
-                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(nodes, pa.binary()), lists, packed], ["id", "node", "bands", "lanes"])
+                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(nodes, pa.binary()), lists, packed, pa.array(np.diff([*starts, n]), pa.int32())], ["id", "node", "bands", "lanes", "width"])
 
     return run
 
@@ -278,59 +280,114 @@ def next_pairs(buckets: DataFrame, labels: DataFrame, round_: int) -> DataFrame:
     return placed.join(chosen, "key").select(F.col("id").alias("a"), leader.alias("b")).where("b is not null")
 
 
-def partner_kernel(samples: int, most: int = 8, block: int = 4096):
-    """Rows of (key, id, label, main, lanes) sorted by key: for each node outside its bucket's largest class the
-    ``most`` nodes of other classes whose samples agree best. A bucket is held as bytes, and compared in blocks."""
-    least, lanes = int(AGREE * samples), -(-samples // 7)
-
-    def pairs_of(rows):
-        ids, labels = np.concatenate([r[0] for r in rows]), np.concatenate([r[1] for r in rows])
-        sign = np.concatenate([r[2] for r in rows]).view(np.uint8).reshape(len(ids), lanes, 8)[:, :, :7].reshape(len(ids), -1)[:, :samples]
-        strays = np.flatnonzero(labels != rows[0][3])
-        for at in range(0, len(strays), 128):
-            own = strays[at : at + 128]
-            best = np.full((len(own), most), -1, np.int64)
-            who = np.zeros((len(own), most), np.int64)
-            for m in range(0, len(ids), block):
-                agree = np.zeros((len(own), len(ids[m : m + block])), np.int64)
-                for j in range(samples):
-                    agree += sign[own, j][:, None] == sign[None, m : m + block, j]
-                agree[labels[own][:, None] == labels[None, m : m + block]] = -1
-                both = np.concatenate([best, agree], 1)
-                names = np.concatenate([who, np.broadcast_to(ids[m : m + block], agree.shape)], 1)
-                top = np.argsort(-both, 1, kind="stable")[:, :most]
-                best, who = np.take_along_axis(both, top, 1), np.take_along_axis(names, top, 1)
-            i, j = np.nonzero(best >= least)
-            yield pa.RecordBatch.from_arrays([pa.array(ids[own[i]]), pa.array(who[i, j])], ["a", "b"])
+class Block:
+    """Nodes of one bucket as arrays, against which others are compared one by one. A link joins two classes, which
+    then need no further one here."""
+
+    def __init__(self, key: int, main: int, nodes: list, least: int, threshold: float):
+        self.key, self.least, self.threshold = key, least, threshold
+        ids, labels, signs, bands, sets = zip(*nodes)
+        self.ids, self.labels = np.array(ids), np.array(labels)
+        self.stray = self.labels != main
+        self.signs, self.bands = np.ascontiguousarray(np.array(signs).T), np.array(bands)
+        self.sizes = np.array([len(s) for s, _ in sets])
+        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.words, self.at = np.unique(np.concatenate([s for s, _ in sets]), return_inverse=True)
+        self.weights = np.concatenate([w for _, w in sets])
+        self.sums = np.add.reduceat(self.weights, self.starts)
+        self.own = np.zeros(len(self.words))
+        self.joined = {}
+
+    def enough(self, sign: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Per node how many samples agree and whether these are enough."""
+        agree = (self.signs == sign[:, None]).sum(0)
+        return agree, agree >= self.least
+
+    def similarities(self, chosen: np.ndarray, size: int, total: float) -> np.ndarray:
+        """As ``similarity``, of the text laid out in ``own`` and each chosen node."""
+        sizes = self.sizes[chosen]
+        heads = np.cumsum(sizes) - sizes
+        flat = np.repeat(self.starts[chosen] - heads, sizes) + np.arange(sizes.sum())
+        mine = self.own[self.at[flat]]
+        both = np.add.reduceat(np.minimum(mine, self.weights[flat]), heads)
+        bare = np.add.reduceat((mine > 0).astype(np.int64), heads)
+        return np.maximum(both / (total + self.sums[chosen] - both), bare / (size + sizes - bare))
+
+    def links(self, node: tuple) -> list[int]:
+        """Nodes of other classes similar to ``node``, one for each class. Two nodes outside the largest class meet
+        from one side only, and two that share several buckets meet in that of the least key."""
+        id_, label, sign, bands, (shingles, weights) = node
+        while label in self.joined:
+            label = self.joined[label]
+        agree, open_ = self.enough(sign)
+        rest = np.flatnonzero(open_ & (self.labels != label) & (~self.stray | (self.ids < id_)))
+        rest = rest[np.where(self.bands[rest] == bands, bands, np.iinfo(np.int64).max).min(1, initial=np.iinfo(np.int64).max) == self.key]
+        if not len(rest):
+            return []
+        spot = np.minimum(np.searchsorted(self.words, shingles), len(self.words) - 1)
+        hit = self.words[spot] == shingles
+        self.own[spot[hit]] = weights[hit]
+        found, total = [], float(weights.sum())
+        rest = rest[np.argsort(-agree[rest], kind="stable")]
+        while len(rest):
+            now, rest = rest[:64], rest[64:]
+            for i in now[self.similarities(now, len(shingles), total) >= self.threshold]:
+                other = self.labels[i]
+                if other != label:
+                    found.append(int(self.ids[i]))
+                    self.joined[other] = label
+                    self.labels[self.labels == other] = label
+            rest = rest[self.labels[rest] != label]
+        self.own[spot[hit]] = 0
+        return found
+
+
+def rest_kernel(shared, samples: int, threshold: float):
+    """Sorted by (key, part, salt, stray): the nodes of a block, then those outside the bucket's largest class that meet it."""
+    least = int(AGREE * samples)
 
     def run(batches):
-        rows, current = [], None
+        idf, current, nodes, block = shared.value, None, [], None
         for batch in batches:
-            keys = batch.column("key").to_numpy()
-            cuts = [0, *(np.flatnonzero(np.diff(keys)) + 1).tolist(), len(keys)]
-            for a, b in zip(cuts, cuts[1:]):
-                if a == b:
-                    continue
-                if current is not None and keys[a] != current:
-                    yield from pairs_of(rows)
-                    rows = []
-                current = keys[a]
-                part = batch.slice(a, b - a)
-                rows.append((part.column("id").to_numpy(), part.column("label").to_numpy(), part.column("lanes").flatten().to_numpy(), part.column("main")[0].as_py()))
-        if rows:
-            yield from pairs_of(rows)
+            out = ([], [])
+            for at in range(0, len(batch), 256):
+                for row in batch.slice(at, 256).to_pylist():
+                    place = (row["key"], row["part"], row["salt"])
+                    if place != current:
+                        current, nodes, block = place, [], None
+                    sign = np.array(row["lanes"], np.int64).view(np.uint8).reshape(-1, 8)[:, :7].ravel()[:samples]
+                    node = (row["id"], row["label"], sign, np.array(row["bands"], np.int64), weighted_set(row["text"], idf))
+                    if not len(node[-1][0]):
+                        continue  # another row of the identifier, without words
+                    if not row["stray"]:
+                        nodes.append(node)
+                    elif nodes:
+                        block = block or Block(row["key"], row["main"], nodes, least, threshold)
+                        for b in block.links(node):
+                            out[0].append(row["id"])
+                            out[1].append(b)
+            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64())], ["a", "b"])
 
     return run
 
 
-def best_partners(buckets: DataFrame, labels: DataFrame, lanes: DataFrame, samples: int) -> DataFrame:
-    """In large buckets of several classes: nodes outside the largest against their most alike of other classes."""
-    placed = placed_nodes(buckets, labels)
-    classes = placed.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"))
-    mixed = classes.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.count(F.lit(1)).alias("classes")).where("classes > 1")
-    rows = placed.join(mixed.select("key", "main"), "key").join(lanes.select("id", "lanes"), "id").select("key", "id", "label", "main", "lanes")
-    found = rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(tidied(partner_kernel(samples)), "a bigint, b bigint")
-    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+def rest_links(buckets: DataFrame, labels: DataFrame, nodes: DataFrame, texts: DataFrame, shared, samples: int, threshold: float) -> DataFrame:
+    """Links (a, b) that join all classes of the large buckets which any similar pair joins. Each node outside its
+    bucket's largest class meets the whole bucket, in blocks bounded by nodes and shingles."""
+    placed = placed_nodes(buckets, labels).join(nodes.select("id", "bands", "lanes", "width"), "id")
+    classes = placed.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"), F.sum("width").alias("width"))
+    size = F.struct("n", "label")
+    mixed = classes.groupBy("key").agg(F.max_by("label", size).alias("main"), F.sum("n").alias("n"), F.max("n").alias("most"), F.sum("width").alias("width"), F.count(F.lit(1)).alias("classes")).where("classes > 1")
+    parts = F.greatest(F.ceil(F.col("n") / BLOCK_NODES), F.ceil(F.col("width") / BLOCK_SHINGLES)).cast("int")
+    mixed = mixed.select("key", "main", parts.alias("parts"), F.ceil((F.col("n") - F.col("most")) / BLOCK_NODES).cast("int").alias("salts"))
+    rows = placed.join(mixed, "key").join(texts, "id")
+    part, salt = F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"), F.pmod(F.xxhash64("id"), F.col("salts")).cast("int")
+    every = lambda many: F.explode(F.sequence(F.lit(0), F.col(many) - 1))
+    kept = ("key", "main", "id", "label", "bands", "lanes", "text")
+    members = rows.select(*kept, part.alias("part"), every("salts").alias("salt"), F.lit(False).alias("stray"))
+    strays = rows.where("label <> main").select(*kept, every("parts").alias("part"), salt.alias("salt"), F.lit(True).alias("stray"))
+    met = members.unionByName(strays).repartition("key", "part", "salt").sortWithinPartitions("key", "part", "salt", "stray")
+    return met.mapInArrow(tidied(rest_kernel(shared, samples, threshold)), "a bigint, b bigint")
 
 
 def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, rounds: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -338,8 +395,8 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BAN
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
     shared = spark.sparkContext.broadcast(inverse_frequencies(texts))
-    signed = materialize(texts.mapInArrow(tidied(signature_kernel(shared, bands, rows)), "id bigint, node binary, bands array<bigint>, lanes array<bigint>"), "signatures", compression="zstd")
-    nodes = materialize(signed.groupBy("node").agg(F.min("id").alias("id"), F.first("bands").alias("bands"), F.first("lanes").alias("lanes")), "nodes", compression="zstd")
+    signed = materialize(texts.mapInArrow(tidied(signature_kernel(shared, bands, rows)), "id bigint, node binary, bands array<bigint>, lanes array<bigint>, width int"), "signatures", compression="zstd")
+    nodes = materialize(signed.groupBy("node").agg(F.min("id").alias("id"), F.first("bands").alias("bands"), F.first("lanes").alias("lanes"), F.first("width").alias("width")), "nodes", compression="zstd")
     keyed = nodes.select("id", F.explode("bands").alias("key"))
     samples = bands * rows
     sizes = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("least")).where("size > 1")
@@ -358,10 +415,9 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BAN
             break
         links = links.unionByName(more)
         labels = components(links)
-    rest = materialize(best_partners(buckets, labels, lanes, samples).join(tried, ["a", "b"], "left_anti"), "pairs")
-    more = materialize(verified(rest, held, shared, threshold), "edges")
+    more = materialize(rest_links(buckets, labels, nodes, held, shared, samples, threshold), "edges")
     if not more.isEmpty():
-        labels = components(links.unionByName(more))
+        labels = components(links.select("a", "b").unionByName(more))
     # Identifiers are nodes too: one that repeats with other words joins the classes of both.
     same = signed.select("id", "node").join(nodes.select("node", F.col("id").alias("head")), "node").select("id", "head")
     of = same.join(labels.withColumnRenamed("id", "head"), "head", "left").select("id", F.coalesce("label", "head").alias("label"))
