@@ -330,6 +330,23 @@ def test_hot_bucket_loses_no_link(spark, monkeypatch):
     assert len(set(label)) == 400 and got == dict(enumerate(label))
 
 
+def test_common_shingles_do_not_part_bare_copies(spark):
+    """Pairs whose bare similarity passes while frequent shared and rare changed shingles keep the weighted one near a half."""
+    parts = [text_of(1000 + f, 107).split() for f in range(60)]
+    texts = [" ".join(w for p in parts for w in p)] * 150
+    for f, part in enumerate(parts):
+        for c in "ab":
+            words = list(part)
+            words[30], words[70] = f"{c}{f}x", f"{c}{f}y"
+            texts.append(" ".join(words))
+    table = docs(spark, texts)
+    idf = near_dedup.inverse_frequencies(table.select(F.col("doc_id").alias("id"), "text"))
+    sets = [near_dedup.weighted_set(t, idf) for t in texts[150:]]
+    assert all(near_dedup.similarity(a, b) >= 0.8 and near_dedup.weighted_jaccard(a, b) < 0.65 for a, b in zip(sets[::2], sets[1::2]))
+    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(table).collect()}
+    assert sum(got[i] == got[i + 1] == i for i in range(150, 270, 2)) == 60
+
+
 def test_sampling_agrees_with_weighted_jaccard():
     rng = np.random.default_rng(3)
     shingles = np.unique(rng.integers(0, 1 << 63, 400).astype(np.uint64))

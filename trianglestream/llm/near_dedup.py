@@ -5,7 +5,9 @@ frequency. Frequencies come from a table of ``2**DF_BITS`` hashed slots filled o
 all documents (the hashing trick), so its size is fixed whatever the input. Improved
 consistent weighted sampling draws ``bands * rows`` samples of each text; texts that
 share a whole band are candidates and are verified by their exact weighted Jaccard
-similarity (or the unweighted one, where that is greater). Classes are the connected components of verified pairs.
+similarity (or the unweighted one, where that is greater). As many samples of the bare
+sets make bands of their own, for pairs that only the unweighted similarity holds
+together. Classes are the connected components of verified pairs.
 
 Copies never meet as pairs: texts with the same words are one node, unfolded at the
 end. In a small band bucket every pair is tried. In a larger one all are tried against
@@ -33,7 +35,8 @@ from .substring import chunked_words, gram_hashes, mix, word_hashes
 
 SHINGLE, THRESHOLD, BANDS, ROWS, DF_BITS = 5, 0.8, 12, 3, 18
 SEGMENT = 1 << 12
-#: Of the samples of a pair, so many must agree before its texts are compared; at the threshold fewer do once in ten thousand.
+#: Of the weighted or of the bare samples of a pair, so many must agree before its texts are compared; at the threshold
+#: of either similarity fewer of its samples do once in ten thousand.
 AGREE = 0.55
 #: Buckets up to this size try every pair; leaders of larger groups are copied for so many members.
 SMALL, SALT = 8, 256
@@ -114,10 +117,15 @@ def consistent_samples(shingles: np.ndarray, log_weight: np.ndarray, starts: np.
     return out
 
 
-def band_keys(tokens: np.ndarray, bands: int, rows: int) -> np.ndarray:
+def bare_samples(shingles: np.ndarray, starts: np.ndarray, samples: int) -> np.ndarray:
+    """MinHash of the bare sets: (samples, texts) tokens, as ``consistent_samples``."""
+    return np.stack([np.minimum.reduceat(mix(shingles ^ np.uint64(0x9FB21C651E98DF25 * (k + 1) & (1 << 64) - 1)), starts) for k in range(samples)])
+
+
+def band_keys(tokens: np.ndarray, bands: int, rows: int, first: int = 0) -> np.ndarray:
     keys = np.empty((tokens.shape[1], bands), np.uint64)
     for b in range(bands):
-        h = np.full(tokens.shape[1], b + 1, np.uint64)
+        h = np.full(tokens.shape[1], first + b + 1, np.uint64)
         for r in range(rows):
             h = mix(h * np.uint64(0x2545F4914F6CDD1D) + tokens[b * rows + r])
         keys[:, b] = h
@@ -134,24 +142,25 @@ def lanes_of(tokens: np.ndarray) -> np.ndarray:
     return wide.view("<i8").reshape(-1, lanes)
 
 
-def agreement(a: str, b: str, lanes: int):
-    """Bytes in which two rows' lanes agree, padding included."""
+def agreement(a: str, b: str, lanes: int, first: int = 0):
+    """Bytes in which two rows' lanes agree from the ``first`` on, padding included."""
     low, high = F.lit(0x7F7F7F7F7F7F7F), F.lit(0x80808080808080)
     total = F.lit(7 * lanes)
-    for i in range(lanes):
+    for i in range(first, first + lanes):
         x = F.col(a)[i].bitwiseXOR(F.col(b)[i])
         total = total - F.bit_count((x.bitwiseAND(low) + low).bitwiseOR(x).bitwiseAND(high))
     return total
 
 
 def alike(a: str, b: str, samples: int):
-    """Whether the samples of two rows agree enough for a comparison of their texts."""
+    """Whether the weighted or the bare samples of two rows agree enough for a comparison of their texts."""
     lanes = -(-samples // 7)
-    return agreement(a, b, lanes) - (7 * lanes - samples) >= int(AGREE * samples)
+    return F.greatest(agreement(a, b, lanes), agreement(a, b, lanes, lanes)) - (7 * lanes - samples) >= int(AGREE * samples)
 
 
 def signature_kernel(shared, bands: int, rows: int):
-    """(id, node, bands, lanes, width): node names the sequence of words, width counts its shingles; no row for texts without words."""
+    """(id, node, bands, lanes, width): node names the sequence of words, width counts its shingles; no row for texts
+    without words. Bands and lanes of the weighted samples come first, then those of the bare ones."""
 
     def run(batches):
         idf = shared.value
@@ -169,10 +178,12 @@ def signature_kernel(shared, bands: int, rows: int):
                         own.append(doc)
                         nodes.append(hashlib.blake2b(words[a:b].tobytes(), digest_size=16).digest())
                 if own:
-                    tokens = consistent_samples(np.concatenate(shingles), np.log(np.concatenate(weights)).astype(np.float32), np.array(starts), bands * rows)
-                    keys = band_keys(tokens, bands, rows)
-                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()))
-                    lanes = lanes_of(tokens)
+                    every = np.concatenate(shingles)
+                    tokens = consistent_samples(every, np.log(np.concatenate(weights)).astype(np.float32), np.array(starts), bands * rows)
+                    bare = bare_samples(every, np.array(starts), bands * rows)
+                    keys = np.concatenate([band_keys(tokens, bands, rows), band_keys(bare, bands, rows, bands)], 1)
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * 2 * bands), pa.array(keys.ravel()))
+                    lanes = np.concatenate([lanes_of(tokens), lanes_of(bare)], 1)
                     packed = pa.ListArray.from_arrays(pa.array(np.arange(len(own) + 1, dtype=np.int32) * lanes.shape[1]), pa.array(lanes.ravel()))
                     yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(nodes, pa.binary()), lists, packed, pa.array(np.diff([*starts, n]), pa.int32())], ["id", "node", "bands", "lanes", "width"])
 
@@ -300,7 +311,9 @@ class Block:
 
     def enough(self, sign: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Per node how many samples agree and whether these are enough."""
-        agree = (self.signs == sign[:, None]).sum(0)
+        half = len(sign) // 2
+        same = self.signs == sign[:, None]
+        agree = np.maximum(same[:half].sum(0), same[half:].sum(0))
         return agree, agree >= self.least
 
     def similarities(self, chosen: np.ndarray, size: int, total: float) -> np.ndarray:
@@ -355,7 +368,7 @@ def rest_kernel(shared, samples: int, threshold: float):
                     place = (row["key"], row["part"], row["salt"])
                     if place != current:
                         current, nodes, block = place, [], None
-                    sign = np.array(row["lanes"], np.int64).view(np.uint8).reshape(-1, 8)[:, :7].ravel()[:samples]
+                    sign = np.array(row["lanes"], np.int64).view(np.uint8).reshape(2, -1, 8)[:, :, :7].reshape(2, -1)[:, :samples].ravel()
                     node = (row["id"], row["label"], sign, np.array(row["bands"], np.int64), weighted_set(row["text"], idf))
                     if not len(node[-1][0]):
                         continue  # another row of the identifier, without words
