@@ -278,73 +278,80 @@ def test_reference_spans(spark):
 # --- near-duplicates
 
 
+def near(spark, texts, **options):
+    return {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(docs(spark, texts), **options).collect()}
+
+
+def edited(base, rng, most, mark):
+    words = list(base)
+    for at in rng.sample(range(len(words)), rng.randrange(0, most)):
+        words[at] = f"{mark}x{at}"
+    return " ".join(words)
+
+
 def test_near_classes_equal_brute_force(spark):
-    rng = random.Random(8)
-    texts = []
+    rng, texts = random.Random(8), []
     for f in range(12):
         base = text_of(f, 120).split()
-        for c in range(rng.randrange(1, 14)):
-            words = list(base)
-            for _ in range(rng.randrange(0, 5)):
-                words[rng.randrange(120)] = f"new{rng.randrange(1000)}"
-            texts.append(" ".join(words))
+        texts += [edited(base, rng, 5, f"n{f}x{c}") for c in range(rng.randrange(1, 14))]
     texts += ["", None, "", "one two three", "one two three", "four"]
-    table = docs(spark, texts)
-    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(table).collect()}
-    idf = near_dedup.inverse_frequencies(table.select(F.col("doc_id").alias("id"), "text"))
-    sets = [near_dedup.weighted_set(t, idf) for t in texts]
-    label = list(range(len(texts)))
-    changed = True
-    while changed:
-        changed = False
-        for i in range(len(texts)):
-            for j in range(i):
-                if label[i] != label[j] and near_dedup.similarity(sets[i], sets[j]) >= 0.8:
-                    low, high = sorted((label[i], label[j]))
-                    label = [low if x == high else x for x in label]
-                    changed = True
-    assert got == dict(enumerate(label))
-
-
-def test_hot_bucket_loses_no_link(spark, monkeypatch):
-    """One crowd of texts alike by three fifths, of which 200 pairs pass the threshold."""
-    rng = random.Random(31)
-    base, texts = text_of(77, 120).split(), []
+    assert near(spark, texts) == dict(enumerate(near_dedup.brute_force_classes(texts)))
+
+
+def test_families_of_one_template_lose_no_link(spark):
+    """Families that share a template: their buckets hold many classes, of more than eight texts and of fewer."""
+    rng, template, texts = random.Random(5), text_of(1, 150).split(), []
+    for f in range(60):
+        base = list(template)
+        for at in rng.sample(range(150), rng.randrange(2, 9)):
+            base[at] = f"f{f}x{at}"
+        texts += [edited(base, rng, 4, f"c{f}x{c}") for c in range(8)]
+    want = near_dedup.brute_force_classes(texts)
+    assert 100 < len(set(want)) < 400 and near(spark, texts) == dict(enumerate(want))
+
+
+def test_hot_bucket_loses_no_link(spark):
+    """One crowd of texts alike by three fifths, of which some pairs pass the threshold."""
+    rng, base, texts = random.Random(31), text_of(77, 120).split(), []
     for f in range(400):
         edits = [(at, f"e{f}x{at}") for at in rng.sample(range(5, 115, 5), 4)]
-        for own in [edits[:3], edits[1:]][: 1 + f % 2]:
+        for own in [edits[:3], edits][: 1 + f % 2]:
             words = list(base)
             for at, word in own:
                 words[at] = word
             texts.append(" ".join(words))
-    monkeypatch.setattr(near_dedup, "inverse_frequencies", lambda rows: np.ones(1 << near_dedup.DF_BITS, np.float32))
-    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(docs(spark, texts)).collect()}
-    sets = [set(near_dedup.weighted_set(t, np.ones(1 << near_dedup.DF_BITS))[0].tolist()) for t in texts]
-    label = list(range(len(texts)))
-    for i in range(len(texts)):
-        for j in range(i):
-            both = len(sets[i] & sets[j])
-            if label[i] != label[j] and both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
-                low, high = sorted((label[i], label[j]))
-                label = [low if x == high else x for x in label]
-    assert len(set(label)) == 400 and got == dict(enumerate(label))
-
-
-def test_common_shingles_do_not_part_bare_copies(spark):
-    """Pairs whose bare similarity passes while frequent shared and rare changed shingles keep the weighted one near a half."""
-    parts = [text_of(1000 + f, 107).split() for f in range(60)]
-    texts = [" ".join(w for p in parts for w in p)] * 150
-    for f, part in enumerate(parts):
-        for c in "ab":
-            words = list(part)
-            words[30], words[70] = f"{c}{f}x", f"{c}{f}y"
-            texts.append(" ".join(words))
+    want = near_dedup.brute_force_classes(texts)
+    assert 200 < len(set(want)) < 600 and near(spark, texts) == dict(enumerate(want))
+
+
+def test_block_index_finds_all_partners():
+    rng, texts = random.Random(2), []
+    base = text_of(3, 80).split()
+    texts = [edited(base, rng, 12, f"k{i}") for i in range(120)]
+    ones = lambda t: (near_dedup.text_shingles(t)[0], np.ones(len(near_dedup.text_shingles(t)[0])))
+    sets = [ones(t) for t in texts]
+    nodes = [(i, i, np.zeros(3, np.int64), s) for i, s in enumerate(sets)]
+    for x in range(0, 120, 7):
+        block = near_dedup.Block(0, -1, nodes, 0.8)
+        got = set(block.links(nodes[x]))
+        assert got == {y for y in range(x) if near_dedup.weighted_jaccard(sets[x], sets[y]) >= 0.8}
+
+
+def test_frequencies_are_exact_and_identifiers_may_repeat(spark):
+    texts = [text_of(i % 7, 40) + f" tail{i}" for i in range(60)] + [text_of(1, 8)] * 3
     table = docs(spark, texts)
-    idf = near_dedup.inverse_frequencies(table.select(F.col("doc_id").alias("id"), "text"))
-    sets = [near_dedup.weighted_set(t, idf) for t in texts[150:]]
-    assert all(near_dedup.similarity(a, b) >= 0.8 and near_dedup.weighted_jaccard(a, b) < 0.65 for a, b in zip(sets[::2], sets[1::2]))
-    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(table).collect()}
-    assert sum(got[i] == got[i + 1] == i for i in range(150, 270, 2)) == 60
+    known = {}
+    for t in texts:
+        for x in near_dedup.text_shingles(t)[0].tolist():
+            known[x] = known.get(x, 0) + 1
+    for r in near_dedup.signatures(table.select(F.col("doc_id").alias("id"), "text"), 2, 2).collect():
+        shingles, weights = near_dedup.weighted_set(r["text"], r["weights"])
+        _, counts = near_dedup.text_shingles(texts[r["id"]])
+        want = counts * (1 + np.log((1 + len(texts)) / (1 + np.array([known[x] for x in shingles.tolist()]))))
+        assert np.allclose(weights, want, rtol=1e-5) and abs(r["total"] - want.sum()) < 1e-2
+    one, two = text_of(1, 100), text_of(2, 100)
+    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(docs(spark, [one, two, one + " end", two + " end", None], [5, 5, 6, 7, None])).collect()}
+    assert got == {5: 5, 6: 5, 7: 5, None: None}
 
 
 def test_sampling_agrees_with_weighted_jaccard():
@@ -352,7 +359,7 @@ def test_sampling_agrees_with_weighted_jaccard():
     shingles = np.unique(rng.integers(0, 1 << 63, 400).astype(np.uint64))
     a, b = shingles[:300], shingles[100:]
     wa, wb = rng.random(len(a)) * 3 + 0.5, rng.random(len(b)) * 3 + 0.5
-    tokens = near_dedup.consistent_samples(np.concatenate([a, b]), np.log(np.concatenate([wa, wb])).astype(np.float32), np.array([0, len(a)]), 3000)
+    tokens = near_dedup.consistent_samples(np.concatenate([a, b]), np.log(np.concatenate([wa, wb])).astype(np.float32), np.array([0, len(a)]), 3000, near_dedup.draw_tables())
     want = near_dedup.weighted_jaccard((a, wa), (b, wb))
     assert abs((tokens[:, 0] == tokens[:, 1]).mean() - want) < 0.03
 

@@ -97,25 +97,6 @@ def encode_word(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return merge_short(piece, ranks) if len(piece) <= 64 else merge_long(piece, ranks)
 
 
-def squeeze(data: bytes) -> bytes:
-    return len(data).to_bytes(8, "little") + pa.Codec("zstd", compression_level=6).compress(data, asbytes=True)
-
-
-def expand(data: bytes) -> bytes:
-    return pa.Codec("zstd").decompress(data[8:], decompressed_size=int.from_bytes(data[:8], "little"), asbytes=True)
-
-
-def pack_numbers(values: np.ndarray) -> bytes:
-    """Byte planes of unsigned numbers, then zstd."""
-    planes = np.ascontiguousarray(values.astype("<u4").view(np.uint8).reshape(-1, 4).T)
-    return squeeze(planes.tobytes())
-
-
-def unpack_numbers(data: bytes) -> np.ndarray:
-    planes = np.frombuffer(expand(data), np.uint8)
-    return np.ascontiguousarray(planes.reshape(4, -1).T).view("<u4").ravel().astype(np.int64)
-
-
 def pack_words(words: list[bytes]) -> tuple[bytes, bytes]:
     return squeeze(b"".join(words)), pack_numbers(np.fromiter(map(len, words), np.int64, len(words)))
 
@@ -132,13 +113,6 @@ BLOCK_SCHEMA = T.StructType([
 ARROW_BLOCK = pa.schema([("block", pa.int64()), ("pack", pa.int32()), ("docs", pa.list_(pa.int64())), ("data", pa.binary()), ("ends", pa.binary()), ("packs", pa.binary())])
 
 
-def bucketed(df: DataFrame, buckets: int) -> DataFrame:
-    """Write ``df`` as a table bucketed by block and read it back: bodies, the bulk, then need no further shuffle."""
-    spark, name = df.sparkSession, f"blocks_{uuid.uuid4().hex}"
-    df.write.option("path", new_path(spark, "blocks")).option("compression", "zstd").bucketBy(buckets, "block").saveAsTable(name)
-    return spark.table(name)
-
-
 def split_kernel(pattern: str, packs: int, block_chars: int):
     """Documents to blocks: one body row (pack BODY) and one row for each pack that has words."""
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 
@@ -38,6 +39,19 @@ def release(*tables: DataFrame) -> None:
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def bucketed(df: DataFrame, buckets: int, column: str = "block") -> tuple[DataFrame, str]:
+    """``df`` as a table bucketed by ``column``, whose rows then need no further shuffle by it, and the table's name."""
+    spark, name = df.sparkSession, f"blocks_{uuid.uuid4().hex}"
+    df.write.option("path", new_path(spark, "blocks")).option("compression", "zstd").bucketBy(buckets, column).saveAsTable(name)
+    return spark.table(name), name
+
+
+def drop_bucketed(table: DataFrame, name: str) -> None:
+    """Forget a bucketed table that no pending result reads, and delete its files."""
+    release(table)
+    table.sparkSession.sql(f"DROP TABLE IF EXISTS {name}")
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
@@ -64,12 +78,18 @@ def working_name(df: DataFrame, base: str) -> str:
     return name
 
 
+def read_batches(batches, size: int):
+    """The batches in slices of at most ``size`` rows."""
+    for batch in batches:
+        for at in range(0, len(batch), size):
+            yield batch.slice(at, size)
+
+
 def only_listed(rows: DataFrame, listed: DataFrame, bits: int = 1 << 23) -> DataFrame:
     """``rows`` whose id may be in ``listed`` (id): a bitmap of ``bits`` bits, whatever the input, drops most others.
 
     False positives stay, so a join must follow; it then moves few rows besides those it needs.
     """
-    import numpy as np
     import pyarrow as pa
 
     place = F.pmod(F.xxhash64("id"), F.lit(bits))
@@ -110,3 +130,26 @@ def tidied(kernel):
                 pass  # another C library
 
     return run
+
+
+def squeeze(data: bytes) -> bytes:
+    import pyarrow as pa
+
+    return len(data).to_bytes(8, "little") + pa.Codec("zstd", compression_level=6).compress(data, asbytes=True)
+
+
+def expand(data: bytes) -> bytes:
+    import pyarrow as pa
+
+    return pa.Codec("zstd").decompress(data[8:], decompressed_size=int.from_bytes(data[:8], "little"), asbytes=True)
+
+
+def pack_numbers(values: np.ndarray) -> bytes:
+    """Byte planes of unsigned numbers, then zstd."""
+    planes = np.ascontiguousarray(values.astype("<u4").view(np.uint8).reshape(-1, 4).T)
+    return squeeze(planes.tobytes())
+
+
+def unpack_numbers(data: bytes) -> np.ndarray:
+    planes = np.frombuffer(expand(data), np.uint8)
+    return np.ascontiguousarray(planes.reshape(4, -1).T).view("<u4").ravel().astype(np.int64)
