@@ -6,25 +6,31 @@ words (compressed), and hands those words on in packs chosen by a word hash. All
 packs of one hash class meet in one place, where each distinct word is encoded
 once; the ids go back to their blocks, and blocks are put together again by
 position. Only distinct words of blocks are shuffled by word, so frequent words
-cost one entry a block. Decoding looks tokens up in the token-byte table, which
-the vocabulary file bounds.
+cost one entry a block. Decoding joins ids and the token-byte table by rank, which
+is a table's row number there, so the join is one Arrow ``take`` a batch; the
+vocabulary file bounds the table.
+
+``encode_exploded`` and ``decode_exploded`` are the same as rows: a row for each
+pre-token and position, a distinct-word table, joins by word and by rank. They give
+equal results and move several times the input, so the packed form is the main path.
 
 Null texts count as empty and give no ids; identifiers may be null or repeat, each
-row is encoded on its own. Any Unicode text round-trips exactly.
+row is encoded on its own, ties and repeated rows too; very long texts are encoded
+whole; an empty table gives no rows; only identifier and text are read, so other
+columns cannot clash. Any Unicode text round-trips exactly.
 """
 
 from __future__ import annotations
 
 import base64
 import heapq
-import uuid
 import zlib
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, new_path, tidied
+from .common import bucketed, documents, drop_bucketed, materialize, pack_numbers, squeeze, expand, read_batches, tidied, unpack_numbers
 
 #: White space as the Unicode property has it; fixed values.
 WHITE_SPACE = "\\t\\n\\x0b\\x0c\\r\\x20\\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
@@ -224,35 +230,39 @@ def assemble_kernel(batches):
             yield pa.RecordBatch.from_arrays([pa.array(row["docs"][at : at + 256], pa.int64()), lists], ["id", "ids"])
 
 
-def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", packs: int | None = None, block_chars: int = 8_000_000) -> DataFrame:
-    """``docs`` with ids by the rank file at ``path``: columns id_col and ids (array of int)."""
+def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", packs: int | None = None, block_chars: int = 8_000_000) -> tuple[DataFrame, tuple]:
+    """(id_col, ids) by the rank file at ``path``, one row for each row of ``docs``, and the working table behind it, which
+    ``drop_bucketed`` deletes once the rows are read."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(load_ranks(path))
     packs = packs or max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     rows = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
-    blocks = bucketed(rows.mapInArrow(tidied(split_kernel(explicit_spaces(pattern), packs, block_chars)), BLOCK_SCHEMA), packs)
+    blocks, name = bucketed(rows.mapInArrow(tidied(split_kernel(explicit_spaces(pattern), packs, block_chars)), BLOCK_SCHEMA), packs)
     words = blocks.where(F.col("pack") != BODY).select("block", "pack", "data", "ends").repartition("pack").sortWithinPartitions("pack")
     coded = words.mapInArrow(tidied(encode_kernel(shared)), "block bigint, pack int, data binary, ends binary")
     by_block = coded.repartition(packs, "block").groupBy("block").agg(F.collect_list(F.struct("pack", "data", "ends")).alias("coded"))
     bodies = blocks.where(F.col("pack") == BODY).select("block", "docs", "data", "ends", "packs")
     together = bodies.join(by_block.hint("shuffle_hash"), "block", "left")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
-    return together.mapInArrow(tidied(assemble_kernel), schema).withColumnRenamed("id", id_col)
+    return together.mapInArrow(tidied(assemble_kernel), schema).withColumnRenamed("id", id_col), (blocks, name)
 
 
-def decode_kernel(shared_table):
-    """Ids to bytes by one look-up in the token-byte table for each batch."""
+def decode_kernel(shared_table, most_tokens: int = 1 << 22):
+    """Ids to bytes by one join with the token-byte table for each batch of at most 512 rows and about ``most_tokens`` ids."""
 
     def run(batches):
         table = shared_table.value
-        for batch in (b.slice(at, 512) for b in batches for at in range(0, len(b), 512)):
-            lists = batch.column("ids")
-            ends = lists.offsets.to_numpy()
-            tokens = table.take(lists.values.slice(ends[0], ends[-1] - ends[0]).cast(pa.int32()))
-            at = np.frombuffer(tokens.buffers()[1], np.int64)[tokens.offset : tokens.offset + len(tokens) + 1] if len(tokens) else np.zeros(1, np.int64)
-            data = tokens.buffers()[2] if len(tokens) else pa.py_buffer(b"")
-            joined = pa.Array.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(np.ascontiguousarray(at[ends - ends[0]])), data])
-            yield batch.append_column("decoded", joined.cast(pa.binary()))
+        for batch in read_batches(batches, 512):
+            size = batch.column("ids").value_lengths().to_numpy(zero_copy_only=False).cumsum()
+            cuts = np.unique(np.append(np.searchsorted(size, np.arange(1, int(size[-1]) // most_tokens + 1) * most_tokens) + 1, len(batch))) if len(batch) else []
+            for part in (batch.slice(a, b - a) for a, b in zip([0, *cuts], cuts)):
+                lists = part.column("ids")
+                ends = lists.offsets.to_numpy()
+                tokens = table.take(lists.values.slice(ends[0], ends[-1] - ends[0]).cast(pa.int32()))
+                at = np.frombuffer(tokens.buffers()[1], np.int64)[tokens.offset : tokens.offset + len(tokens) + 1] if len(tokens) else np.zeros(1, np.int64)
+                data = tokens.buffers()[2] if len(tokens) else pa.py_buffer(b"")
+                joined = pa.Array.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(np.ascontiguousarray(at[ends - ends[0]])), data])
+                yield part.append_column("decoded", joined.cast(pa.binary()))
 
     return run
 
@@ -266,17 +276,68 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
     return encoded.mapInArrow(tidied(decode_kernel(shared)), schema)
 
 
+def exploded_words(docs: DataFrame, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(row, id_col, position, word): every pre-token of every row with its place; a row without any has one null word."""
+    written = explicit_spaces(pattern)
+
+    def run(batches):
+        import regex
+
+        find = regex.compile(written).findall
+        for batch in read_batches(batches, 64):
+            for row, doc, text in zip(*[batch.column(c).to_pylist() for c in range(3)]):
+                words = [w.encode() for w in find(text or "")] or [None]
+                for at in range(0, len(words), 1 << 16):
+                    part = words[at : at + (1 << 16)]
+                    yield pa.RecordBatch.from_arrays([pa.array([row] * len(part), pa.int64()), pa.array([doc] * len(part), pa.int64()), pa.array(np.arange(at, at + len(part))), pa.array(part, pa.binary())], ["row", "id", "position", "word"])
+
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
+    return rows.mapInArrow(tidied(run), "row bigint, id bigint, position bigint, word binary").withColumnRenamed("id", id_col)
+
+
+def encode_exploded(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id_col, ids) as ``encode``, by rows: distinct words are encoded once and joined back to their positions."""
+    shared = docs.sparkSession.sparkContext.broadcast(load_ranks(path))
+
+    def run(batches):
+        ranks = shared.value
+        for batch in read_batches(batches, 4096):
+            yield batch.append_column("coded", pa.array([encode_word(w, ranks) for w in batch.column(0).to_pylist()], pa.list_(pa.int32())))
+
+    words = materialize(exploded_words(docs, pattern, id_col, text_col), "words", compression="zstd")
+    coded = words.where("word is not null").select("word").distinct().mapInArrow(tidied(run), "word binary, coded array<int>")
+    places = words.join(coded, "word", "left").select("row", id_col, "position", F.coalesce("coded", F.array().cast("array<int>")).alias("coded"))
+    ids = F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("position", "coded"))), lambda x: x["coded"]))
+    return places.groupBy("row", id_col).agg(ids.alias("ids")).drop("row")
+
+
+def decode_exploded(encoded: DataFrame, path: str) -> DataFrame:
+    """``encoded`` with a column decoded, by a join of exploded ids with the token-byte table (rank, token)."""
+    spark = encoded.sparkSession
+    table = spark.createDataFrame([(rank, token.decode("latin-1")) for token, rank in load_ranks(path).items()], "rank int, token string")
+    rows = materialize(encoded.withColumn("row", F.monotonically_increasing_id()), "encoded")
+    each = rows.select("row", F.posexplode("ids").alias("position", "rank")).join(F.broadcast(table), "rank")
+    text = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("position", "token"))), lambda x: x["token"]), "")
+    joined = rows.join(each.groupBy("row").agg(text.alias("decoded")), "row", "left")
+    return joined.withColumn("decoded", F.encode(F.coalesce("decoded", F.lit("")), "ISO-8859-1")).drop("row")
+
+
 def token_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    coded = decode(encode(docs, path, pattern), path)
-    return coded.select(
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256), written, as the working table goes with this call."""
+    coded, working = encode(docs, path, pattern)
+    digests = decode(coded, path).select(
         "doc_id",
         F.size("ids").cast("bigint").alias("n_tokens"),
         F.sha2(F.array_join("ids", ","), 256).alias("ids_sha256"),
         F.sha2("decoded", 256).alias("decoded_sha256"),
     )
+    written = materialize(digests, "digests")
+    drop_bucketed(*working)
+    return written
 
 
 def op5_byte_bpe(spark, sf_dir: str, vocabulary: str = "byte_bpe_multi_50k.tiktoken") -> DataFrame:
+    """Whole ``documents``: doc_id, n_tokens, ids_sha256, decoded_sha256, one row for each row."""
     import public_tokenizers
 
     return token_digests(documents(spark, sf_dir), public_tokenizers.path(vocabulary), public_tokenizers.PATTERN)

@@ -11,14 +11,17 @@ hash of seed and identifier lies below its cell's probability.
 The topic is a rule over the text: the first marker it holds, else by its length.
 Nulls are a value of their own (``?``), null texts have no tokens but count as a
 cell with the least weight of one token, repeated rows share their draw, an empty
-table gives no rows. Marginals of an empty cell set cannot be met and stay short.
+table gives no rows. Marginals of an empty cell set cannot be met and stay short;
+``residuals`` reports how far each axis is from its target after the sweeps. Columns
+of the input that bear the names added here keep their values; the added ones then get
+leading underscores.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .common import documents, materialize, unit_hash, working_name
+from .common import documents, materialize, release, unit_hash, working_name
 
 AXES = ["source", "lang", "topic"]
 #: Topic rules in order: name, texts of which one must occur.
@@ -41,12 +44,13 @@ def token_count(text: Column) -> Column:
     return (F.length(text) - F.length(F.replace(F.replace(text, F.lit(" "), F.lit("")), F.lit("\n"), F.lit(""))) + 1).cast("bigint")
 
 
-def described(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """``docs`` with mix_source, mix_lang, mix_topic and mix_tokens."""
+def described(docs: DataFrame, text_col: str = "text") -> tuple[DataFrame, dict[str, str]]:
+    """``docs`` with source, lang, topic and tokens of the mix, and the names of these columns."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     have = {c.lower() for c in docs.columns}
+    name = {a: working_name(docs, f"mix_{a}") for a in (*AXES, "tokens", "ratio", "probability", "kept")}
     axis = {a: F.coalesce(F.col(a).cast("string"), F.lit("?")) if a in have else F.lit("?") for a in ("source", "lang")}
-    return docs.withColumns({"mix_source": axis["source"], "mix_lang": axis["lang"], "mix_topic": topic_of(text), "mix_tokens": token_count(text)})
+    return docs.withColumns({name["source"]: axis["source"], name["lang"]: axis["lang"], name["topic"]: topic_of(text), name["tokens"]: token_count(text)}), name
 
 
 def targets_of(cells: DataFrame, axis: str, given: dict[str, float] | None, temper: float) -> DataFrame:
@@ -69,6 +73,7 @@ def fit_cells(cells: DataFrame, given: dict[str, dict[str, float]], temper: floa
     # of its own over the cells, so plans stay small however many sweeps there are.
     share = cells.withColumn("share", F.col("tokens") / F.lit(total))
     factors = {a: targets[a].select(a, F.lit(1.0).alias(f"{a}_factor")) for a in AXES}
+    spent = []
     for _ in range(sweeps):
         for axis in AXES:
             rows, weight = share, F.col("share")
@@ -77,12 +82,14 @@ def fit_cells(cells: DataFrame, given: dict[str, dict[str, float]], temper: floa
                     rows, weight = rows.join(factors[other], other), weight * F.col(f"{other}_factor")
             have = rows.groupBy(axis).agg(F.sum(weight).alias("have")).join(targets[axis], axis)
             new = have.select(axis, F.when(F.col("have") > 0, F.col("target") / F.col("have")).otherwise(0.0).alias(f"{axis}_factor"))
+            spent.append(factors[axis])
             factors[axis] = materialize(new, "factors")
     now = share
     for axis in AXES:
         now = now.join(factors[axis], axis)
-    now = materialize(now.select(*AXES, "tokens", (F.col("share") * F.col("source_factor") * F.col("lang_factor") * F.col("topic_factor")).alias("fit")), "fit")
-    now = now.withColumn("ratio", F.col("fit") * F.lit(total) / F.col("tokens"))
+    fit = materialize(now.select(*AXES, "tokens", (F.col("share") * F.col("source_factor") * F.col("lang_factor") * F.col("topic_factor")).alias("fit")), "fit")
+    release(*spent[len(AXES) :], *targets.values())  # the first factors are ones and no tables
+    now = fit.withColumn("ratio", F.col("fit") * F.lit(total) / F.col("tokens"))
     scale = float(budget)
     for _ in range(SCALE_STEPS):
         certain = F.col("ratio") * F.lit(scale) >= 1
@@ -93,23 +100,41 @@ def fit_cells(cells: DataFrame, given: dict[str, dict[str, float]], temper: floa
     return now.withColumn("probability", F.least(F.lit(1.0), F.col("ratio") * F.lit(scale))).select(*AXES, "tokens", "fit", "ratio", "probability")
 
 
-def calibrated(docs: DataFrame, targets: dict[str, dict[str, float]] | None = None, temper: float = 0.7, budget: float = 0.8, sweeps: int = SWEEPS, seed: int = 13, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with mix_source, mix_lang, mix_topic, mix_tokens, mix_ratio, mix_probability, mix_kept."""
-    rows = described(docs, text_col)
-    cells = materialize(rows.groupBy(*[F.col(f"mix_{a}").alias(a) for a in AXES]).agg(F.sum("mix_tokens").alias("tokens")), "cells")
+def residuals(fitted: DataFrame, given: dict[str, dict[str, float]] | None = None, temper: float = 0.7) -> DataFrame:
+    """(axis, value, target, share, residual) of fitted cells: what the sweeps left between the shares and their targets."""
+    rows = None
+    for axis in AXES:
+        have = fitted.groupBy(axis).agg(F.sum("fit").alias("share")).join(targets_of(fitted, axis, (given or {}).get(axis), temper), axis)
+        part = have.select(F.lit(axis).alias("axis"), F.col(axis).alias("value"), "target", "share", F.abs(F.col("share") - F.col("target")).alias("residual"))
+        rows = part if rows is None else rows.unionByName(part)
+    return rows
+
+
+def cells_of(rows: DataFrame, name: dict[str, str]) -> DataFrame:
+    return rows.groupBy(*[F.col(name[a]).alias(a) for a in AXES]).agg(F.sum(name["tokens"]).alias("tokens"))
+
+
+def calibrated(docs: DataFrame, targets: dict[str, dict[str, float]] | None = None, temper: float = 0.7, budget: float = 0.8, sweeps: int = SWEEPS, seed: int = 13, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, dict[str, str]]:
+    """``docs`` with columns mix_source, mix_lang, mix_topic, mix_tokens, mix_ratio, mix_probability and mix_kept, and
+    their names by the part after ``mix_``, which differ where ``docs`` has such columns."""
+    rows, name = described(docs, text_col)
+    cells = materialize(cells_of(rows, name), "cells")
     fitted = fit_cells(cells, targets or {}, temper, sweeps, budget)
-    fitted = materialize(fitted.select(*[F.col(a).alias(f"mix_{a}") for a in AXES], F.col("ratio").alias("mix_ratio"), F.col("probability").alias("mix_probability")), "fitted")
-    joined = rows.join(fitted, [f"mix_{a}" for a in AXES], "left")
-    return joined.withColumn("mix_kept", F.coalesce(unit_hash(id_col, seed=seed) < F.col("mix_probability"), F.lit(False)))
+    fitted = materialize(fitted.select(*[F.col(a).alias(name[a]) for a in AXES], F.col("ratio").alias(name["ratio"]), F.col("probability").alias(name["probability"])), "fitted")
+    release(cells)
+    joined = rows.join(fitted, [name[a] for a in AXES], "left")
+    return joined.withColumn(name["kept"], F.coalesce(unit_hash(id_col, seed=seed) < F.col(name["probability"]), F.lit(False))), name
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
     """The drawn rows of ``docs`` with their own columns."""
-    return calibrated(docs, **options).where("mix_kept").select(*[f"`{c}`" for c in docs.columns])
+    drawn, name = calibrated(docs, **options)
+    return drawn.where(F.col(name["kept"])).select(*[f"`{c}`" for c in docs.columns])
 
 
 def op1_mixing(spark, sf_dir: str) -> DataFrame:
-    drawn = calibrated(documents(spark, sf_dir).select("doc_id", "text", "source", "lang"))
+    """Whole ``documents``: doc_id, cell, tokens, ratio, probability and whether the row is drawn, one row for each."""
+    drawn, _ = calibrated(documents(spark, sf_dir).select("doc_id", "text", "source", "lang"))
     return drawn.select(
         "doc_id", F.col("mix_source").alias("source"), F.col("mix_lang").alias("lang"), F.col("mix_topic").alias("topic"), F.col("mix_tokens").alias("tokens"),
         F.round("mix_ratio", 6).alias("ratio"), F.round("mix_probability", 6).alias("probability"), F.col("mix_kept").alias("kept"),

@@ -32,7 +32,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import bucketed, documents, drop_bucketed, materialize, only_listed, pack_numbers, read_batches, release, tidied, unpack_numbers, working_name
+from .common import bucketed, documents, drop_bucketed, expand, materialize, only_listed, pack_numbers, read_batches, release, squeeze, tidied, unpack_numbers, working_name
 from .substring import chunked_words, gram_hashes, mix, word_grid, word_hashes
 
 SHINGLE, THRESHOLD, BANDS, ROWS = 5, 0.8, 14, 4
@@ -42,7 +42,9 @@ SMALL, SALT = 8, 256
 BLOCK_NODES, BLOCK_SHINGLES = 1024, 1 << 19
 #: Pack of a block's texts; characters of a block.
 BODY, BLOCK_BYTES = 1 << 30, 8_000_000
-R_BITS, C_BITS = 16, 18
+#: Shingles are counted by so many bits of their hash: a count holds another shingle's documents with a chance of their
+#: number over 2**48. Bits of the tables of draws.
+NAME_BITS, R_BITS, C_BITS = 48, 16, 18
 
 
 def shingle_counts(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -56,16 +58,32 @@ def text_shingles(text: str) -> tuple[np.ndarray, np.ndarray]:
     return shingle_counts(word_hashes(data, *word_grid(data)))
 
 
-def pack_of(shingles: np.ndarray, packs: int) -> np.ndarray:
-    """Hash range of each shingle; ascending as the shingles are."""
-    return ((shingles >> np.uint64(32)) * np.uint64(packs) >> np.uint64(32)).astype(np.int64)
+def name_of(shingles: np.ndarray) -> np.ndarray:
+    """The leading bits by which a shingle is counted."""
+    return shingles >> np.uint64(64 - NAME_BITS)
+
+
+def pack_of(names: np.ndarray, packs: int) -> np.ndarray:
+    """Hash range of each name; ascending as the names are."""
+    return ((names >> np.uint64(NAME_BITS - 32)) * np.uint64(packs) >> np.uint64(32)).astype(np.int64)
+
+
+def pack_names(names: np.ndarray) -> bytes:
+    """Ascending names as byte planes of their differences, then zstd."""
+    gaps = np.diff(names, prepend=np.uint64(0)).astype("<u8")
+    return squeeze(np.ascontiguousarray(gaps.view(np.uint8).reshape(-1, 8).T).tobytes())
+
+
+def unpack_names(data: bytes) -> np.ndarray:
+    planes = np.frombuffer(expand(data), np.uint8).reshape(8, -1)
+    return np.cumsum(np.ascontiguousarray(planes.T).view("<u8").ravel(), dtype=np.uint64)
 
 
 BLOCKS = T.StructType([
     T.StructField("block", T.LongType()), T.StructField("pack", T.IntegerType()), T.StructField("ids", T.ArrayType(T.LongType())),
-    T.StructField("texts", T.ArrayType(T.StringType())), T.StructField("hashes", T.BinaryType()), T.StructField("counts", T.BinaryType()),
+    T.StructField("texts", T.ArrayType(T.StringType())), T.StructField("names", T.BinaryType()), T.StructField("counts", T.BinaryType()),
 ])
-ARROW_BLOCKS = pa.schema([("block", pa.int64()), ("pack", pa.int32()), ("ids", pa.list_(pa.int64())), ("texts", pa.list_(pa.string())), ("hashes", pa.binary()), ("counts", pa.binary())])
+ARROW_BLOCKS = pa.schema([("block", pa.int64()), ("pack", pa.int32()), ("ids", pa.list_(pa.int64())), ("texts", pa.list_(pa.string())), ("names", pa.binary()), ("counts", pa.binary())])
 
 
 def block_kernel(packs: int):
@@ -79,10 +97,10 @@ def block_kernel(packs: int):
         ids, texts, sets, held = [], [], [], 0
 
         def flush():
-            shingles, counts = np.unique(np.concatenate(sets), return_counts=True)
-            pack = pack_of(shingles, packs)
-            cuts = [0, *(np.flatnonzero(np.diff(pack)) + 1).tolist(), len(shingles)]
-            rows = [{"block": (partition << 32) | made, "pack": int(pack[a]), "hashes": shingles[a:b].tobytes(), "counts": pack_numbers(counts[a:b])} for a, b in zip(cuts, cuts[1:])]
+            names, counts = np.unique(np.concatenate(sets), return_counts=True)
+            pack = pack_of(names, packs)
+            cuts = [0, *(np.flatnonzero(np.diff(pack)) + 1).tolist(), len(names)]
+            rows = [{"block": (partition << 32) | made, "pack": int(pack[a]), "names": pack_names(names[a:b]), "counts": pack_numbers(counts[a:b])} for a, b in zip(cuts, cuts[1:])]
             rows.append({"block": (partition << 32) | made, "pack": BODY, "ids": ids, "texts": texts})
             return pa.RecordBatch.from_pylist(rows, schema=ARROW_BLOCKS)
 
@@ -92,7 +110,7 @@ def block_kernel(packs: int):
                 ends = np.append(begin, len(data))
                 for doc, a, b in zip(own.to_pylist(), first, first[1:]):
                     if b > a:
-                        sets.append(shingle_counts(words[a:b])[0])
+                        sets.append(np.unique(name_of(shingle_counts(words[a:b])[0])))
                         if doc is not None:
                             ids.append(doc)
                             texts.append(data[begin[a] : stop[b - 1]].tobytes().decode())
@@ -121,13 +139,13 @@ def frequency_kernel(batches):
 
     current, blocks, sets, counts = None, [], [], []
     for batch in read_batches(batches, 64):
-        for block, pack, hashes, own in zip(*[batch.column(c).to_pylist() for c in ("block", "pack", "hashes", "counts")]):
+        for block, pack, names, own in zip(*[batch.column(c).to_pylist() for c in ("block", "pack", "names", "counts")]):
             if pack != current and blocks:
                 yield from flush(current, blocks, sets, counts)
                 blocks, sets, counts = [], [], []
             current = pack
             blocks.append(block)
-            sets.append(np.frombuffer(hashes, np.uint64))
+            sets.append(unpack_names(names))
             counts.append(unpack_numbers(own))
     if blocks:
         yield from flush(current, blocks, sets, counts)
@@ -198,12 +216,12 @@ def signature_kernel(shared, documents_: int, bands: int, rows: int):
             known = np.concatenate([unpack_numbers(c["known"]) for c in sorted(row["known"] or [], key=lambda c: c["pack"])])
             idf = (1 + np.log((1 + documents_) / (1 + known))).astype(np.float32)
             texts = pa.record_batch([pa.array(row["ids"], pa.int64()), pa.array(row["texts"], pa.string())], ["id", "text"])
-            every, done = np.concatenate([np.frombuffer(h, np.uint64) for h in row["hashes"]]), 0
+            every, done = np.concatenate([unpack_names(x) for x in row["names"]]), 0
             for ids, data, begin, stop, first in chunked_words(texts):
                 words = word_hashes(data, begin, stop)
                 sets = [shingle_counts(words[a:b]) for a, b in zip(first, first[1:])]
                 flat, ends = np.concatenate([s for s, _ in sets]), np.cumsum([len(s) for s, _ in sets])
-                weight = np.concatenate([c for _, c in sets]).astype(np.float32) * idf[np.searchsorted(every, flat)]
+                weight = np.concatenate([c for _, c in sets]).astype(np.float32) * idf[np.searchsorted(every, name_of(flat))]
                 starts = np.concatenate([[0], ends[:-1]])
                 tokens = consistent_samples(flat, np.log(weight), starts, bands * rows, draws)
                 keys = band_keys(tokens, bands, rows)
@@ -224,12 +242,12 @@ def signatures(texts: DataFrame, bands: int, rows: int) -> DataFrame:
     partitions = max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     packs = 4 * partitions
     blocks, name = bucketed(texts.mapInArrow(tidied(block_kernel(packs)), BLOCKS), partitions)
-    own = blocks.where(F.col("pack") != BODY).select("block", "pack", "hashes", "counts")
+    own = blocks.where(F.col("pack") != BODY).select("block", "pack", "names", "counts")
     met = own.repartition(partitions, "pack").sortWithinPartitions("pack")
     known = met.mapInArrow(tidied(frequency_kernel), "block bigint, pack int, known binary")
     by_block = known.repartition(partitions, "block").groupBy("block").agg(F.collect_list(F.struct("pack", "known")).alias("known"))
     # A block's rows lie in one bucket: its shingles are gathered beside its texts without a shuffle.
-    bodies = blocks.groupBy("block").agg(F.first("ids", ignorenulls=True).alias("ids"), F.first("texts", ignorenulls=True).alias("texts"), F.transform(F.array_sort(F.collect_list(F.when(F.col("pack") != BODY, F.struct("pack", "hashes")))), lambda x: x["hashes"]).alias("hashes"))
+    bodies = blocks.groupBy("block").agg(F.first("ids", ignorenulls=True).alias("ids"), F.first("texts", ignorenulls=True).alias("texts"), F.transform(F.array_sort(F.collect_list(F.when(F.col("pack") != BODY, F.struct("pack", "names")))), lambda x: x["names"]).alias("names"))
     together = bodies.join(by_block.hint("shuffle_hash"), "block").where(F.size("ids") > 0)
     shared = spark.sparkContext.broadcast(draw_tables())
     made = materialize(together.mapInArrow(tidied(signature_kernel(shared, texts.count(), bands, rows)), SIGNED), "signatures", compression="zstd")

@@ -6,11 +6,13 @@ Classes are dealt to shards by hash; a shard's graph is stored as flat arrays
 (levels, neighbour tables) in the shared folder. Vectors get one more component
 that makes their lengths equal, by which inner product and distance order alike.
 Query blocks stream past every shard; exact double scores of the shards' best are
-merged, then classes are unfolded to rows.
+merged, then classes are unfolded to rows. Ties go to the smaller identifier: where
+equal scores reach past what a walk may return, that query scans the shard.
 
-Vectors that are null, zero, or hold null or non-finite components take no part,
-nor do those of another dimension than most. Repeated identifiers are candidates
-each. Fewer candidates than asked for give shorter answers; empty tables none.
+Vectors that are null, zero, or hold null or non-finite components take no part; each
+dimension is searched on its own, as only equal dimensions have an inner product.
+Repeated identifiers are candidates each, null identifiers none. Fewer candidates than
+asked for give shorter answers; empty tables none. Other columns are not read.
 """
 
 from __future__ import annotations
@@ -206,7 +208,11 @@ def search_kernel(dim: int, width: int, most: int):
                 for query, q in zip(np.frombuffer(row["ids"], np.int64).tolist(), queries):
                     found = np.array(graph.best(np.append(q, 0).astype(np.float32), width), np.int64)
                     scores = exact[found] @ q
-                    order = np.argsort(-scores, kind="stable")[:most]
+                    order = np.lexsort((ids[found], -scores))[:most]
+                    if len(found) >= width and len(order) and scores[order[-1]] <= scores.min() + 1e-6 * abs(scores.min()):
+                        # Equal scores fill the walk's list and may go on beyond it.
+                        found, scores = np.arange(len(ids)), exact @ q
+                        order = np.lexsort((ids, -scores))[:most]
                     out[0].extend([query] * len(order))
                     out[1].extend(ids[found[order]].tolist())
                     out[2].extend(scores[order].tolist())
@@ -231,36 +237,33 @@ def block_kernel(dim: int, size: int):
 
 
 def usable(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
-    """(id, vector) of rows that take part."""
+    """(id, vector, dim) of rows that take part."""
     v = F.col("vector")
     rows = vectors.select(F.col(id_col).cast("bigint").alias("id"), F.col(vec_col).cast("array<double>").alias("vector"))
     fine = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
-    rows = rows.where(F.col("id").isNotNull() & v.isNotNull() & (F.size(v) > 0)).where(fine)
-    usual = rows.groupBy(F.size("vector").alias("dim")).count().orderBy(F.desc("count"), "dim").first()
-    return rows.where(F.size("vector") == (usual["dim"] if usual else -1)).withColumn("dim", F.size("vector"))
+    return rows.where(F.col("id").isNotNull() & v.isNotNull() & (F.size(v) > 0)).where(fine).withColumn("dim", F.size("vector"))
 
 
-def nearest(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", shard_rows: int = 65536, least_shards: int = 6, build_width: int = 100, search_width: int = 160, groups: int = 2, seed: int = 29) -> DataFrame:
-    """(query_id, rank, <id_col>, score): the ``k`` largest inner products found for rows where ``is_query``(id)."""
-    spark = vectors.sparkSession
+def nearest(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", shard_bytes: int = 48 << 20, least_shards: int = 6, build_width: int = 100, search_width: int = 160, group_blocks: int = 16, seed: int = 29) -> DataFrame:
+    """(query_id, rank, <id_col>, score): the ``k`` largest inner products found for rows where ``is_query``(id).
+
+    A shard's vectors and links take at most about ``shard_bytes``, so the rows of a shard follow the dimension;
+    each task searches one shard for at most ``group_blocks`` blocks of queries.
+    """
     rows = usable(vectors, id_col, vec_col)
     keyed = rows.withColumn("class_key", F.sha2(F.concat_ws(",", F.transform("vector", lambda x: F.hex((x + F.lit(0.0)).cast("string")))), 256))
     classes = materialize(keyed.groupBy("class_key").agg(F.min("id").alias("class_id"), F.first("vector").alias("vector"), F.first("dim").alias("dim")), "classes")
-    head = classes.agg(F.count(F.lit(1)).alias("n"), F.max("dim").alias("dim")).first()
-    n, dim = head["n"], head["dim"] or 1
-    shards = max(1, min(n, max(least_shards, -(-n // shard_rows))))
     members = materialize(keyed.join(classes.select("class_key", "class_id"), "class_key").select("id", "class_id"), "members")
-    spread = classes.select("class_id", "vector", F.pmod(F.xxhash64("class_key"), F.lit(shards)).cast("int").alias("shard"))
-    index = materialize(spread.repartitionByRange(shards, "shard").groupBy("shard").applyInArrow(build_kernel(dim, build_width, seed), INDEX), "graphs")
     asked = members.where(is_query(F.col("id"))).select(F.col("id").alias("query_id"), F.col("class_id").alias("query_class"))
     query_classes = classes.join(asked.select(F.col("query_class").alias("class_id")).distinct(), "class_id", "left_semi")
-    blocks = query_classes.select("class_id", "vector").mapInArrow(tidied(block_kernel(dim, 128)), INDEX)
-    group = F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")
-    every = F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))
-    copies = index.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).withColumn("key", F.col("key") * groups + F.col("copy")).drop("copy")
-    routed = blocks.withColumn("shard", every).withColumn("key", F.col("shard") * groups + group).drop("shard")
-    stream = copies.unionByName(routed).repartitionByRange(shards * groups, "key").sortWithinPartitions("key", "rank", "block")
-    found = stream.mapInArrow(tidied(search_kernel(dim, search_width, k + 1)), "query_class bigint, class_id bigint, score double")
+    found = None
+    for head in classes.groupBy("dim").agg(F.count(F.lit(1)).alias("n")).orderBy("dim").collect():  # one row for each dimension
+        dim, n = head["dim"], head["n"]
+        own, queries = classes.where(F.col("dim") == dim), query_classes.where(F.col("dim") == dim)
+        part = _search(own, queries, n, dim, k + 1, max(1, shard_bytes // (12 * (dim + 1) + 16 * LINKS)), least_shards, build_width, search_width, group_blocks, seed)
+        found = part if found is None else found.unionByName(part)
+    if found is None:
+        return vectors.sparkSession.createDataFrame([], f"query_id bigint, rank int, `{id_col}` bigint, score double")
     best = Window.partitionBy("query_class").orderBy(F.desc("score"))
     top = found.withColumn("place", F.rank().over(best)).where(F.col("place") <= k + 1).drop("place")
     # The least k + 1 identifiers of a class are all an answer can need; salted, so a hot class is cut down early.
@@ -274,7 +277,24 @@ def nearest(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", v
     return ranked.select("query_id", F.col("rank").cast("int").alias("rank"), F.col("id").alias(id_col), "score")
 
 
+def _search(classes: DataFrame, queries: DataFrame, n: int, dim: int, most: int, shard_rows: int, least_shards: int, build_width: int, search_width: int, group_blocks: int, seed: int) -> DataFrame:
+    """(query_class, class_id, score): of each shard the best ``most`` for each query, all of dimension ``dim``."""
+    shards = max(1, min(n, max(least_shards, -(-n // shard_rows))))
+    spread = classes.select("class_id", "vector", F.pmod(F.xxhash64("class_key"), F.lit(shards)).cast("int").alias("shard"))
+    index = materialize(spread.repartitionByRange(shards, "shard").groupBy("shard").applyInArrow(build_kernel(dim, build_width, seed), INDEX), "graphs")
+    blocks = materialize(queries.select("class_id", "vector").mapInArrow(tidied(block_kernel(dim, 128)), INDEX), "queries")
+    groups = max(1, -(-blocks.count() // group_blocks))
+    group = F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))
+    copies = index.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).withColumn("key", F.col("key") * groups + F.col("copy")).drop("copy")
+    routed = blocks.withColumn("shard", every).withColumn("key", F.col("shard") * groups + group).drop("shard")
+    stream = copies.unionByName(routed).repartitionByRange(shards * groups, "key").sortWithinPartitions("key", "rank", "block")
+    return stream.mapInArrow(tidied(search_kernel(dim, search_width, most)), "query_class bigint, class_id bigint, score double")
+
+
 def op9_nearest(spark, sf_dir: str) -> DataFrame:
+    """Whole ``embeddings``: query_id, rank, vec_id, score for every vec_id divisible by 20, ties to the smaller vec_id.
+    Rows that take no part (see above) are neither queries nor answers."""
     return nearest(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), lambda i: i % 20 == 0)
 
 

@@ -1,7 +1,7 @@
 """Quality classifier: hashed word n-grams, logistic regression by follow-the-regularised-leader.
 
-Training reads at most ``most_rows`` labelled documents (those of least seeded hash,
-so every size draws alike) and runs the per-coordinate proximal update in numpy on
+Training reads at most ``most_rows`` labelled documents, and of these, in the order of a
+seeded hash, as many as fit ``most_bytes``; every size draws alike. It runs the per-coordinate proximal update in numpy on
 the driver. Scoring streams Arrow batches: words are mapped to hashed one- and
 two-gram slots and a document's score is one sparse dot product through a logistic.
 
@@ -9,7 +9,10 @@ Tokens are words in lower case and single marks; words written in capitals, word
 beside marks and repeated words also give a shape token, so that the noise that
 spoils a text is seen in words never met before. Features are scaled by the square root of a
 document's token count. Null and empty texts have the bias alone. Null labels are
-not learnt from; if none is left, every score is the prior 0.5.
+not learnt from; if none is left, every score is the prior 0.5. Every row is scored on
+its own, so ties, repeated rows and null identifiers change nothing; very long texts are
+scored whole; an empty table gives no rows; only identifier and text are read, so other
+columns cannot clash.
 """
 
 from __future__ import annotations
@@ -19,7 +22,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F, types as T
+from pyspark.sql import DataFrame, Window, functions as F, types as T
 
 from .common import documents, tidied, unit_hash
 
@@ -122,12 +125,15 @@ def train_ftrl(texts: list[str], labels: np.ndarray, passes: int = 3, alpha: flo
     return QualityModel(leader(z, n).astype(np.float32), float(leader(np.float64(z_bias), np.float64(n_bias))))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn, most_rows: int, seed: int = 3) -> tuple[list[str], np.ndarray]:
-    """At most ``most_rows`` labelled texts that ``learn`` (a Column of doc_id) admits, by least seeded hash."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn, most_rows: int, seed: int = 3, most_bytes: int = 32 << 20) -> tuple[list[str], np.ndarray]:
+    """At most ``most_rows`` labelled texts that ``learn`` (a Column of doc_id) admits, by least seeded hash, of which as
+    many reach the driver as take ``most_bytes`` together."""
     rows = labels.select(F.col("doc_id").cast("bigint").alias("key"), F.col(label).cast("int").alias("label")).where(F.col("label").isin(0, 1) & learn(F.col("key")))
     drawn = rows.withColumn("u", unit_hash("key", seed=seed)).orderBy("u", "key", "label").limit(most_rows)
     texts = docs.select(F.col("doc_id").cast("bigint").alias("key"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    got = texts.join(F.broadcast(drawn), "key").orderBy("u", "key", "label").limit(most_rows).select("text", "label").toArrow()
+    chosen = texts.join(F.broadcast(drawn), "key").orderBy("u", "key", "label").limit(most_rows)
+    upto = Window.orderBy("u", "key", "label", F.xxhash64("text")).rowsBetween(Window.unboundedPreceding, 0)  # most_rows rows
+    got = chosen.withColumn("bytes", F.sum(F.octet_length("text")).over(upto)).where(F.col("bytes") <= most_bytes).select("text", "label").toArrow()
     return got["text"].to_pylist(), got["label"].to_numpy().astype(np.float64)
 
 
@@ -151,6 +157,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
 
 
 def op4_quality(spark, sf_dir: str, most_rows: int = 4000) -> DataFrame:
+    """Whole ``documents``: doc_id, held_out, score, predicted, one row for each; a null doc_id is not held out."""
     docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
 
     def fold(key):

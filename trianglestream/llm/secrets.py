@@ -1,17 +1,21 @@
 """Secret scan: fixed patterns, plus a randomness battery with false-discovery control.
 
-Candidates of the battery are runs of token characters. For each, the narrowest
-encoding that holds all its characters is inferred, and three statistics are taken:
-the chi-squared distance of its characters from a uniform alphabet, the number of
-runs of character classes, and the serial correlation of character codes. Each is
-compared with what ordinary words give (their letters repeat unevenly, their case
-changes seldom, their neighbours correlate with the lag-one vowel pattern), as a
-one-sided normal tail whose spread shrinks with the length. The three tails are
-combined by Fisher's rule. A Benjamini-Hochberg step over all candidates of the
-table, weighted by length so that long strings need less, decides which stay; its
-threshold comes from a histogram of fixed size, not from the candidates.
-
-Null texts count as empty. Null identifiers, repeated rows and empty tables are fine.
+Candidates of the battery are runs of token characters. For each, the narrowest encoding
+that holds all its characters is inferred, and its symbols are tested against a uniform
+draw from that encoding's alphabet: chi-squared of the symbol counts, the Wald-Wolfowitz
+runs about the middle of the alphabet, and the serial correlation of symbol codes. The
+three p-values combine by Fisher's rule into a departure from randomness.
+
+Random strings depart little, ordinary writing much. What "much" means is measured: symbol
+successions are counted over all documents, ordinary strings are simulated from them in
+each encoding, and the departures of these, by encoding and length, are the null law. A
+candidate's p-value is the chance that ordinary writing of its encoding and length departs
+as little. A weighted Benjamini-Hochberg step over all candidates of the table decides
+which are secrets at the stated rate of false discoveries; weights grow with length and
+average one over the candidates, and the threshold comes from a histogram of fixed size.
+
+Null texts count as empty. Null identifiers, repeated rows, very long texts, ties and empty
+tables are fine; every row gives one row; other columns are not read.
 """
 
 from __future__ import annotations
@@ -24,7 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize, tidied
+from .common import documents, materialize, read_batches, tidied
 
 #: Kinds of span in listing order.
 KINDS = ["assign", "access", "hex", "random"]
@@ -44,8 +48,10 @@ ENCODINGS = [
     ("base64url", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789-_"),
     ("token", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/=-_"),
 ]
-#: What ordinary words show: chance that two letters agree, chance of a class change, lag-one correlation of vowels.
-WORD_AGREEMENT, WORD_CHANGE, WORD_LAG = 0.068, 0.06, -0.35
+SYMBOLS = ENCODINGS[-1][1]
+#: Lengths at which the null law is simulated; a candidate takes the longest that it reaches.
+LENGTHS = [20, 22, 24, 28, 32, 40, 48, 64, 96, 128]
+DRAWS, LEAST = 4000, 60
 BINS, STEP = 1200, 0.25  # histogram of -ln p
 
 
@@ -66,36 +72,91 @@ def infer_encoding(token: str) -> tuple[str, str]:
     return next(((name, letters) for name, letters in ENCODINGS if used <= set(letters)), ENCODINGS[-1])
 
 
-def upper_tail(z: float) -> float:
-    return min(1.0, max(1e-300, 0.5 * math.erfc(z / math.sqrt(2))))
-
-
-def battery(token: str) -> dict[str, float]:
-    """Statistics and tails against "this is ordinary writing"; small tails speak for a secret."""
+def normal_tail(z: np.ndarray) -> np.ndarray:
+    """ln of the upper tail of the normal law."""
+    z = np.asarray(z, float)
+    near = np.log(np.maximum(0.5 * np.array([math.erfc(x / math.sqrt(2)) for x in np.clip(z, -8, 8).ravel()]).reshape(z.shape), 1e-300))
+    far = -z * z / 2 - np.log(np.maximum(z, 1) * math.sqrt(2 * math.pi))
+    return np.where(z > 8, far, near)
+
+
+def tests(codes: np.ndarray, k: int) -> dict[str, np.ndarray]:
+    """ln p of the three tests of rows of symbol codes against a uniform draw from ``k`` symbols, and the departure,
+    Fisher's -2 times their sum."""
+    rows, n = codes.shape
+    counts = np.bincount((codes + k * np.arange(rows)[:, None]).ravel(), minlength=rows * k).reshape(rows, k).astype(float)
+    chi, free = (counts**2).sum(1) * k / n - n, k - 1
+    z_chi = (np.cbrt(chi / free) - (1 - 2 / (9 * free))) / math.sqrt(2 / (9 * free))
+    high = codes >= k // 2
+    ups = high.sum(1).astype(float)
+    runs = 1 + (high[:, 1:] != high[:, :-1]).sum(1)
+    product = 2 * ups * (n - ups)
+    spread = np.sqrt(np.maximum(product * (product - n), 0) / (n * n * (n - 1)))
+    z_runs = np.where(spread > 0, np.abs(runs - 1 - product / n) / np.maximum(spread, 1e-9), math.sqrt(n))
+    off = codes - codes.mean(1, keepdims=True)
+    square = (off**2).sum(1)
+    z_serial = np.where(square > 0, np.abs((off[:, 1:] * off[:, :-1]).sum(1)) / np.maximum(square, 1e-9), 1.0) * math.sqrt(n)
+    two = lambda z: np.minimum(0.0, normal_tail(z) + math.log(2))
+    out = {"chi": normal_tail(z_chi), "runs": two(z_runs), "serial": two(z_serial)}
+    out["departure"] = -2 * (out["chi"] + out["runs"] + out["serial"])
+    return out
+
+
+def codes_of(token: str) -> tuple[str, np.ndarray, int]:
+    """Inferred encoding, symbol codes in it without padding, size of the alphabet."""
     name, letters = infer_encoding(token)
-    body = token.rstrip("=") or token
-    n, k = len(body), len(letters)
-    counts = np.array([body.count(c) for c in set(body)], float)
-    chi = float(((counts**2).sum()) * k / n - n)
-    agreement = (chi / n + 1) / k  # squared frequencies, in terms of the statistic
-    expected = WORD_AGREEMENT + (1 - WORD_AGREEMENT) / n
-    p_chi = upper_tail((expected - agreement) / (0.35 * WORD_AGREEMENT / math.sqrt(n / 20)))
-    kinds = ["d" if c.isdigit() else "u" if c.isupper() else "l" if c.islower() else "s" for c in body]
-    runs = 1 + sum(a != b for a, b in zip(kinds, kinds[1:]))
-    mean = 1 + (n - 1) * WORD_CHANGE
-    p_runs = upper_tail((runs - mean - 0.5) / math.sqrt((n - 1) * WORD_CHANGE * (1 - WORD_CHANGE) * 2 + 1))
-    vowels = np.array([c in "aeiouAEIOU" for c in body], float)
-    spread = vowels.std()
-    lag = float(((vowels[1:] - vowels.mean()) * (vowels[:-1] - vowels.mean())).mean() / spread**2) if spread > 0 else 0.0
-    p_lag = upper_tail((lag - WORD_LAG) * math.sqrt(n - 1) / 1.3)
-    total = -2 * (math.log(p_chi) + math.log(p_runs) + math.log(p_lag))
-    half = total / 2
-    combined = math.exp(-half) * (1 + half + half * half / 2) if half < 700 else 0.0
-    return {"encoding": name, "chi": chi, "runs": float(runs), "lag": lag, "p": max(combined, 1e-300)}
+    body = (token.rstrip("=") or token) if "=" not in letters else token
+    return name, np.array([[letters.index(c) for c in body]]), len(letters)
+
+
+def ordinary_strings(pairs: np.ndarray, letters: str, rng) -> np.ndarray:
+    """Codes of ``DRAWS`` strings of the greatest length, drawn symbol by symbol from the counted successions."""
+    at = [SYMBOLS.index(c) for c in letters]
+    own = pairs[np.ix_(at, at)].astype(float)
+    follows = own.sum(0) + 0.01
+    own += follows / follows.sum()  # a symbol never met is followed as symbols are at large
+    first = np.cumsum(own.sum(1)) / own.sum()
+    cuts = np.cumsum(own, 1) / own.sum(1, keepdims=True)
+    out = np.empty((DRAWS, LENGTHS[-1]), np.int64)
+    out[:, 0] = np.minimum(np.searchsorted(first, rng.random(DRAWS)), len(at) - 1)
+    for i in range(1, LENGTHS[-1]):
+        out[:, i] = np.minimum((cuts[out[:, i - 1]] < rng.random((DRAWS, 1))).sum(1), len(at) - 1)
+    return out
+
+
+def null_law(pairs: np.ndarray, seed: int = 23) -> dict[tuple[str, int], tuple[np.ndarray, float, float]]:
+    """By encoding and length: ascending ln departures of ordinary strings, their mean and spread.
+
+    Strings whose encoding would be inferred as a narrower one are left out where ``LEAST`` others remain."""
+    rng, law = np.random.default_rng(seed), {}
+    for place, (name, letters) in enumerate(ENCODINGS):
+        codes = ordinary_strings(pairs, letters, rng)
+        inside = [np.isin(codes, [i for i, c in enumerate(letters) if c in set(narrow)]) for _, narrow in ENCODINGS[:place]]
+        for n in LENGTHS:
+            own = ~np.any([x[:, :n].all(1) for x in inside], 0) if inside else np.ones(DRAWS, bool)
+            drawn = codes[own if own.sum() >= LEAST else slice(None), :n]
+            y = np.sort(np.log(np.maximum(tests(drawn, len(letters))["departure"], 1e-9)))
+            # The lower tail may be heavier than the spread says: it must reach the least draws, too.
+            tail = max(float(y.std()), *((y.mean() - y[int(q * len(y))]) / z for q, z in ((0.01, 2.326), (0.0025, 2.807))))
+            law[name, n] = (y, float(y.mean()), tail + 1e-9)
+    return law
+
+
+def battery(token: str, law: dict) -> dict[str, float]:
+    """The tests of one candidate and ln of the chance that ordinary writing departs as little."""
+    name, codes, k = codes_of(token)
+    found = tests(codes, k)
+    y, mean, spread = law[name, max((n for n in LENGTHS if n <= codes.shape[1]), default=LENGTHS[0])]
+    own = math.log(max(float(found["departure"][0]), 1e-9))
+    below = int(np.searchsorted(y, own, side="right"))
+    log_p = math.log((1 + below) / (1 + len(y)))
+    if below < 0.01 * len(y):  # beyond what simulation resolves: the tail of a normal law of the logarithm
+        log_p = min(log_p, float(normal_tail(np.array([(mean - own) / spread]))[0]))
+    return {"encoding": name, "log_p": log_p, **{t: float(v[0]) for t, v in found.items()}}
 
 
 def length_weight(n: int) -> float:
-    """Grows with length and averages near one at forty characters."""
+    """Grows with length; the scan divides it by its mean over all candidates."""
     return min(4.0, n / 40)
 
 
@@ -110,12 +171,34 @@ def long_runs(data: bytes, table: np.ndarray, least: int) -> bool:
     return bool(len(edges)) and int((edges[1::2] - edges[::2]).max()) >= least
 
 
-def scan_kernel(batches):
+def pair_kernel(batches):
+    """Successions of token symbols over whole texts, summed over the task: one row."""
+    place = np.full(256, -1, np.int64)
+    place[np.frombuffer(SYMBOLS.encode(), np.uint8)] = np.arange(len(SYMBOLS))
+    total = np.zeros(len(SYMBOLS) ** 2, np.int64)
+    for batch in read_batches(batches, 256):
+        codes = place[np.frombuffer("\n".join(x or "" for x in batch.column(0).to_pylist()).encode(), np.uint8)]
+        both = (codes[:-1] >= 0) & (codes[1:] >= 0)
+        total += np.bincount(codes[:-1][both] * len(SYMBOLS) + codes[1:][both], minlength=len(total))
+    yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total)], ["pair", "n"])
+
+
+def symbol_pairs(rows: DataFrame) -> np.ndarray:
+    """How often each token symbol follows each, over all documents; a table of fixed size."""
+    counted = rows.select("text").mapInArrow(tidied(pair_kernel), "pair bigint, n bigint").groupBy("pair").agg(F.sum("n").alias("n"))
+    out = np.zeros(len(SYMBOLS) ** 2, np.int64)
+    for row in counted.collect():
+        out[row["pair"]] = row["n"]
+    return out.reshape(len(SYMBOLS), len(SYMBOLS))
+
+
+def scan_kernel(shared):
     token_bytes = np.zeros(256, bool)
     token_bytes[np.frombuffer(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_.=-", np.uint8)] = True
-    for batch in batches:
-        for at in range(0, len(batch), 1024):
-            part = batch.slice(at, 1024)
+
+    def run(batches):
+        law = shared.value
+        for part in read_batches(batches, 1024):
             base, extra = [], []
             for text in part.column(1):
                 text = text.as_py() or ""
@@ -124,37 +207,52 @@ def scan_kernel(batches):
                 if long_runs(text.encode(), token_bytes, 12):
                     spans = base_spans(text)
                     for m in CANDIDATE.finditer(text):
-                        result = battery(m[0])
-                        strength = -math.log(result["p"]) + math.log(length_weight(m.end() - m.start()))
-                        more.append((m.start(), m.end(), result["encoding"], strength))
+                        result = battery(m[0], law)
+                        more.append((m.start(), m.end(), result["encoding"], math.log(length_weight(m.end() - m.start())) - result["log_p"]))
                 base.append([{"start": s, "kind": k, "stop": e} for s, k, e in sorted(spans)])
                 extra.append([{"start": s, "stop": e, "encoding": n, "strength": x} for s, e, n, x in more])
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(base, pa.list_(SPAN)), pa.array(extra, pa.list_(EXTRA))], ["id", "base", "extra"])
 
+    return run
+
 
 def discovery_threshold(found: DataFrame, rate: float) -> float:
-    """Least -ln p that the step-up rule accepts, from counts in bins of fixed number."""
-    one = found.select(F.explode("extra").alias("x")).select(F.least(F.floor(F.greatest(F.col("x.strength"), F.lit(0.0)) / STEP), F.lit(BINS - 1)).cast("int").alias("bin"))
+    """Least strength that the weighted step-up rule accepts, from counts in bins of fixed number. Strengths are
+    -ln p plus ln of an unscaled weight; the mean weight of all candidates scales them."""
+    each = found.select(F.explode("extra").alias("x")).select("x.*")
+    weight = F.avg(F.least(F.lit(4.0), (F.col("stop") - F.col("start")) / F.lit(40.0)))
+    mean = each.agg(weight).first()[0]
+    if mean is None:
+        return math.inf
+    shift = math.log(mean)
+    one = each.select(F.least(F.floor(F.greatest(F.col("strength") - F.lit(shift), F.lit(0.0)) / STEP), F.lit(BINS - 1)).cast("int").alias("bin"))
     counts = np.zeros(BINS, np.int64)
     for row in one.groupBy("bin").count().collect():
         counts[row["bin"]] = row["count"]
+    return step_up(counts, rate) + shift
+
+
+def step_up(counts: np.ndarray, rate: float) -> float:
+    """Benjamini-Hochberg over a histogram of -ln p: the least accepted, infinite if none is."""
     total, above = counts.sum(), np.cumsum(counts[::-1])[::-1]
-    for i in range(BINS):
+    for i in range(len(counts)):
         if above[i] and math.exp(-i * STEP) <= rate * above[i] / total:
             return i * STEP
     return math.inf
 
 
-def scan(docs: DataFrame, rate: float = 0.001, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def scan(docs: DataFrame, rate: float = 0.01, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id_col, base (start, kind, stop), extra (start, stop, encoding, strength) that the battery adds."""
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    found = materialize(rows.mapInArrow(tidied(scan_kernel), FOUND), "secrets")
+    shared = docs.sparkSession.sparkContext.broadcast(null_law(symbol_pairs(rows)))
+    found = materialize(rows.mapInArrow(tidied(scan_kernel(shared)), FOUND), "secrets")
     least = discovery_threshold(found, rate)
     keep = F.filter("extra", lambda x: x["strength"] >= F.lit(least)) if least < math.inf else F.array().cast(FOUND["extra"].dataType)
     return found.select(F.col("id").alias(id_col), "base", keep.alias("extra"))
 
 
 def op10_secret_scan(spark, sf_dir: str) -> DataFrame:
+    """Whole ``documents``: doc_id, n_assign, n_access, n_hex, base_sha256 and spans of base and added ones, for every row."""
     found = scan(documents(spark, sf_dir))
     names = F.array(*[F.lit(k) for k in KINDS])
 

@@ -3,14 +3,16 @@
 Law ``key``: rendezvous hashing of the identifier decides the shard, so one more
 shard takes rows only into itself. Pass one scatters whole records over
 memory-sized buckets (a shard's share of bytes over ``bucket_bytes``, uniform by a
-seeded hash); pass two sorts a bucket by record key, to make the outcome
-repeatable, and does a Fisher-Yates shuffle of it with a generator seeded by
-(seed, bucket); buckets are then written shard by shard. Slots are gapless: a
+seeded hash), one partition for each; pass two sorts a bucket by record key, to make
+the outcome repeatable, and does a Fisher-Yates shuffle of it with a generator seeded by
+(seed, bucket); buckets are then written to their shard's folder. Slots are gapless: a
 bucket begins where the one before it ends.
 
-Null texts have zero bytes, null identifiers form one key, repeated rows get slots
-of their own, an empty table gives no shard. Equal texts spread like all others,
-as only identifiers and seeds are hashed.
+Null texts have zero bytes, null identifiers form one key, which one shard holds in
+several buckets, as the texts are hashed there too; equal rows get slots of their own but
+lie in one bucket; an empty table gives no shard. Equal texts of different identifiers
+spread like all others. All columns of the input are kept, inside ``record``, so no name
+clashes.
 """
 
 from __future__ import annotations
@@ -83,27 +85,31 @@ def shard_documents(
     key = F.coalesce(F.col(id_col).cast("string"), F.lit(""))
     named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("record"), F.col(id_col).alias("key_id"), F.col(text_col).alias("key_text"))
     with_shard = named.withColumn("shard", rendezvous(F.coalesce(F.col("key_id").cast("string"), F.lit("")), shards, seed))
-    part = F.pmod(F.xxhash64(F.lit(seed + 1), F.coalesce(F.col("key_id").cast("string"), F.lit(""))), F.lit(per_shard))
-    scattered = with_shard.withColumn("bucket", F.col("shard") * F.lit(per_shard) + part)
-    counts = materialize(docs.select(rendezvous(key, shards, seed).alias("shard"), F.pmod(F.xxhash64(F.lit(seed + 1), key), F.lit(per_shard)).alias("part")).groupBy("shard", "part").count(), "bucket-counts")
+    part = lambda key, text: F.pmod(F.xxhash64(F.lit(seed + 1), key, text.cast("string")), F.lit(per_shard))
+    scattered = with_shard.withColumn("bucket", F.col("shard") * F.lit(per_shard) + part(F.coalesce(F.col("key_id").cast("string"), F.lit("")), F.col("key_text")))
+    counts = materialize(docs.select(rendezvous(key, shards, seed).alias("shard"), part(key, F.col(text_col)).alias("part")).groupBy("shard", "part").count(), "bucket-counts")
     before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select((F.col("shard") * F.lit(per_shard) + F.col("part")).alias("bucket"), F.coalesce(F.sum("count").over(before), F.lit(0)).alias("start"))
-    ready = scattered.repartition(int(shards * per_shard), "bucket").sortWithinPartitions("bucket", "key_id", F.xxhash64("key_text")).select("bucket", "shard", "record")
+    ready = scattered.repartitionById(int(shards * per_shard), F.col("bucket").cast("int")).sortWithinPartitions("bucket", "key_id", F.xxhash64("key_text")).select("bucket", "shard", "record")
     shuffled = ready.mapInArrow(tidied(shuffle_kernel(seed)), T.StructType([*ready.schema.fields, T.StructField("place", T.LongType())]))
     placed = shuffled.join(starts, "bucket").withColumn("slot", F.col("start") + F.col("place"))
     path = path or new_path(spark, "shards")
-    placed.select("shard", "slot", "bucket", "record").write.option("maxRecordsPerFile", 0).parquet(path)
+    placed.select("shard", "slot", "bucket", "record").write.option("maxRecordsPerFile", 0).partitionBy("shard").parquet(path)
     release(counts)
-    schema = T.StructType([T.StructField("shard", T.IntegerType()), T.StructField("slot", T.LongType()), T.StructField("bucket", T.LongType()), ready.schema["record"]])
-    return spark.read.schema(schema).parquet(path), path
+    return spark.read.schema(written_schema(ready.schema["record"])).parquet(path), path
+
+
+def written_schema(record: T.StructField) -> T.StructType:
+    return T.StructType([T.StructField("slot", T.LongType()), T.StructField("bucket", T.LongType()), record, T.StructField("shard", T.IntegerType())])
 
 
 def read_shard(spark, path: str, shard: int) -> DataFrame:
-    """One shard in its shuffled order."""
+    """One shard in its shuffled order; only its folder is read."""
     return spark.read.parquet(path).where(F.col("shard") == shard).orderBy("slot").select("record.*")
 
 
 def op8_sharding(spark, sf_dir: str) -> DataFrame:
+    """Whole ``documents`` in 24 shards by law ``key``: doc_id, size, text_crc32, law, shard, slot, grown_shard, for every row."""
     shards, seed = 24, 17
     table, _ = shard_documents(documents(spark, sf_dir).select("doc_id", "text"), shards, seed)
     text = F.col("record.text")

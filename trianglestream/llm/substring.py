@@ -6,7 +6,8 @@ its word 8-grams. Equal windows have equal minimisers, so each shard's automaton
 decides its windows alone. Steps:
 
 1. Scan documents into runs, the stretches of windows with one minimiser. Only
-   (minimiser, document, start, number) leaves the scan.
+   (minimiser, document, start, number) leaves the scan; long runs, which one
+   repeated passage makes, are cut into runs of ``MOST_RUN`` windows.
 2. Runs whose minimiser never comes again are dropped; the rest are cut out of
    their documents as segments. A minimiser met more than ``hot`` times is split:
    its windows become segments of their own, keyed by their whole hash, so no
@@ -16,10 +17,13 @@ decides its windows alone. Steps:
    gives matching statistics; a window whose state occurs twice or more is repeated.
 4. Repeated windows go back to the documents as spans; covered words are removed.
 
-For a reference of proven size (``matched_spans``) automata of its shards are
-broadcast and documents stream past them. Null texts have no words; documents
-shorter than ``length`` keep all; repeated rows are documents of their own where
-their identifiers differ, and are removed against each other.
+For a reference apart from the documents (``matched_spans``) automata of its shards are
+broadcast, in rounds of a bounded size each, and documents stream past them.
+
+A document is known by its identifier and its text's hash, so rows with a null or a
+repeated identifier take full part. Equal rows are documents of their own and removed
+against each other. Null texts have no words; documents shorter than ``length`` keep
+all; empty tables give no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -30,10 +34,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import documents, materialize, release, tidied
+from .common import documents, materialize, read_batches, release, tidied
 from .toxicity import cut_points
 
-GRAM = 8
+GRAM, MOST_RUN = 8, 512
 MULT = 0x5851F42D4C957F2D | 1
 STEP = 0x2545F4914F6CDD1D | 1
 
@@ -96,7 +100,7 @@ def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
     return least
 
 
-RUNS = T.StructType([T.StructField("key", T.LongType()), T.StructField("id", T.LongType()), T.StructField("start", T.IntegerType()), T.StructField("many", T.IntegerType()), T.StructField("weight", T.IntegerType())])
+RUNS = T.StructType([T.StructField("key", T.LongType()), T.StructField("id", T.LongType()), T.StructField("sign", T.LongType()), T.StructField("start", T.IntegerType()), T.StructField("many", T.IntegerType()), T.StructField("weight", T.IntegerType())])
 
 
 def runs_of(words: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -104,6 +108,8 @@ def runs_of(words: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.
     grams = gram_hashes(words, GRAM)
     least = sliding_least(grams, length - GRAM + 1)
     change = np.flatnonzero(np.concatenate([[True], least[1:] != least[:-1]]))
+    if np.diff(np.append(change, len(least))).max() > MOST_RUN:
+        change = np.unique(np.concatenate([np.arange(a, b, MOST_RUN) for a, b in zip(change, [*change[1:], len(least)])]))
     many = np.diff(np.append(change, len(least)))
     whole = gram_hashes(words, length)
     again = np.zeros(len(least), bool)
@@ -130,31 +136,34 @@ def chunked_words(batch, most_bytes: int = 1_000_000):
 def run_kernel(length: int):
     def run(batches):
         for batch in batches:
+            done = 0
             for ids, data, begin, stop, first in chunked_words(batch):
                 words = word_hashes(data, begin, stop)
+                signs = batch.column(2).slice(done, len(ids)).to_pylist()
+                done += len(ids)
                 parts = []
-                for doc, a, b in zip(ids.to_pylist(), first, first[1:]):
-                    if b - a >= length and doc is not None:
+                for doc, sign, a, b in zip(ids.to_pylist(), signs, first, first[1:]):
+                    if b - a >= length:
                         key, start, many, weight = runs_of(words[a:b], length)
-                        parts.append((key, np.full(len(key), doc, np.int64), start.astype(np.int32), many.astype(np.int32), weight.astype(np.int32)))
+                        parts.append((key, np.full(len(key), doc, np.int64), np.full(len(key), sign, np.int64), start.astype(np.int32), many.astype(np.int32), weight.astype(np.int32)))
                 if parts:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts)], RUNS.names)
 
     return run
 
 
-SEGMENTS = T.StructType([T.StructField("key", T.LongType()), T.StructField("hash", T.BinaryType()), T.StructField("words", T.BinaryType()), T.StructField("id", T.LongType()), T.StructField("start", T.IntegerType())])
+SEGMENTS = T.StructType([T.StructField("key", T.LongType()), T.StructField("hash", T.BinaryType()), T.StructField("words", T.BinaryType()), T.StructField("id", T.LongType()), T.StructField("sign", T.LongType()), T.StructField("start", T.IntegerType())])
 
 
 def segment_kernel(length: int):
-    """Rows (id, text, runs): cut out each run's words; hot runs window by window, under the window's own key."""
+    """Rows (id, sign, text, runs): cut out each run's words; hot runs window by window, under the window's own key."""
 
     def run(batches):
         for batch in batches:
             for at in range(0, len(batch), 64):
                 part = batch.slice(at, 64)
                 out = {k: [] for k in SEGMENTS.names}
-                for doc, text, runs in zip(*[part.column(c).to_pylist() for c in ("id", "text", "runs")]):
+                for doc, sign, text, runs in zip(*[part.column(c).to_pylist() for c in ("id", "sign", "text", "runs")]):
                     words = (text or "").encode().split()
                     for r in runs:
                         key, start, many = r["key"], r["start"], r["many"]
@@ -166,9 +175,10 @@ def segment_kernel(length: int):
                             out["hash"].append(digest)
                             out["words"].append(body)
                             out["id"].append(doc)
+                            out["sign"].append(sign)
                             out["start"].append(s)
                 if out["key"]:
-                    yield pa.RecordBatch.from_arrays([pa.array(out["key"], pa.int64()), pa.array(out["hash"], pa.binary()), pa.array(out["words"], pa.binary()), pa.array(out["id"], pa.int64()), pa.array(out["start"], pa.int32())], SEGMENTS.names)
+                    yield pa.RecordBatch.from_arrays([pa.array(out["key"], pa.int64()), pa.array(out["hash"], pa.binary()), pa.array(out["words"], pa.binary()), pa.array(out["id"], pa.int64()), pa.array(out["sign"], pa.int64()), pa.array(out["start"], pa.int32())], SEGMENTS.names)
 
     return run
 
@@ -274,24 +284,31 @@ def shard_kernel(length: int, shard_words: int = 60_000):
     return run
 
 
-def repeated_windows(docs: DataFrame, length: int = 35, hot: int = 2000) -> DataFrame:
-    """(id, starts): for each document with any, the starts of windows that also start elsewhere.
+def signed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, text, sign, own): rows of equal id and sign are equal documents; a null identifier, kept in own, counts as zero."""
+    text, own = F.col(text_col).cast("string"), F.col(id_col).cast("bigint")
+    return docs.select(F.coalesce(own, F.lit(0)).alias("id"), text.alias("text"), F.xxhash64(text).alias("sign"), own.alias("own"))
+
+
+def repeated_windows(rows: DataFrame, length: int = 35, hot: int = 2000) -> DataFrame:
+    """(id, sign, starts): for each document with any, the starts of windows that also start elsewhere.
 
-    ``docs`` has columns id (unique, not null) and text.
+    ``rows`` has columns id, text and sign (see ``signed_rows``).
     """
-    runs = materialize(docs.mapInArrow(tidied(run_kernel(length)), RUNS), "runs", compression="zstd")
+    runs = materialize(rows.mapInArrow(tidied(run_kernel(length)), RUNS), "runs", compression="zstd")
     often = runs.groupBy("key").agg(F.sum("weight").alias("met")).where("met > 1")
-    kept = runs.join(often, "key").select("id", F.struct("key", "start", "many", (F.col("met") > hot).alias("hot")).alias("run"))
-    per_doc = kept.groupBy("id").agg(F.collect_list("run").alias("runs"))
-    cut = docs.join(per_doc, "id").select("id", "text", "runs").mapInArrow(tidied(segment_kernel(length)), SEGMENTS)
+    kept = runs.join(often, "key").select("id", "sign", F.struct("key", "start", "many", (F.col("met") > hot).alias("hot")).alias("run"))
+    # Equal rows send equal runs; each of them is cut by the one list they share, so counts stay right.
+    per_doc = kept.groupBy("id", "sign").agg(F.array_distinct(F.collect_list("run")).alias("runs"))
+    cut = rows.join(per_doc, ["id", "sign"]).select("id", "sign", "text", "runs").mapInArrow(tidied(segment_kernel(length)), SEGMENTS)
     segments = materialize(cut, "segments", compression="zstd")
     release(runs)
     distinct = segments.groupBy("key", "hash").agg(F.first("words").alias("words"), F.count(F.lit(1)).cast("int").alias("weight"))
     alone = distinct.repartition("key").sortWithinPartitions("key", "hash")
     schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("hash", T.BinaryType()), T.StructField("offsets", T.ArrayType(T.IntegerType()))])
     found = materialize(alone.mapInArrow(tidied(shard_kernel(length)), schema), "repeats", compression="zstd")
-    spots = segments.select("key", "hash", "id", "start").join(found, ["key", "hash"])
-    return spots.groupBy("id").agg(F.array_distinct(F.flatten(F.collect_list(F.transform("offsets", lambda o: o + F.col("start"))))).alias("starts"))
+    spots = segments.select("key", "hash", "id", "sign", "start").join(found, ["key", "hash"])
+    return spots.groupBy("id", "sign").agg(F.array_distinct(F.flatten(F.collect_list(F.transform("offsets", lambda o: o + F.col("start"))))).alias("starts"))
 
 
 def covered(n: int, starts, length: int) -> np.ndarray:
@@ -322,52 +339,77 @@ def removal_kernel(length: int):
 
 def remove_repeats(docs: DataFrame, length: int = 35, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per row of ``docs``: id_col, n_words, n_removed, kept_text (words that stay, one space between)."""
-    rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    starts = repeated_windows(rows, length)
-    joined = rows.join(starts, "id", "left").select("id", "text", "starts")
+    rows = signed_rows(docs, id_col, text_col)
+    starts = repeated_windows(rows.drop("own"), length)
+    joined = rows.join(starts, ["id", "sign"], "left").select(F.col("own").alias("id"), "text", "starts")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
     return joined.mapInArrow(tidied(removal_kernel(length)), schema).withColumnRenamed("id", id_col)
 
 
-def matched_spans(docs: DataFrame, reference: list[str], length: int = 35, shard_words: int = 200_000, most_words: int = 5_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Maximal spans (start, stop, in words) of documents that occur in ``reference``, a bounded list of texts.
-
-    One broadcast automaton for each shard of the reference; ``most_words`` is the checked bound.
-    """
-    shards, held, size = [], SuffixAutomaton(), 0
-    total = sum(len(t.encode().split()) for t in reference)
-    if total > most_words:
-        raise ValueError(f"reference of {total} words is over the broadcast bound {most_words}; use remove_repeats")
+def reference_rounds(reference, shard_words: int, round_words: int):
+    """Rounds of automata over texts, as flat states: a shard closes at ``shard_words`` words, a round at ``round_words``."""
+    shards, held, size, total = [], SuffixAutomaton(), 0, 0
     for text in reference:
-        words = text.encode().split()
+        words = (text or "").encode().split()
         held.add(words)
-        size += len(words)
-        if size >= shard_words:
-            shards.append(held)
+        size, total = size + len(words), total + len(words)
+        if size >= shard_words or total >= round_words:
+            shards.append((held.next, held.link, held.size))
             held, size = SuffixAutomaton(), 0
-    shards.append(held)
-    shared = docs.sparkSession.sparkContext.broadcast([(a.next, a.link, a.size) for a in shards])
+        if total >= round_words:
+            yield shards
+            shards, total = [], 0
+    if size:
+        shards.append((held.next, held.link, held.size))
+    if shards:
+        yield shards
+
+
+def matched_spans(docs: DataFrame, reference, length: int = 35, shard_words: int = 50_000, round_words: int = 200_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Per row of ``docs``: id_col and the maximal spans (start, stop, in words) whose windows of ``length`` words occur in
+    ``reference``, a list of texts or a DataFrame with a column text.
+
+    Automata of reference shards are broadcast and documents stream past them for their matching statistics. A broadcast
+    holds at most ``round_words`` words and the longest text (a text is never cut); a larger reference takes several
+    rounds, each a pass over ``docs``, and reaches the driver row by row.
+    """
+    spark = docs.sparkSession
+    texts = reference if isinstance(reference, list) else (r["text"] for r in reference.select("text").toLocalIterator())
+    span = pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())]))
+
+    def spans_of(hit: np.ndarray) -> list[dict]:
+        edge = np.flatnonzero(np.diff(np.concatenate([[False], hit, [False]]).view(np.int8)))
+        return [{"start": int(s), "stop": int(e)} for s, e in zip(edge[0::2], edge[1::2])]
+
+    def kernel(shared):
+        def run(batches):
+            automata = []
+            for nexts, link, sizes in shared.value:
+                a = SuffixAutomaton()
+                a.next, a.link, a.size, a.count = nexts, link, sizes, [0] * len(sizes)
+                automata.append(a)
+            for batch in read_batches(batches, 256):
+                spans = []
+                for text, known in zip(batch.column("text").to_pylist(), batch.column("spans").to_pylist()):
+                    words = (text or "").encode().split()
+                    starts = [end - length + 1 for a in automata for end, (n, _) in enumerate(a.matches(words, length)) if n >= length]
+                    hit = covered(len(words), starts, length)
+                    for s in known:
+                        hit[s["start"] : s["stop"]] = True
+                    spans.append(spans_of(hit))
+                yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("text"), pa.array(spans, span)], ["id", "text", "spans"])
 
-    def run(batches):
-        automata = []
-        for nexts, link, sizes in shared.value:
-            a = SuffixAutomaton()
-            a.next, a.link, a.size, a.count = nexts, link, sizes, [0] * len(sizes)
-            automata.append(a)
-        for batch in batches:
-            spans = []
-            for text in batch.column(1).to_pylist():
-                words = (text or "").encode().split()
-                starts = [end - length + 1 for a in automata for end, (n, _) in enumerate(a.matches(words, length)) if n >= length]
-                edge = np.flatnonzero(np.diff(np.concatenate([[False], covered(len(words), starts, length), [False]]).view(np.int8)))
-                spans.append([{"start": int(s), "stop": int(e)} for s, e in zip(edge[0::2], edge[1::2])])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())])))], ["id", "spans"])
+        return run
 
-    schema = "id bigint, spans array<struct<start:int,stop:int>>"
-    return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string")).mapInArrow(tidied(run), schema).withColumnRenamed("id", id_col)
+    schema = "id bigint, text string, spans array<struct<start:int,stop:int>>"
+    rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"), F.array().cast("array<struct<start:int,stop:int>>").alias("spans"))
+    for round_ in reference_rounds(texts, shard_words, round_words):
+        rows = materialize(rows.mapInArrow(tidied(kernel(spark.sparkContext.broadcast(round_))), schema), "spans", compression="zstd")
+    return rows.select(F.col("id").alias(id_col), "spans")
 
 
 def op6_substring_dedup(spark, sf_dir: str) -> DataFrame:
+    """Whole ``documents``: doc_id, n_words, n_removed, kept_sha256 at windows of 35 words, for every row, whatever its doc_id."""
     kept = remove_repeats(documents(spark, sf_dir).select("doc_id", "text"), 35)
     return kept.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
 

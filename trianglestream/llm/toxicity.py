@@ -9,8 +9,10 @@ speak most for their label, then picks each toxic document's best window anew wi
 the network itself and adds the clean windows it gets most wrong.
 
 Training reads at most ``most_toxic`` and ``most_clean`` labelled documents, by
-least seeded hash. Scoring works on Arrow batches with inputs projected once for
+least seeded hash, and of either label no more than 32 MB. Scoring works on Arrow batches with inputs projected once for
 each distinct word of a chunk. Empty, null and wordless texts get the floor score.
+Every row is scored on its own, so ties, repeated rows and null identifiers change
+nothing; an empty table gives no rows; other columns pass unchanged.
 """
 
 from __future__ import annotations
@@ -313,6 +315,7 @@ def fold(key):
 
 
 def op3_toxicity(spark, sf_dir: str) -> DataFrame:
+    """Whole ``documents``: doc_id, held_out, score, predicted, one row for each; a null doc_id is not held out."""
     docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = fit_toxicity(docs, labels, lambda key: ~fold(key))
     scored = score_toxicity(docs, model)
