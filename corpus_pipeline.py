@@ -7,7 +7,7 @@ the last return the columns of documents.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame
 
 from trianglestream.llm.bpe import token_digests
 from trianglestream.llm.common import materialize
@@ -20,23 +20,27 @@ VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 
 
 def toxicity(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents the network rejects go; it learns from the labels of the table."""
+    """Documents the network rejects go, at a score of 0.5; it learns from the labels of the table. Null and empty texts stay."""
     return drop_toxic(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def exact_dedup(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of texts equal but for the case of A-Z the row of the largest doc_id stays; rows without doc_id stand behind others."""
     return drop_exact_copies(docs)
 
 
 def near_dedup(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each class of near duplicates the row of the least doc_id stays; empty texts and rows without doc_id all stay."""
     return drop_near_copies(docs)
 
 
 def mixing(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents are drawn by calibrated probabilities towards tempered source, language and topic shares, 80 % of tokens."""
     return mix(docs)
 
 
 def tokens(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every row that is left."""
     import public_tokenizers
 
     return token_digests(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
@@ -49,6 +53,7 @@ ORACLE_SQL = None
 
 
 def run(spark, sf_dir: str) -> DataFrame:
+    """All stages over the whole table of documents; every stage but the last is written and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for n, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
