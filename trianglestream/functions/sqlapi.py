@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
-from .hashing import DIGITS, RANGE
+from .hashing import DIGITS, RANGE, coin_value
 
 
 def register(spark: SparkSession) -> list[str]:
@@ -21,14 +21,11 @@ def register(spark: SparkSession) -> list[str]:
 
 @udtf(returnType="u: bigint, v: bigint, arrival: bigint")
 class ErEdges:
-    """Pairs of a random graph."""
+    """Pairs of a random graph, by portable coins."""
 
     def eval(self, n: int, m: int, seed: int):
-        import random
-
-        rng = random.Random(seed)
         for i in range(m):
-            yield rng.randrange(n), rng.randrange(n), i
+            yield int(coin_value("eu", seed, i) * n), int(coin_value("ev", seed, i) * n), i
 
 
 @udtf(returnType="rank: bigint, slot: bigint")
@@ -37,16 +34,15 @@ class AcceptedRanks:
 
     def eval(self, total: int, budget: int, seed: int):
         import math
-        import random
 
-        rng = random.Random(seed)
         for r in range(1, min(total, budget) + 1):
             yield r, r
-        w = math.exp(math.log(1 - rng.random()) / budget)
-        r = budget
+        r, i = budget, 0
+        w = math.exp(math.log(1 - coin_value("aw", seed, i)) / budget)
         while True:
-            r += int(math.log(1 - rng.random()) / math.log(1 - w)) + 1
+            r += int(math.log(1 - coin_value("ag", seed, i)) / math.log(1 - w)) + 1
             if r > total:
                 return
-            yield r, rng.randrange(budget) + 1
-            w *= math.exp(math.log(1 - rng.random()) / budget)
+            yield r, int(coin_value("as", seed, i) * budget) + 1
+            i += 1
+            w *= math.exp(math.log(1 - coin_value("aw", seed, i)) / budget)

@@ -7,7 +7,7 @@ Node null stands for the whole graph.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 
 def weigh(closures: DataFrame, budget: int) -> DataFrame:
@@ -45,16 +45,22 @@ def aggregate(weighed: DataFrame, budget: int, divisor: int = 1, lazy: bool = Tr
     return finish(sums, budget, divisor)
 
 
-def snapshots(weighed: DataFrame, budget: int, times: list[int], divisor: int = 1) -> DataFrame:
-    """(trial, as_of, hits, num, est): the global estimate at each of ``times``, from sums between them."""
-    bucket = F.lit(len(times))
+def snapshots(weighed: DataFrame, budget: int, times: list[int], divisor: int = 1, trials: int = 1, local: bool = False) -> DataFrame:
+    """(trial, as_of, hits, num, est): the global estimate of every trial at each of ``times``, zero where nothing was found.
+    With ``local``, (trial, as_of, node, est) of the nodes in a discovery by then."""
+    times = sorted(times)
+    at = F.lit(len(times))
     for i in range(len(times) - 1, -1, -1):
-        bucket = F.when(F.col("t") <= times[i], F.lit(i)).otherwise(bucket)
-    part = weighed.select("trial", bucket.alias("i"), "hit", "num").where(F.col("i") < len(times))
-    part = part.groupBy("trial", "i").agg(F.sum("hit").alias("hits"), F.sum("num").cast("decimal(38,0)").alias("num"))
-    trials = weighed.select("trial").distinct()
-    grid = trials.select("trial", F.posexplode(F.array(*[F.lit(t).cast("bigint") for t in times])).alias("i", "as_of"))
-    upto = Window.partitionBy("trial").orderBy("i")
-    rows = grid.join(part, ["trial", "i"], "left")
-    total = lambda c: F.coalesce(F.sum(c).over(upto), F.lit(0))
-    return finish(rows.select("trial", "as_of", total("hits").alias("hits"), total("num").cast("decimal(38,0)").alias("num")), budget, divisor)
+        at = F.when(F.col("t") <= times[i], F.lit(i)).otherwise(at)
+    keys = ["trial", "node"] if local else ["trial"]
+    found = updates(weighed).where("node is not null") if local else weighed
+    total = [F.sum("hit").alias("hit"), F.sum("num").cast("decimal(38,0)").alias("num")]
+    # Sums between snapshots first; each then counts for its own and all later ones.
+    part = found.select(*keys, at.alias("i"), "hit", "num").where(F.col("i") < len(times)).groupBy(*keys, "i").agg(*total)
+    upto = part.withColumn("i", F.explode(F.sequence("i", F.lit(len(times) - 1)))).groupBy(*keys, "i").agg(*total).withColumnRenamed("hit", "hits")
+    moments = F.array(*[F.lit(t).cast("bigint") for t in times])
+    if local:
+        return finish(upto.select("trial", F.get(moments, F.col("i")).alias("as_of"), "node", "hits", "num"), budget, divisor).select("trial", "as_of", "node", "est")
+    grid = weighed.sparkSession.range(trials).select(F.col("id").cast("int").alias("trial"), F.posexplode(moments).alias("i", "as_of"))
+    rows = grid.join(upto, ["trial", "i"], "left")
+    return finish(rows.select("trial", "as_of", F.coalesce("hits", F.lit(0)).alias("hits"), F.coalesce("num", F.lit(0)).cast("decimal(38,0)").alias("num")), budget, divisor)

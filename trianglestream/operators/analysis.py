@@ -84,7 +84,8 @@ def variance_bound(edges: DataFrame, kind: str, budget: int, k: int = 1, mapping
     n = placed_triangles(edges, mapping, k, seed).groupBy("worker").agg(F.count(F.lit(1)).alias("n"))
     loads = assign(edges, mapping, k, seed).groupBy("worker").agg(F.count(F.lit(1)).alias("load"))
     rows = loads.join(n, "worker", "left").join(pair_counts_by_worker(edges, mapping, k, seed), "worker", "left").na.fill(0)
-    z = bound_column(F.col("load"), budget, F.col("n"), F.col("type1"), F.col("type2"), pair_factor)
+    # As for one worker, where the last edge arrives at time t and t - 1 came before: the load counts the last edge.
+    z = bound_column(F.col("load") - 1, budget, F.col("n"), F.col("type1"), F.col("type2"), pair_factor)
     return rows.agg(F.sum(z).alias("bound"))
 
 
@@ -101,11 +102,16 @@ def epsilon_uniform(edges: DataFrame, mapping, k: int, seed: int = 0) -> DataFra
 
 
 def variance_terms(k: int, b: int, t: int, n: int, p: int, q: int) -> dict[str, tuple[float, float, float]]:
-    """Leading terms of both variances at a common epsilon: triangles, type-1 and type-2 pairs."""
-    return {
-        "routed": (n * (t / (k * b)) ** 2, p * t / (k * k * b), q * t / (k**2 * b) / k),
-        "broadcast": (n * t * t / (k * b * b), p * t / (k * b), q * t / (k * b)),
-    }
+    """Leading terms of both variances under a uniform mapping: triangles, type-1 and type-2 pairs.
+
+    Only the type-1 term falls with 1/k for the routed estimator, the others with 1/k²; for the average all fall with 1/k."""
+    return {"routed": (n * t * t / (k * b) ** 2, p * t / (k * b), q * t / (k * k * b)), "broadcast": (n * t * t / (k * b * b), p * t / (k * b), q * t / (k * b))}
+
+
+def complete_graph_redundancy(sizes: list[int]) -> int:
+    """Edges of a complete graph that two workers store, where worker i has ``sizes[i]`` of the nodes."""
+    pairs = lambda n: n * (n - 1) // 2
+    return pairs(sum(sizes)) - sum(map(pairs, sizes))
 
 
 def expected_uniformity(k: int) -> dict[str, float]:
@@ -126,9 +132,15 @@ def listed_uniformity(k: int) -> dict[str, float]:
 
 
 def predicted_cost(method: str, t: int, k: int, b: int, n: int, nodes: int) -> dict[str, float]:
-    """Order of time and space by role, for t edges and n triangles."""
-    s = min(t, b * k) if method == "routed" else min(t * k, b * k)
-    return {"master_time": t * k, "worker_time": t * s, "aggregator_time": min(t * s, n if method == "routed" else n * k), "master_space": nodes + k, "worker_space": s, "aggregator_space": nodes}
+    """Order of time and space by role for t edges and n triangles; methods routed_modulo, routed_adaptive, broadcast."""
+    if method not in ("routed_modulo", "routed_adaptive", "broadcast"):
+        raise ValueError(f"unknown method {method!r}")
+    average = method == "broadcast"
+    stored = min(t * k if average else t, b * k)
+    return {
+        "master_time": t * k, "worker_time": t * stored, "aggregator_time": min(t * stored, n * k if average else n),
+        "master_space": nodes + k if method == "routed_adaptive" else k, "worker_space": stored, "aggregator_space": nodes,
+    }
 
 
 def exact_budget(edges: DataFrame, mapping, k: int, seed: int = 0) -> DataFrame:
@@ -137,4 +149,4 @@ def exact_budget(edges: DataFrame, mapping, k: int, seed: int = 0) -> DataFrame:
     return load_before(assign(edges, mapping, k, seed), placed).agg(F.greatest(F.coalesce(F.max("load_before"), F.lit(2)), F.lit(2)).cast("bigint").alias("budget"))
 
 
-__all__ = ["able_workers", "bound_column", "epsilon_uniform", "exact_budget", "expected_uniformity", "listed_uniformity", "older_edges", "pair_counts", "pair_counts_by_worker", "pair_counts_listed", "predicted_cost", "storage_copies", "variance_bound", "variance_terms"]
+__all__ = ["able_workers", "bound_column", "complete_graph_redundancy", "epsilon_uniform", "exact_budget", "expected_uniformity", "listed_uniformity", "older_edges", "pair_counts", "pair_counts_by_worker", "pair_counts_listed", "predicted_cost", "storage_copies", "variance_bound", "variance_terms"]

@@ -1,8 +1,11 @@
-"""Discoveries: triangles a worker's sample closes, by two strategies with the same result.
+"""Discoveries: triangles a worker's sample closes, by three strategies with the same result.
 
 ``wedge`` joins the samples with themselves and then with the stream; it is the
-one-pass algorithm seen as joins. ``triangle`` lists the true triangles once, by
-degree order, and asks which the samples hold; it serves many trials at small cost.
+one-pass algorithm seen as joins. ``probe`` goes from each arriving edge to the samples
+at its end of fewer sampled edges and looks the third edge up, so its work is bounded by
+the lesser degrees and a hub costs nothing of its own. ``triangle`` lists the true
+triangles once, by degree order, and asks which the samples hold; it serves many trials
+at small cost.
 """
 
 from __future__ import annotations
@@ -28,9 +31,12 @@ def wedges(residency: DataFrame) -> DataFrame:
     return met.select("trial", "worker", "apex", "a", "b", F.greatest("in_a", "in_b").alias("t_lo"), F.least("out_a", "out_b").alias("t_hi")).where("t_lo < t_hi")
 
 
-def closures(edges: DataFrame, residency: DataFrame, mapping=None, k: int = 1, seed: int = 0) -> DataFrame:
-    """(trial, worker, u, v, apex, t). With a mapping, an edge inside one worker is sent to that worker only."""
+def closures(edges: DataFrame, residency: DataFrame, mapping=None, k: int = 1, seed: int = 0, small: bool = False) -> DataFrame:
+    """(trial, worker, u, v, apex, t). With a mapping, an edge inside one worker is sent to that worker only.
+
+    ``small``: the caller has counted the stream and found that it may be broadcast, so wedges are not shuffled."""
     stream = edges if mapping is None else with_workers(edges, mapping, k, seed)
+    stream = F.broadcast(stream) if small else stream
     found = wedges(residency).join(stream, (F.col("a") == F.col("u")) & (F.col("b") == F.col("v")))
     found = found.where("t_lo < t and t <= t_hi")
     if mapping is not None:
@@ -38,6 +44,30 @@ def closures(edges: DataFrame, residency: DataFrame, mapping=None, k: int = 1, s
     return found.select("trial", "worker", "u", "v", "apex", "t")
 
 
+def probes(edges: DataFrame, residency: DataFrame, mapping=None, k: int = 1, seed: int = 0) -> DataFrame:
+    """(trial, worker, t, u, v, y, w): for each arriving edge, the sampled edges (x, w) at its end x of fewer sampled edges
+    that stand when it arrives; y is the other end. No more than the lesser sampled degrees add up to."""
+    stream = edges if mapping is None else with_workers(edges, mapping, k, seed)
+    both = F.explode(F.array(F.struct(F.col("u").alias("x"), F.col("v").alias("w")), F.struct(F.col("v").alias("x"), F.col("u").alias("w"))))
+    ends = residency.select("trial", "worker", both.alias("e"), "t_in", F.coalesce("t_out", F.lit(END)).alias("t_out")).select("trial", "worker", "e.x", "e.w", "t_in", "t_out")
+    held = ends.groupBy("x").agg(F.count(F.lit(1)).alias("held"))
+    sides = stream.join(held.withColumnsRenamed({"x": "u", "held": "du"}), "u").join(held.withColumnsRenamed({"x": "v", "held": "dv"}), "v")
+    low = F.col("du") <= F.col("dv")
+    sides = sides.withColumns({"x": F.when(low, F.col("u")).otherwise(F.col("v")), "y": F.when(low, F.col("v")).otherwise(F.col("u"))}).drop("du", "dv")
+    met = sides.join(ends, "x").where("w <> y and t_in < t and t <= t_out")
+    if mapping is not None:
+        met = met.where("fu <> fv or worker = fu")
+    return met.select("trial", "worker", "t", "u", "v", "y", "w")
+
+
+def closures_probed(edges: DataFrame, residency: DataFrame, mapping=None, k: int = 1, seed: int = 0) -> DataFrame:
+    """The same closures as ``closures``, from the arriving edges' side."""
+    third = residency.select("trial", "worker", F.col("u").alias("a"), F.col("v").alias("b"), "t_in", F.coalesce("t_out", F.lit(END)).alias("t_out"))
+    asked = probes(edges, residency, mapping, k, seed).withColumns({"a": F.least("y", "w"), "b": F.greatest("y", "w")})
+    found = asked.join(third, ["trial", "worker", "a", "b"]).where("t_in < t and t <= t_out")
+    return found.select("trial", "worker", "u", "v", F.col("w").alias("apex"), "t")
+
+
 def placed_triangles(edges: DataFrame, mapping, k: int, seed: int = 0) -> DataFrame:
     """True triangles with their counting worker: (worker, u, v, apex, t, t1, t2), older edges' times t1 < t2."""
     found = triangles(edges)
@@ -53,9 +83,10 @@ def _apex_workers(found: DataFrame, mapping, k: int, seed: int) -> DataFrame:
 
 
 def closures_from_triangles(placed: DataFrame, residency: DataFrame) -> DataFrame:
-    """The same closures, from placed triangles and two look-ups of the samples."""
+    """The same closures, from placed triangles and two look-ups of the samples; a load of the triangles is kept."""
     stay = residency.select("trial", "worker", "t_in", F.coalesce("t_out", F.lit(END)).alias("t_out"))
     one = stay.withColumnsRenamed({"t_in": "t1", "t_out": "out1"})
     two = stay.withColumnsRenamed({"t_in": "t2", "t_out": "out2"})
     met = placed.join(one, ["worker", "t1"]).join(two, ["trial", "worker", "t2"])
-    return met.where("t <= out1 and t <= out2").select("trial", "worker", "u", "v", "apex", "t")
+    load = ["load_before"] if "load_before" in placed.columns else []
+    return met.where("t <= out1 and t <= out2").select("trial", "worker", "u", "v", "apex", "t", *load)

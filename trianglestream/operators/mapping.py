@@ -11,7 +11,7 @@ from collections.abc import Callable
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from ..functions.hashing import colour
+from ..functions.hashing import coin, colour
 from ..sources.tables import pin
 
 
@@ -95,7 +95,7 @@ def epoch_map(edges: DataFrame, k: int, theta: float, epochs: int) -> DataFrame:
             first = first.join(known, "node", "left_anti").join(known.select(F.col("node").alias("partner"), F.col("worker").alias("theirs")), "partner", "left")
         else:
             first = first.withColumn("theirs", F.lit(None).cast("int"))
-        spare = F.get(F.array(*[F.lit(w) for w in light]), F.pmod(F.xxhash64(F.least("node", "partner")), F.lit(len(light))).cast("int"))
+        spare = F.get(F.array(*[F.lit(w) for w in light]), F.floor(coin("p", F.least("node", "partner")) * len(light)).cast("int"))
         fresh = first.select("node", F.when(F.col("theirs").isNotNull() & F.get(fits, F.col("theirs")), F.col("theirs")).otherwise(spare).cast("int").alias("worker"))
         known = pin(fresh if known is None else known.unionByName(fresh), "nodemap")
         both = with_workers(part, known, k)

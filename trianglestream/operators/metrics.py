@@ -25,10 +25,15 @@ def paired_local(local: DataFrame, edges: DataFrame, truth: DataFrame) -> DataFr
 
 
 def ranked(rows: DataFrame, column: str) -> DataFrame:
-    """(column, rank): mean rank of each value; values are far fewer than rows, and only they are ordered."""
-    values = rows.groupBy(column).agg(F.count(F.lit(1)).alias("same"))
-    before = Window.orderBy(column).rowsBetween(Window.unboundedPreceding, -1)
-    return values.select(column, (F.coalesce(F.sum("same").over(before), F.lit(0)) + (F.col("same") + 1) / 2).alias(f"{column}_rank"))
+    """(column, rank): mean rank of each value, none of them negative. Distinct values may be as many as rows, so they are
+    numbered inside chunks of the scale, and only chunks, whose number is bounded, are ordered in one window."""
+    chunk = F.floor(F.log2(F.col(column).cast("double") + 1) * 1024)
+    values = rows.groupBy(column).agg(F.count(F.lit(1)).alias("same")).withColumn("chunk", chunk)
+    earlier = Window.orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    chunks = values.groupBy("chunk").agg(F.sum("same").alias("n")).select("chunk", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("before"))
+    inside = Window.partitionBy("chunk").orderBy(column).rowsBetween(Window.unboundedPreceding, -1)
+    placed = values.join(chunks, "chunk").withColumn("before", F.col("before") + F.coalesce(F.sum("same").over(inside), F.lit(0)))
+    return placed.select(column, (F.col("before") + (F.col("same") + 1) / 2).alias(f"{column}_rank"))
 
 
 def local_metrics(paired: DataFrame) -> DataFrame:

@@ -57,6 +57,11 @@ def routed():
         times = [500, 1000, 2000, 4000, 6000]
         parts, many = sql.estimate_parts(g, K, b, mapping, SEED, 1), sql.estimate_parts(g, K, b, mapping, SEED, 5)
         add(f"routed_{mapping}_snapshots_{g}", lambda spark, d, run=run: with_bigint(run(spark, d).snapshots(times)), sql.snapshot_sql(parts, b, 1, times))
+        few = sql.estimate_parts(g, K, 10, mapping, SEED, 6)
+        early = lambda spark, d, m=mapping: estimate_routed(stream(spark, d, "coactivity"), K, 10, m, seed=SEED, trials=6, strategy="triangle")
+        add(f"routed_{mapping}_snapshots_trials_{g}", lambda spark, d, early=early: with_bigint(early(spark, d).snapshots([30, 60, 200])), sql.snapshot_sql(few, 10, 1, [30, 60, 200], 6))
+        add(f"routed_{mapping}_local_snapshots_{g}", lambda spark, d, run=run: run(spark, d).snapshots(times, local=True), sql.local_snapshot_sql(parts, b, 1, times))
+        add(f"routed_{mapping}_probe_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, strategy="probe").global_df), sql.global_sql(parts, b, 1, 1))
         add(f"routed_{mapping}_trials_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, trials=5, strategy="triangle").global_df), sql.global_sql(many, b, 1, 5))
         add(f"routed_{mapping}_eager_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, aggregation="eager", aggregators=4).global_df), sql.global_sql(parts, b, 1, 1))
         add(f"closures_{mapping}_{g}", lambda spark, d, run=run: run(spark, d, strategy="wedge").weighed.select("trial", "worker", "u", "v", "apex", "t", "load_before"), sql.chain(parts, "SELECT trial, worker, u, v, apex, t, load_before FROM l"))
@@ -81,9 +86,19 @@ def adaptive():
     run = lambda spark, d: estimate_routed(stream(spark, d, g), k, b, "adaptive", theta, SEED, strategy="wedge")
     add(f"routed_adaptive_global_{g}", lambda spark, d: with_bigint(run(spark, d).global_df), sql.global_sql(parts, b, 1, 1))
     add(f"routed_adaptive_local_{g}", lambda spark, d: run(spark, d).local_df, sql.local_sql(parts, b, 1))
-    for other in ("copurchase", "neardup", "hostlinks"):
-        add(f"routed_adaptive_global_{other}", lambda spark, d, o=other: with_bigint(estimate_routed(stream(spark, d, o), K, BUDGET[o], "adaptive", theta, SEED).global_df))
-        add(f"routed_epoch_global_{other}", lambda spark, d, o=other: with_bigint(estimate_routed(stream(spark, d, o), K, BUDGET[o], "adaptive", theta, SEED, engine="epoch").global_df))
+    for other in ("neardup", "hostlinks", "coactivity"):
+        tail = sql.residency_parts(BUDGET[other], SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(BUDGET[other])
+        routed_run = lambda spark, d, o=other, e="sequential": with_bigint(estimate_routed(stream(spark, d, o), K, BUDGET[o], "adaptive", theta, SEED, engine=e).global_df)
+        exact_map = sql.stream_parts(other) + sql.adaptive_parts(K, theta)
+        epoch_map = sql.stream_parts(other) + sql.epoch_parts(K, theta)
+        add(f"routed_adaptive_global_{other}", routed_run, sql.global_sql(exact_map + sql.assigned_parts(K, "", nodemap=True) + tail, BUDGET[other], 1, 1))
+        add(f"routed_epoch_global_{other}", lambda spark, d, run=routed_run: run(spark, d, e="epoch"), sql.global_sql(epoch_map + sql.assigned_parts(K, "", nodemap=True) + tail, BUDGET[other], 1, 1))
+        add(f"epoch_map_{other}", lambda spark, d, o=other: adaptive_map(stream(spark, d, o), K, theta, "epoch"), sql.chain(epoch_map, "SELECT node, worker FROM nodemap"))
+    epochs = sql.stream_parts("copurchase") + sql.epoch_parts(K, theta) + sql.assigned_parts(K, "", nodemap=True)
+    tail = sql.residency_parts(BUDGET["copurchase"], SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(BUDGET["copurchase"])
+    add("routed_epoch_global_copurchase", lambda spark, d: with_bigint(estimate_routed(stream(spark, d, "copurchase"), K, BUDGET["copurchase"], "adaptive", theta, SEED, engine="epoch").global_df), sql.global_sql(epochs + tail, BUDGET["copurchase"], 1, 1))
+    # The exact rule over this many edges is beyond a recursive query; its kernel is the one of the graphs above.
+    add("routed_adaptive_global_copurchase", lambda spark, d: with_bigint(estimate_routed(stream(spark, d, "copurchase"), K, BUDGET["copurchase"], "adaptive", theta, SEED).global_df))
 
 
 def broadcasts():
@@ -114,8 +129,9 @@ def single_machine():
     ]
     add(f"wedge_picks_{g}", lambda spark, d: baselines.wedge_picks(stream(spark, d, g), r, SEED, 2), sql.chain(parts, "SELECT * FROM picks"))
     add(f"wedge_reservoir_{g}", lambda spark, d: baselines.wedge_reservoir(stream(spark, d, g), r, SEED, 2), sql.chain(parts, f"SELECT trial, sum(CASE WHEN closed THEN c ELSE 0 END) * CAST((SELECT max(t) FROM e) AS DOUBLE) / {float(r)!r} AS est FROM picks GROUP BY trial"))
-    add(f"hold_sampler_{g}", lambda spark, d: baselines.hold_sampler(stream(spark, d, g), 0.1, 0.05, SEED, 3))
-    add(f"hold_sampler_plain_{g}", lambda spark, d: baselines.hold_sampler(stream(spark, d, g), 0.1, 0.05, SEED, 3, sure=False))
+    for name, sure in (("", True), ("_plain", False)):
+        held = lambda spark, d, sure=sure: baselines.hold_sampler(stream(spark, d, "nation_trade"), 0.3, 0.2, SEED, 3, sure=sure).withColumn("est", F.round("est", 6))
+        add(f"hold_sampler{name}_nation_trade", held, sql.hold_sql("nation_trade", 0.3, 0.2, SEED, 3, sure, 25))
 
 
 def properties():
@@ -145,14 +161,29 @@ def properties():
     placed = sql.placed_parts(g, K, "modulo")
     by = placed + [("o", old.format(k="worker,", src="p")), ("pq", pairs.format(k="worker,", src="o", g="GROUP BY worker")), ("wn", "SELECT worker, count(*) AS n FROM p GROUP BY worker"), ("wl", "SELECT worker, count(*) AS load FROM a GROUP BY worker"), ("ws", "SELECT worker, load, coalesce(n, 0) AS n, coalesce(type1, 0) AS type1, coalesce(type2, 0) AS type2 FROM wl LEFT JOIN wn USING (worker) LEFT JOIN pq USING (worker)")]
     each = z.format(n="n", t="load", **args)
-    add(f"bound_routed_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "routed", b, K).select(F.round(F.col("bound") / 1000).alias("bound")), sql.chain(by, f"SELECT round(sum({each}) / 1000) AS bound FROM ws"))
+    each = z.format(n="n", t="(load - 1)", **args)
+    add(f"bound_routed_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "routed", b, K).select(F.round("bound", 3).alias("bound")), sql.chain(by, f"SELECT round(sum({each}), 3) AS bound FROM ws"))
+    add(f"bound_routed_one_worker_{g}", lambda spark, d: analysis.variance_bound(s(spark, d), "routed", b, 1), sql.chain(whole, f"SELECT {one} / 1 AS bound FROM pq"))
     uni = by + [("oo", old.format(k="", src="tri")), ("ppqq", pairs.format(k="", src="oo", g=""))]
     share = lambda part, whole_, f: f"max(CASE WHEN {whole_} > 0 THEN {float(f)!r} * {part} / {whole_} ELSE 0.0 END)"
     parts = [share("n", "(SELECT count(*) FROM tri)", K) + " AS triangles", share("load", "(SELECT count(*) FROM e)", K) + " AS load", share("type1", "(SELECT type1 FROM ppqq)", K) + " AS type1", share("type2", "(SELECT type2 FROM ppqq)", K * K) + " AS type2"]
     add(f"epsilon_uniform_{g}", lambda spark, d: analysis.epsilon_uniform(s(spark, d), "modulo", K), sql.chain(uni, f"SELECT *, greatest(triangles, load, type1, type2) - 1 AS epsilon FROM (SELECT {', '.join(parts)} FROM ws)"))
     add("expected_uniformity", lambda spark, d: spark.createDataFrame([(k, *analysis.expected_uniformity(k).values()) for k in range(1, 9)], "k int, triangles double, load double, type1 double, type2 double"), "SELECT CAST(k AS INTEGER) AS k, 1.0 / k AS triangles, (2.0 * k - 1) / (k * k) AS load, (k * k * k - 2 * k * k + 4 * k - 2) / CAST(k * k * k * k AS DOUBLE) AS type1, (3 * k * k - 4 * k + 2) / CAST(k * k * k * k AS DOUBLE) AS type2 FROM (SELECT range AS k FROM range(1, 9))")
-    add("variance_terms", lambda spark, d: spark.createDataFrame([(m, k, *v) for k in (5, 10, 30) for m, v in analysis.variance_terms(k, 1000, 100_000, 50_000, 10**6, 10**6).items()], "method string, k int, triangles double, type1 double, type2 double"))
-    add("predicted_cost", lambda spark, d: spark.createDataFrame([(m, role, float(v)) for m in ("routed", "broadcast") for role, v in analysis.predicted_cost(m, 100_000, 30, 2_000, 400_000, 2_000).items()], "method string, role string, value double"))
+    t, n, p, q, room = 100_000, 50_000, 10**6, 2 * 10**6, 1000
+    terms = lambda spark, d: spark.createDataFrame([(m, k, *v) for k in (1, 5, 10, 30) for m, v in analysis.variance_terms(k, room, t, n, p, q).items()], "method string, k int, triangles double, type1 double, type2 double")
+    add("variance_terms", terms, f"""WITH g AS (SELECT CAST(k AS INTEGER) AS k, CAST(k AS DOUBLE) AS x, CAST({t} AS DOUBLE) AS t, CAST({room} AS DOUBLE) AS b FROM (VALUES (1), (5), (10), (30)) v(k))
+      SELECT 'routed' AS method, k, {n} * t * t / (x * x * b * b) AS triangles, {p} * t / (x * b) AS type1, {q} * t / (x * x * b) AS type2 FROM g
+      UNION ALL SELECT 'broadcast', k, {n} * t * t / (x * b * b), {p} * t / (x * b), {q} * t / (x * b) FROM g""")
+    cost = lambda spark, d: spark.createDataFrame([(m, k, role, float(v)) for m in ("routed_modulo", "routed_adaptive", "broadcast") for k in (1, 30, 100) for role, v in analysis.predicted_cost(m, 100_000, k, 2_000, 400_000, 2_000).items()], "method string, k int, role string, value double")
+    add("predicted_cost", cost, """WITH g AS (SELECT method, CAST(k AS INTEGER) AS k, CAST(100000 AS BIGINT) AS t, CAST(2000 AS BIGINT) AS b, CAST(400000 AS BIGINT) AS n, CAST(2000 AS BIGINT) AS nodes
+        FROM (VALUES ('routed_modulo'), ('routed_adaptive'), ('broadcast')) m(method), (VALUES (1), (30), (100)) v(k)),
+      h AS (SELECT *, CASE method WHEN 'broadcast' THEN least(t * k, b * k) ELSE least(t, b * k) END AS room, CASE method WHEN 'broadcast' THEN n * k ELSE n END AS found FROM g)
+      SELECT method, k, role, CAST(value AS DOUBLE) AS value FROM (
+        SELECT method, k, 'master_time' AS role, t * k AS value FROM h UNION ALL SELECT method, k, 'worker_time', t * room FROM h UNION ALL SELECT method, k, 'aggregator_time', least(t * room, found) FROM h
+        UNION ALL SELECT method, k, 'master_space', CASE method WHEN 'routed_adaptive' THEN nodes + k ELSE k END FROM h UNION ALL SELECT method, k, 'worker_space', room FROM h UNION ALL SELECT method, k, 'aggregator_space', nodes FROM h)""")
+    complete = lambda spark, d: analysis.storage_copies(s(spark, d, "cosupply"), "modulo", K).agg(F.coalesce(F.sum(F.when(F.col("copies") == 2, F.col("edges"))), F.lit(0)).alias("twice"))
+    add("storage_redundancy_complete_graph", complete, sql.chain(sql.stream_parts("cosupply"), f"""SELECT CAST((SELECT count(*) * (count(*) - 1) // 2 FROM (SELECT u FROM e UNION SELECT v FROM e)) - sum(n * (n - 1) // 2) AS BIGINT) AS twice
+      FROM (SELECT node % {K} AS worker, count(*) AS n FROM (SELECT u AS node FROM e UNION SELECT v FROM e) GROUP BY 1)"""))
     run = lambda spark, d: estimate_routed(s(spark, d), K, b, "modulo", seed=SEED)
     parts = sql.estimate_parts(g, K, b, "modulo", SEED, 1) + sql.TRIANGLES
     local = parts + [

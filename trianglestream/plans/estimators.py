@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, functions as F
 
 from ..operators.aggregate import aggregate, snapshots, weigh
-from ..operators.counting import closures, closures_from_triangles, placed_triangles
+from ..operators.counting import closures, closures_from_triangles, closures_probed, placed_triangles
 from ..operators.mapping import adaptive_map
 from ..operators.sampling import assign, everywhere, load_before, rank_in_worker, reservoir
 from ..schemas import require_edge_stream, require_parameters
@@ -38,8 +38,13 @@ class Estimate:
         """(trial, node, est) of nodes in a discovery."""
         return self.sums.where("node is not null").select("trial", "node", "est")
 
-    def snapshots(self, times: list[int]) -> DataFrame:
-        return snapshots(self.weighed, self.budget, times, self.divisor)
+    def snapshots(self, times: list[int], local: bool = False) -> DataFrame:
+        """Global estimates at each of ``times``, or the local ones."""
+        return snapshots(self.weighed, self.budget, times, self.divisor, self.trials, local)
+
+
+#: A stream of so many counted edges may be broadcast: about 100 bytes each in a hash table.
+SMALL_STREAM = 1_500_000
 
 
 def choose_strategy(trials: int, k: int, budget: int, edges: int) -> str:
@@ -47,16 +52,16 @@ def choose_strategy(trials: int, k: int, budget: int, edges: int) -> str:
     return "triangle" if trials > 3 or k * budget >= edges else "wedge"
 
 
-def routed_closures(edges: DataFrame, k: int, budget: int, mapping, seed: int, trials: int, strategy: str = "wedge", coins: str = "portable") -> DataFrame:
-    """Weighed discoveries of the routed estimator."""
+def routed_closures(edges: DataFrame, k: int, budget: int, mapping, seed: int, trials: int, strategy: str = "wedge", coins: str = "portable", small: bool = False) -> DataFrame:
+    """Weighed discoveries of the routed estimator. ``small``: the stream is counted and may be broadcast."""
     assigned = assign(edges, mapping, k, seed)
     residency = reservoir(rank_in_worker(assigned), budget, seed, trials, coins)
     if strategy == "wedge":
-        found = load_before(assigned, closures(edges, residency, mapping, k, seed))
+        found = load_before(assigned, closures(edges, residency, mapping, k, seed, small))
+    elif strategy == "probe":
+        found = load_before(assigned, closures_probed(edges, residency, mapping, k, seed))
     elif strategy == "triangle":
-        placed = load_before(assigned, placed_triangles(edges, mapping, k, seed))
-        loads = placed.select("worker", "u", "v", "apex", "t", "load_before")
-        found = closures_from_triangles(placed, residency).join(loads, ["worker", "u", "v", "apex", "t"])
+        found = closures_from_triangles(load_before(assigned, placed_triangles(edges, mapping, k, seed)), residency)
     else:
         raise ValueError(f"unknown strategy {strategy!r}")
     return weigh(found, budget)
@@ -68,25 +73,31 @@ def estimate_routed(edges: DataFrame, k: int, budget: int, mapping="modulo", the
     edges = require_edge_stream(edges)
     if isinstance(mapping, str) and mapping == "adaptive":
         mapping = pin(adaptive_map(edges, k, theta, engine), "nodemap")
+    size = edges.count() if strategy == "auto" else None
     if strategy == "auto":
-        strategy = choose_strategy(trials, k, budget, edges.count())
-    weighed = routed_closures(edges, k, budget, mapping, seed, trials, strategy, coins)
+        strategy = choose_strategy(trials, k, budget, size)
+    weighed = routed_closures(edges, k, budget, mapping, seed, trials, strategy, coins, size is not None and size <= SMALL_STREAM)
     return Estimate(aggregate(weighed, budget, 1, aggregation == "lazy", aggregators), weighed, budget, 1, trials)
 
 
-def estimate_broadcast(edges: DataFrame, k: int, budget: int, seed: int = 0, trials: int = 1, aggregation: str = "lazy", coins: str = "portable") -> Estimate:
-    """Every worker samples the whole stream with coins of its own; the answers are averaged."""
+def estimate_broadcast(edges: DataFrame, k: int, budget: int, seed: int = 0, trials: int = 1, aggregation: str = "lazy", coins: str = "portable", strategy: str = "wedge") -> Estimate:
+    """Every worker samples the whole stream with coins of its own; the answers are averaged. Strategies wedge, probe, and
+    auto, which is wedge with a counted stream."""
     require_parameters(k, budget)
     edges = require_edge_stream(edges)
     residency = reservoir(everywhere(edges, k), budget, seed, trials, coins)
-    found = closures(edges, residency).withColumn("load_before", F.col("t") - 1)
+    if strategy == "probe":
+        found = closures_probed(edges, residency)
+    else:
+        found = closures(edges, residency, small=strategy == "auto" and edges.count() <= SMALL_STREAM)
+    found = found.withColumn("load_before", F.col("t") - 1)
     weighed = weigh(found, budget)
     return Estimate(aggregate(weighed, budget, k, aggregation == "lazy"), weighed, budget, k, trials)
 
 
-def estimate_single(edges: DataFrame, budget: int, seed: int = 0, trials: int = 1) -> Estimate:
+def estimate_single(edges: DataFrame, budget: int, seed: int = 0, trials: int = 1, **options) -> Estimate:
     """One worker's answer."""
-    return estimate_broadcast(edges, 1, budget, seed, trials)
+    return estimate_broadcast(edges, 1, budget, seed, trials, **options)
 
 
 __all__ = ["Estimate", "choose_strategy", "estimate_broadcast", "estimate_routed", "estimate_single", "routed_closures"]

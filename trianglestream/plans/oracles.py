@@ -65,8 +65,9 @@ def weigh_parts(budget: int) -> list[tuple[str, str]]:
     ]
 
 
-def est(budget: int, divisor: int, hits: str = "hits", num: str = "num") -> str:
-    return f"(CAST({hits} AS DOUBLE) + CAST({num} AS DOUBLE) / {float(budget) * (budget - 1)!r}) / {float(divisor)!r}"
+def est(budget: int | str, divisor: int, hits: str = "hits", num: str = "num") -> str:
+    room = f"(CAST({budget} AS DOUBLE) * ({budget} - 1))" if isinstance(budget, str) else repr(float(budget) * (budget - 1))
+    return f"(CAST({hits} AS DOUBLE) + CAST({num} AS DOUBLE) / {room}) / {float(divisor)!r}"
 
 
 def estimate_parts(graph: str, k: int, budget: int, mapping: str | None, seed: int, trials: int, map_seed: int | None = None) -> list[tuple[str, str]]:
@@ -85,10 +86,20 @@ def local_sql(parts, budget: int, divisor: int) -> str:
     return chain(parts, f"SELECT trial, node, {est(budget, divisor)} AS est FROM (SELECT trial, node, sum(hit) AS hits, sum(num) AS num FROM k WHERE node IS NOT NULL GROUP BY trial, node)")
 
 
-def snapshot_sql(parts, budget: int, divisor: int, times: list[int]) -> str:
+def snapshot_sql(parts, budget: int, divisor: int, times: list[int], trials: int = 1) -> str:
+    """Every trial at every time, zero before anything is found."""
     grid = ", ".join(f"({t})" for t in times)
-    return chain(parts, f"""SELECT trial, as_of, hits, num, {est(budget, divisor)} AS est FROM (SELECT g.trial, CAST(as_of AS BIGINT) AS as_of, CAST(coalesce(sum(hit), 0) AS BIGINT) AS hits, CAST(coalesce(sum(num), 0) AS BIGINT) AS num
-      FROM (SELECT DISTINCT trial, as_of FROM x, (VALUES {grid}) v(as_of)) g LEFT JOIN x ON x.trial = g.trial AND x.t <= as_of GROUP BY ALL)""")
+    return chain(parts, f"""SELECT trial, as_of, hits, num, {est(budget, divisor)} AS est FROM (
+      SELECT g.trial, g.as_of, CAST(coalesce(sum(hit), 0) AS BIGINT) AS hits, CAST(coalesce(sum(num), 0) AS BIGINT) AS num
+      FROM (SELECT CAST(range AS INTEGER) AS trial, CAST(as_of AS BIGINT) AS as_of FROM range({trials}), (VALUES {grid}) v(as_of)) g
+      LEFT JOIN x ON x.trial = g.trial AND x.t <= g.as_of GROUP BY ALL)""")
+
+
+def local_snapshot_sql(parts, budget: int, divisor: int, times: list[int]) -> str:
+    grid = ", ".join(f"({t})" for t in times)
+    return chain(parts, f"""SELECT trial, as_of, node, {est(budget, divisor)} AS est FROM (
+      SELECT trial, CAST(as_of AS BIGINT) AS as_of, node, sum(hit) AS hits, sum(num) AS num
+      FROM k JOIN (VALUES {grid}) v(as_of) ON k.t <= as_of WHERE node IS NOT NULL GROUP BY ALL)""")
 
 
 TRIANGLES = [
@@ -123,3 +134,71 @@ def adaptive_parts(k: int, theta: float) -> list[tuple[str, str]]:
         ("g", f"{start} UNION ALL {step}"),
         ("nodemap", "SELECT node, CAST(any_value(worker) AS INTEGER) AS worker FROM (SELECT u AS node, cu - 1 AS worker FROM g WHERE t > 0 UNION ALL SELECT v, cv - 1 FROM g WHERE t > 0) GROUP BY node"),
     ]
+
+
+def epoch_parts(k: int, theta: float, epochs: int = 8) -> list[tuple[str, str]]:
+    """``nodemap`` of the epoch engine, epochs unrolled: loads stand still within one."""
+    last = "(SELECT max(t) FROM e)"
+    bounds = ["0", *[f"({last} >> {i})" for i in range(epochs - 2, 0, -1)], last]
+    parts = [
+        ("known0", "SELECT CAST(NULL AS BIGINT) AS node, CAST(NULL AS INTEGER) AS worker WHERE false"),
+        ("loads0", f"SELECT CAST(range AS INTEGER) AS worker, CAST(0 AS BIGINT) AS load FROM range({k})"),
+    ]
+    half = max(1, (k + 1) // 2)
+    for i, (low, high) in enumerate(zip(bounds, bounds[1:])):
+        coin = coin_sql("'p'", "least(f.node, f.partner)")
+        parts += [
+            (f"part{i}", f"SELECT * FROM e WHERE t > {low} AND t <= {high}"),
+            (f"first{i}", f"SELECT node, arg_min(partner, t) AS partner FROM (SELECT u AS node, v AS partner, t FROM part{i} UNION ALL SELECT v, u, t FROM part{i}) WHERE node NOT IN (SELECT node FROM known{i}) GROUP BY node"),
+            (f"light{i}", f"SELECT list(worker ORDER BY load, worker)[1:{half}] AS light, min(load) AS least FROM loads{i}"),
+            (f"known{i + 1}", f"""SELECT node, worker FROM known{i} UNION ALL SELECT f.node,
+              CASE WHEN n.worker IS NOT NULL AND CAST(l.load AS DOUBLE) <= CAST({1 + theta!r} AS DOUBLE) * least THEN n.worker ELSE light[CAST(floor({coin} * {half}) AS BIGINT) + 1] END
+              FROM first{i} f LEFT JOIN known{i} n ON f.partner = n.node LEFT JOIN loads{i} l ON l.worker = n.worker, light{i}"""),
+            (f"loads{i + 1}", f"""SELECT o.worker, o.load + coalesce(c.n, 0) AS load FROM loads{i} o LEFT JOIN (
+              SELECT worker, count(*) AS n FROM (SELECT unnest(list_distinct([x.worker, y.worker])) AS worker FROM part{i} p JOIN known{i + 1} x ON p.u = x.node JOIN known{i + 1} y ON p.v = y.node) GROUP BY worker) c USING (worker)"""),
+        ]
+    return [*parts, ("nodemap", f"SELECT * FROM known{len(bounds) - 1}")]
+
+
+def hold_sql(graph: str, p: float, q: float, seed: int, trials: int, sure: bool, nodes: int) -> str:
+    """The hold sampler over a small graph of node ids below ``nodes``, edge by edge: the sample as a map of pairs to weights."""
+    key = lambda a, b: f"(least({a}, {b}) * 1000 + greatest({a}, {b}))"
+    common = f"[w FOR w IN range({nodes}) IF w <> e.u AND w <> e.v AND map_contains(held, {key('e.u', 'w')}) AND map_contains(held, {key('e.v', 'w')})]"
+    touch = "len([x FOR x IN map_keys(held) IF x // 1000 = e.u OR x % 1000 = e.u OR x // 1000 = e.v OR x % 1000 = e.v]) > 0"
+    closes = "len(common) > 0" if sure else "false"
+    gain = f"list_sum([held[{key('e.u', 'w')}] * held[{key('e.v', 'w')}] / chance FOR w IN common])"
+    start = f"SELECT CAST(range AS INTEGER) AS trial, CAST(0 AS BIGINT) AS t, MAP {{CAST(-1 AS BIGINT): CAST(0 AS DOUBLE)}} AS held, CAST(0 AS DOUBLE) AS est, CAST(0 AS BIGINT) AS n FROM range({trials})"
+    step = f"""SELECT g.trial, e.t, CASE WHEN kept THEN map_concat(held, MAP {{CAST({key('e.u', 'e.v')} AS BIGINT): 1 / chance}}) ELSE held END,
+      est + CASE WHEN kept AND len(common) > 0 THEN {gain} ELSE 0 END, n + CASE WHEN kept THEN 1 ELSE 0 END
+      FROM g JOIN e ON e.t = g.t + 1, LATERAL (SELECT *, {coin_sql("'h'", str(seed), "g.trial", "e.t")} < chance AS kept FROM (
+        SELECT common, CAST(CASE WHEN {closes} THEN 1.0 WHEN touch THEN {q} ELSE {p} END AS DOUBLE) AS chance FROM (SELECT {common} AS common, {touch} AS touch)))"""
+    parts = stream_parts(graph) + [("g", f"{start} UNION ALL {step}")]
+    return chain(parts, "SELECT trial, round(est, 6) AS est, n AS held FROM g WHERE t = (SELECT max(t) FROM e)")
+
+
+def fraction_budget(fraction: float) -> str:
+    """A share of the stream, two at least, as an expression."""
+    return f"(SELECT greatest(2, CAST(floor(count(*) * CAST({fraction!r} AS DOUBLE)) AS BIGINT)) FROM e)"
+
+
+def mapped_parts(graph: str, k: int, mapping: str, seed: int, theta: float = 0.2) -> list[tuple[str, str]]:
+    """Stream, node map where the mapping needs one, and assigned rows."""
+    if mapping == "adaptive":
+        return stream_parts(graph) + adaptive_parts(k, theta) + assigned_parts(k, "", nodemap=True)
+    return stream_parts(graph) + (broadcast_parts(k) if mapping == "broadcast" else assigned_parts(k, mapping, seed))
+
+
+def measured_sql(labels: dict, graph: str, k: int, budget: int | str, mapping: str, seed: int, trials: int, theta: float = 0.2) -> str:
+    """One row: labels, trials, mean, stderr, error, variance of an estimator, rounded as the workloads do."""
+    parts = mapped_parts(graph, k, mapping, seed, theta) + residency_parts(budget, seed, trials) + closure_parts(mapping != "broadcast") + weigh_parts(budget) + TRIANGLES
+    divisor = k if mapping == "broadcast" else 1
+    parts += [
+        ("gl", f"SELECT trial, {est(budget, divisor)} AS est FROM (SELECT trial, coalesce(sum(hit), 0) AS hits, coalesce(sum(num), 0) AS num FROM (SELECT CAST(range AS INTEGER) AS trial FROM range({trials})) LEFT JOIN x USING (trial) GROUP BY trial)"),
+        ("tt", "SELECT CAST(count(*) AS DOUBLE) AS truth FROM tri"),
+    ]
+    said = ", ".join(f"{v!r} AS {name}" if isinstance(v, str) else f"CAST({v!r} AS {'DOUBLE' if isinstance(v, float) else 'INTEGER'}) AS {name}" for name, v in labels.items())
+    return "(" + chain(parts, f"SELECT {said}, count(*) AS trials, round(avg(est), 4) AS mean, round(stddev_samp(est) / sqrt(count(*)), 4) AS stderr, round(avg(abs(est - truth) / (truth + 1)), 6) AS error, round(avg((est - truth) * (est - truth)), 2) AS variance, max(truth) AS truth FROM gl, tt") + ")"
+
+
+def rows_sql(rows: list[str], columns: str) -> str:
+    return f"SELECT {columns} FROM (" + " UNION ALL ".join(f"SELECT * FROM {r}" for r in rows) + ")"

@@ -288,7 +288,10 @@ def _(spark, d):
     return spark.sql("SELECT id AS l, discovery_weight(id, 50) AS w FROM range(1, 200)")
 
 
-@op("udtf_er", "")
+_COIN = "(CAST('0x' || substr(md5('{0}:1:' || i), 1, 13) AS BIGINT) / 4503599627370496.0)"
+
+
+@op("udtf_er", f"SELECT CAST(floor({_COIN.format('eu')} * 100) AS BIGINT) AS u, CAST(floor({_COIN.format('ev')} * 100) AS BIGINT) AS v, i AS arrival FROM (SELECT range AS i FROM range(500))")
 def _(spark, d):
     from ..functions.sqlapi import register
 
@@ -296,7 +299,14 @@ def _(spark, d):
     return spark.sql("SELECT * FROM er_edges(100, 500, 1)")
 
 
-@op("udtf_accepted", "")
+_GAP = f"CAST(floor(ln(1 - {_COIN.format('ag')}) / ln(1 - w)) AS BIGINT) + 1"
+_NEXT = f"w * exp(ln(1 - {_COIN.format('aw').replace('|| i', '|| (i + 1)')}) / 200)"
+
+
+@op("udtf_accepted", f"""WITH RECURSIVE g AS (
+  SELECT CAST(0 AS BIGINT) AS i, CAST(200 AS BIGINT) AS r, exp(ln(1 - {_COIN.format('aw').replace('|| i', "|| '0'")}) / 200) AS w, CAST(NULL AS BIGINT) AS rank, CAST(NULL AS BIGINT) AS slot
+  UNION ALL SELECT i + 1, r + {_GAP}, {_NEXT}, r + {_GAP}, CAST(floor({_COIN.format('as')} * 200) AS BIGINT) + 1 FROM g WHERE r <= 100000)
+SELECT rank, slot FROM g WHERE rank <= 100000 UNION ALL SELECT range, range FROM range(1, 201)""")
 def _(spark, d):
     from ..functions.sqlapi import register
 

@@ -10,8 +10,9 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.weights import canonical
 
-#: Leading hex digits that make a chunk of the random order; width of a chunk of arrival keys.
-CHUNK_DIGITS, CHUNK_WIDTH = 2, 4096
+#: Leading hex digits that make a chunk of the random order: 4,096 chunks, so 10¹¹ edges give 25 million rows to a sort;
+#: width of a chunk of arrival keys.
+CHUNK_DIGITS, CHUNK_WIDTH = 3, 4096
 
 
 def clean(pairs: DataFrame) -> DataFrame:
