@@ -2,8 +2,9 @@ import random
 
 from pyspark.sql import functions as F
 from trianglestream.operators.kernels import simulate
-from trianglestream.streaming.edges import activity_sessions, clean_stream, edge_counts, edge_files
-from trianglestream.streaming.routed import AdaptiveMaster, estimate_stream, run_to_end, settle, stream_events
+from trianglestream.operators.mapping import GreedyColours
+from trianglestream.streaming.edges import activity_sessions, clean_stream, edge_counts, edge_files, edge_rate
+from trianglestream.streaming.routed import AdaptiveMaster, estimate_adaptive_stream, estimate_stream, run_to_end, settle, stream_events
 
 
 def stored(spark, path, n=150, files=3):
@@ -60,3 +61,30 @@ def test_adaptive_batches_match_one_pass(spark, tmp_path):
 def test_events_become_files(spark, tmp_path):
     path = stream_events(spark, "/root/testdata/sf0.001", str(tmp_path / "ev"))
     assert spark.read.parquet(path).count() == 105
+
+
+def test_adaptive_stream_equals_kernel_across_an_interruption(spark, tmp_path):
+    """The third file comes only after a first run ended; both queries go on from their checkpoints."""
+    import shutil
+
+    src, held = str(tmp_path / "edges"), str(tmp_path / "later")
+    rows = stored(spark, src)
+    files = sorted((f for f in (tmp_path / "edges").iterdir() if f.name.endswith(".parquet")), key=lambda f: spark.read.parquet(str(f)).agg(F.min("ts")).first()[0])
+    (tmp_path / "later").mkdir()
+    shutil.move(str(files[2]), held)
+    colours = GreedyColours(3, 0.2)
+    for _, u, v in rows:
+        colours.see(u, v)
+    hits, num = simulate(rows, 3, 20, lambda x: colours.colour[x], seed=5)
+    want = {(-1 if n is None else n): hits[n] + num[n] / (20 * 19) for n in hits}
+    for again in (False, True):
+        if again:
+            shutil.move(f"{held}/{files[2].name}", src)
+        updates = estimate_adaptive_stream(edge_files(spark, src), 3, 20, str(tmp_path / "routed"), str(tmp_path / "state"), seed=5)
+        got = {r["node"]: r["est"] for r in settle(run_to_end(updates, str(tmp_path / "out"), str(tmp_path / "state")), 20).collect()}
+        assert (got.keys() == want.keys() and all(abs(got[n] - want[n]) < 1e-9 for n in want)) == again
+
+
+def test_rate_source_makes_edges(spark):
+    stream = edge_rate(spark, 50, 100)
+    assert stream.isStreaming and stream.columns == ["ts", "u", "v"]

@@ -12,7 +12,7 @@ from ..operators.mapping import adaptive_map
 from ..operators.sampling import assign, messages, rank_in_worker, reservoir
 from ..sources.graphs import GRAPHS, stream, stream_sql
 from . import oracles as sql
-from .experiments import WORKLOADS
+from .experiments import WORKLOADS, oracles as workload_sql
 from .relational import RELATIONAL
 from .estimators import estimate_broadcast, estimate_routed, estimate_single
 
@@ -218,23 +218,21 @@ def properties():
 
 
 def live():
-    g, b = "coactivity", BUDGET["coactivity"]
-    parts = sql.stream_parts(g, "arrival") + sql.assigned_parts(K, "modulo") + sql.residency_parts(b, SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(b)
-    text = sql.chain(parts, f"SELECT node, {sql.est(b, 1)} AS est FROM (SELECT coalesce(node, -1) AS node, sum(hit) AS hits, sum(num) AS num FROM k GROUP BY 1)")
-
-    def run(spark, d, lazy):
-        from uuid import uuid4
-
-        from ..sources.tables import shared_root
-        from ..streaming.edges import edge_files
-        from ..streaming.routed import estimate_stream, run_to_end, settle, stream_events
-
-        root = f"{shared_root(spark)}/live-{uuid4().hex}"
-        updates = estimate_stream(edge_files(spark, stream_events(spark, d, f"{root}/in"), 1000), K, b, seed=SEED, lazy=lazy)
-        return settle(run_to_end(updates, f"{root}/out", f"{root}/state"), b)
+    """The estimator over a live stream, six files in six batches."""
+    from ..streaming import scenarios
 
+    g, b = "coactivity", BUDGET["coactivity"]
+    ranked = sql.stream_parts(g, "arrival")
+    tail = sql.residency_parts(b, SEED, 1) + sql.closure_parts(True) + sql.weigh_parts(b)
+    final = f"SELECT node, {sql.est(b, 1)} AS est FROM (SELECT coalesce(node, -1) AS node, sum(hit) AS hits, sum(num) AS num FROM k GROUP BY 1)"
+    plain = sql.chain(ranked + sql.assigned_parts(K, "modulo") + tail, final)
+    greedy = sql.chain(ranked + sql.adaptive_parts(K, 0.2) + sql.assigned_parts(K, "", nodemap=True) + tail, final)
     for name, lazy in (("eager", False), ("lazy", True)):
-        add(f"streaming_routed_{name}_{g}", lambda spark, d, lazy=lazy: run(spark, d, lazy), text)
+        add(f"streaming_routed_{name}_{g}", lambda spark, d, lazy=lazy: scenarios.estimated(spark, d, K, b, SEED, lazy), plain)
+    add(f"streaming_adaptive_{g}", lambda spark, d: scenarios.estimated_adaptive(spark, d, K, b, SEED), greedy)
+    seconds = sql.chain(ranked, "SELECT make_timestamp(begin * 1000000) AS begin, count(*) AS edges FROM (SELECT unnest([t // 300 * 300, t // 300 * 300 - 300]) AS begin FROM e) GROUP BY ALL")
+    add(f"streaming_sliding_windows_{g}", scenarios.sliding, seconds)
+    add(f"streaming_late_rows_{g}", scenarios.late, sql.chain(ranked, "SELECT count(*) AS edges, CAST(7 AS BIGINT) AS dropped FROM e"))
 
 
 edges_and_truth()
@@ -245,7 +243,7 @@ broadcasts()
 single_machine()
 properties()
 for _name, _run in WORKLOADS.items():
-    add(_name, _run)
+    add(_name, _run, workload_sql().get(_name))
 for _name, (_run, _sql) in RELATIONAL.items():
     add(_name, _run, _sql)
 

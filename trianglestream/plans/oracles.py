@@ -197,7 +197,7 @@ def measured_sql(labels: dict, graph: str, k: int, budget: int | str, mapping: s
         ("tt", "SELECT CAST(count(*) AS DOUBLE) AS truth FROM tri"),
     ]
     said = ", ".join(f"{v!r} AS {name}" if isinstance(v, str) else f"CAST({v!r} AS {'DOUBLE' if isinstance(v, float) else 'INTEGER'}) AS {name}" for name, v in labels.items())
-    return "(" + chain(parts, f"SELECT {said}, count(*) AS trials, round(avg(est), 4) AS mean, round(stddev_samp(est) / sqrt(count(*)), 4) AS stderr, round(avg(abs(est - truth) / (truth + 1)), 6) AS error, round(avg((est - truth) * (est - truth)), 2) AS variance, max(truth) AS truth FROM gl, tt") + ")"
+    return "(" + chain(parts, f"SELECT {said}, count(*) AS trials, round(avg(est), 7) AS mean, round(stddev_samp(est) / sqrt(count(*)), 7) AS stderr, round(avg(abs(est - truth) / (truth + 1)), 9) AS error, round(avg((est - truth) * (est - truth)), 5) AS variance, max(truth) AS truth FROM gl, tt") + ")"
 
 
 def rows_sql(rows: list[str], columns: str) -> str:

@@ -327,5 +327,83 @@ def _(spark, d):
     return spark.range(1, 200).select(F.col("id").alias("l"), weight("id").alias("w"))
 
 
+def _written(fmt: str):
+    """Edges written and read back in one format; the text form goes through the edge-list reader."""
+
+    def run(spark, d):
+        from uuid import uuid4
+
+        from ..sources.edge_source import read_edge_list, write_result
+        from ..sources.tables import shared_root
+
+        path = f"{shared_root(spark)}/sink-{uuid4().hex}"
+        edges = stream(spark, d, "coactivity")
+        if fmt == "text":
+            write_result(edges.select(F.concat_ws(" ", "u", "v").alias("value")), path, "text")
+            return read_edge_list(spark, path).select("u", "v")
+        write_result(edges.select("u", "v"), path, fmt)
+        return read_edge_list(spark, path, fmt).select("u", "v")
+
+    return run
+
+
+_EDGES = f"SELECT u, v FROM ({stream_sql('coactivity')})"
+for _fmt in ("text", "csv", "json", "orc", "parquet"):
+    RELATIONAL[f"rel_sink_{_fmt}"] = (_written(_fmt), _EDGES)
+
+
+@op("sink_partitioned", f"SELECT CAST(u % 7 AS INTEGER) AS worker, count(*) AS n FROM ({_EDGES}) GROUP BY 1")
+def _(spark, d):
+    """A sink partitioned by worker; each worker's folder is read alone."""
+    from uuid import uuid4
+
+    from ..sources.edge_source import write_result
+    from ..sources.tables import shared_root
+
+    path = f"{shared_root(spark)}/sink-{uuid4().hex}"
+    write_result(stream(spark, d, "coactivity").select("u", "v", F.pmod("u", F.lit(7)).cast("int").alias("worker")), path, by=["worker"])
+    return spark.read.parquet(path).groupBy("worker").agg(F.count(F.lit(1)).alias("n"))
+
+
+@op("sink_bucketed", f"SELECT a.u, count(*) AS n FROM ({_EDGES}) a JOIN ({_EDGES}) b ON a.u = b.u GROUP BY a.u")
+def _(spark, d):
+    """Two reads of a bucketed table join without a shuffle."""
+    from uuid import uuid4
+
+    from ..sources.edge_source import write_bucketed
+    from ..sources.tables import shared_root
+
+    name = f"edges_{uuid4().hex}"
+    table = write_bucketed(stream(spark, d, "coactivity").select("u", "v"), name, "u", 8, f"{shared_root(spark)}/{name}")
+    return table.alias("a").join(table.alias("b"), "u").groupBy("u").agg(F.count(F.lit(1)).alias("n"))
+
+
+@op("source_edge_list", _EDGES)
+def _(spark, d):
+    """The Python data source over plain text files."""
+    from uuid import uuid4
+
+    from ..sources.edge_source import EdgeListSource, write_result
+    from ..sources.tables import shared_root
+
+    spark.dataSource.register(EdgeListSource)
+    path = f"{shared_root(spark)}/sink-{uuid4().hex}"
+    write_result(stream(spark, d, "coactivity").select(F.concat_ws(" ", "u", "v").alias("value")), path, "text")
+    return spark.read.format("edge_list").option("path", path.removeprefix("file://")).load().select("u", "v")
+
+
+@op("grouped_udf_median", f"SELECT w AS worker, n FROM (SELECT CAST(u % 7 AS INTEGER) AS w, median(v) AS n FROM ({_EDGES}) GROUP BY 1)")
+def _(spark, d):
+    """A grouped-aggregate pandas UDF."""
+    import pandas as pd
+
+    def middle(v):
+        return float(v.median())
+
+    middle.__annotations__ = {"v": pd.Series, "return": float}
+    udaf = F.pandas_udf(middle, "double")
+    return stream(spark, d, "coactivity").groupBy(F.pmod("u", F.lit(7)).cast("int").alias("worker")).agg(udaf("v").alias("n"))
+
+
 for _name, (_run, _text) in list(RELATIONAL.items()):
     RELATIONAL[_name] = (_run, _text or None)

@@ -24,7 +24,7 @@ OUT = "worker int, node bigint, hits bigint, num decimal(38,0), total boolean"
 
 def route(edges: DataFrame, mapping, k: int, seed: int = 0) -> DataFrame:
     """(ts, u, v, worker, own) messages of a stream of (ts, u, v)."""
-    both = with_workers(edges, mapping, k, seed)
+    both = edges if mapping == "given" else with_workers(edges, mapping, k, seed)
     to = F.when(F.col("fu") == F.col("fv"), F.array("fu")).otherwise(F.sequence(F.lit(0), F.lit(k - 1)))
     sent = both.select("ts", "u", "v", "fu", "fv", F.explode(to).alias("worker"))
     return sent.select("ts", "u", "v", "worker", ((F.col("worker") == F.col("fu")) | (F.col("worker") == F.col("fv"))).alias("own"))
@@ -61,7 +61,12 @@ def worker_step(budget: int, seed: int, lazy: bool):
 
 
 def estimate_stream(edges: DataFrame, k: int, budget: int, mapping="modulo", seed: int = 0, lazy: bool = False) -> DataFrame:
-    """Streaming updates (worker, node, hits, num, total); node -1 is the whole graph. Write in append or update mode."""
+    """Streaming updates (worker, node, hits, num, total); node -1 is the whole graph. Write in append or update mode.
+
+    Mappings: modulo, random, a node map or column function, or "given", where the stream has fu and fv; for the adaptive
+    one see ``estimate_adaptive_stream``."""
+    if isinstance(mapping, str) and mapping == "adaptive":
+        raise ValueError("the adaptive mapping needs a master before the workers: use estimate_adaptive_stream")
     sent = route(edges, mapping, k, seed)
     return sent.groupBy("worker").applyInPandasWithState(worker_step(budget, seed, lazy), OUT, "state binary", "update", GroupStateTimeout.NoTimeout)
 
@@ -91,20 +96,60 @@ def run_to_end(updates: DataFrame, path: str, checkpoint: str) -> DataFrame:
 class AdaptiveMaster:
     """Load-aware colouring across micro-batches: a batch's new nodes are coloured before it is routed.
 
-    For ``foreachBatch``: the colouring is sequential by nature, so the batch's edges pass the driver in order;
-    keep batches small or use ``adaptive_map(engine="epoch")`` on stored streams.
+    For ``foreachBatch``. Only the (u, v) pairs of a batch pass the driver, in order, as the rule is sequential; the colours
+    of their nodes go back as a table. Colours and loads are written beside the checkpoint after each batch, so a restart
+    goes on where the last finished batch ended, and a replayed batch is coloured from the same state.
     """
 
-    def __init__(self, k: int, theta: float = 0.2):
-        self.state = GreedyColours(k, theta)
+    def __init__(self, k: int, theta: float = 0.2, path: str | None = None):
+        self.k, self.theta, self.path, self.state = k, theta, path, GreedyColours(k, theta)
+
+    def resume(self, spark, batch: int) -> None:
+        """The state after the batch before ``batch``."""
+        self.state = GreedyColours(self.k, self.theta)
+        if batch > 0:
+            for row in spark.read.schema("kind string, id bigint, n bigint").parquet(f"{self.path}/after={batch - 1}").toLocalIterator():
+                if row["kind"] == "load":
+                    self.state.loads[row["id"]] = row["n"]
+                else:
+                    self.state.colour[row["id"]] = row["n"]
+
+    def save(self, spark, batch: int) -> None:
+        rows = [("load", i, n) for i, n in enumerate(self.state.loads)] + [("node", x, w) for x, w in self.state.colour.items()]
+        spark.createDataFrame(rows, "kind string, id bigint, n bigint").write.mode("overwrite").parquet(f"{self.path}/after={batch}")
 
     def colour_batch(self, batch: DataFrame) -> DataFrame:
         """``batch`` (ts, u, v) with fu, fv."""
-        rows = []
-        for r in batch.orderBy("ts", "u", "v").toLocalIterator():
+        nodes = {}
+        for r in batch.orderBy("ts", "u", "v").select("u", "v").toLocalIterator():
             cu, cv, _ = self.state.see(r["u"], r["v"])
-            rows.append((r["ts"], r["u"], r["v"], cu, cv))
-        return batch.sparkSession.createDataFrame(rows, "ts timestamp, u bigint, v bigint, fu int, fv int")
+            nodes[r["u"]], nodes[r["v"]] = cu, cv
+        table = batch.sparkSession.createDataFrame(list(nodes.items()), "node bigint, worker int")
+        return with_workers(batch, table, self.k).select("ts", "u", "v", "fu", "fv")
+
+
+def coloured_files(edges: DataFrame, k: int, theta: float, path: str, checkpoint: str) -> str:
+    """Run the adaptive master over a live stream; it writes routed edges (ts, u, v, fu, fv), one folder for each batch, from
+    which a second stream can read. Returns that folder."""
+    master = AdaptiveMaster(k, theta, f"{path}-state")
+
+    def colour(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        master.resume(spark, number)
+        master.colour_batch(batch).coalesce(1).write.mode("overwrite").parquet(f"{path}/batch={number:06d}")
+        master.save(spark, number)
+
+    edges.writeStream.foreachBatch(colour).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return path
+
+
+def estimate_adaptive_stream(edges: DataFrame, k: int, budget: int, path: str, checkpoint: str, theta: float = 0.2, seed: int = 0, lazy: bool = False) -> DataFrame:
+    """As ``estimate_stream`` with the adaptive mapping: a first query colours and routes batch by batch, a second one counts."""
+    spark = edges.sparkSession
+    routed = coloured_files(edges, k, theta, path, f"{checkpoint}-master")
+    schema = "ts timestamp, u bigint, v bigint, fu int, fv int"
+    ready = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(routed)
+    return estimate_stream(ready, k, budget, "given", seed, lazy)
 
 
 def stream_events(spark, sf_dir: str, path: str, files: int = 6) -> str:
