@@ -1,13 +1,18 @@
-"""One-edge-at-a-time reference of all policies, with the coins of the relational plan.
+"""One-edge-at-a-time form of all policies, with the coins of the relational plan.
 
-Used to check the plans; also the body of the streaming processor.
+Used to check the plans, as the body of the streaming processor, and as the strategy
+``kernel``, which enforces the storage limit: a task holds one worker's sample.
 """
 
 from __future__ import annotations
 
 from collections import Counter
 
+import pyarrow as pa
+from pyspark.sql import DataFrame, functions as F
+
 from ..functions.hashing import coin_value
+from .sampling import messages
 
 
 class Worker:
@@ -63,3 +68,30 @@ def simulate(edges: list[tuple[int, int, int]], k: int, budget: int, colour=None
         for i in store:
             workers[i].store(u, v)
     return hits, num
+
+
+def closures_by_kernel(edges: DataFrame, mapping, k: int, budget: int, seed: int = 0, trials: int = 1, map_seed: int = 0) -> DataFrame:
+    """(trial, worker, u, v, apex, t, load_before) in one pass over the messages of each worker, in order of time.
+
+    Cross edges are sent to all workers, as over a network, so the stream is shuffled up to k-fold; a task keeps at most
+    ``budget`` edges of one worker and trial."""
+    sent = messages(edges, mapping, k, map_seed).withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(trials - 1))))
+    names = ["trial", "worker", "u", "v", "apex", "t", "load_before"]
+
+    def run(batches):
+        current, state = None, None
+        for batch in batches:
+            out = {n: [] for n in names}
+            for trial, worker, t, u, v, own in zip(*[batch.column(c).to_pylist() for c in ("trial", "worker", "t", "u", "v", "assigned")]):
+                if (trial, worker) != current:
+                    current, state = (trial, worker), Worker(worker, budget, seed, trial)
+                for apex in state.count(u, v):
+                    for n, x in zip(names, (trial, worker, u, v, apex, t, state.load)):
+                        out[n].append(x)
+                if own:
+                    state.store(u, v)
+            kinds = [pa.int32(), pa.int32(), *[pa.int64()] * 5]
+            yield pa.RecordBatch.from_arrays([pa.array(out[n], kind) for n, kind in zip(names, kinds)], names)
+
+    ordered = sent.repartition(k * trials, "trial", "worker").sortWithinPartitions("trial", "worker", "t")
+    return ordered.mapInArrow(run, "trial int, worker int, u bigint, v bigint, apex bigint, t bigint, load_before bigint")

@@ -61,6 +61,7 @@ def routed():
         early = lambda spark, d, m=mapping: estimate_routed(stream(spark, d, "coactivity"), K, 10, m, seed=SEED, trials=6, strategy="triangle")
         add(f"routed_{mapping}_snapshots_trials_{g}", lambda spark, d, early=early: with_bigint(early(spark, d).snapshots([30, 60, 200])), sql.snapshot_sql(few, 10, 1, [30, 60, 200], 6))
         add(f"routed_{mapping}_local_snapshots_{g}", lambda spark, d, run=run: run(spark, d).snapshots(times, local=True), sql.local_snapshot_sql(parts, b, 1, times))
+        add(f"routed_{mapping}_kernel_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, trials=5, strategy="kernel").global_df), sql.global_sql(many, b, 1, 5))
         add(f"routed_{mapping}_probe_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, strategy="probe").global_df), sql.global_sql(parts, b, 1, 1))
         add(f"routed_{mapping}_trials_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, trials=5, strategy="triangle").global_df), sql.global_sql(many, b, 1, 5))
         add(f"routed_{mapping}_eager_{g}", lambda spark, d, run=run: with_bigint(run(spark, d, aggregation="eager", aggregators=4).global_df), sql.global_sql(parts, b, 1, 1))
@@ -235,7 +236,49 @@ def live():
     add(f"streaming_late_rows_{g}", scenarios.late, sql.chain(ranked, "SELECT count(*) AS edges, CAST(7 AS BIGINT) AS dropped FROM e"))
 
 
+def advice():
+    """Parameter advice, exactness by ample budgets, several masters, slopes and fits."""
+    from ..sources.streams import union_streams
+    from .planner import budget_fraction, recommend
+
+    g = "coactivity"
+    storages = (50, 3000, 10**6, 10**9)
+    rows = lambda spark, d: spark.createDataFrame([(m, n, *map(float, recommend(n, m, 100, 10**7).values())) for m in ("routed", "broadcast") for n in storages], "method string, storage bigint, k double, budget double, theta double")
+    add("recommended_parameters", rows, f"""WITH g AS (SELECT CAST(n AS BIGINT) AS storage FROM (VALUES {', '.join(f'({n})' for n in storages)}) v(n)),
+      r AS (SELECT storage, greatest(1, least(100, storage // 2)) AS k FROM g), c AS (SELECT storage, greatest(2, least(10000000, storage)) AS budget FROM g)
+      SELECT 'routed' AS method, storage, CAST(k AS DOUBLE) AS k, CAST(greatest(2, least(10000000, storage // k)) AS DOUBLE) AS budget, CAST(0.2 AS DOUBLE) AS theta FROM r
+      UNION ALL SELECT 'broadcast', storage, CAST(greatest(1, storage // budget) AS DOUBLE), CAST(budget AS DOUBLE), 0.0 FROM c""")
+    shares = lambda spark, d: spark.createDataFrame([(f, budget_fraction(stream(spark, d, g), f)) for f in (0.00001, 0.05, 1.0)], "fraction double, budget bigint")
+    add("budget_by_fraction", shares, sql.chain(sql.stream_parts(g), "SELECT CAST(f AS DOUBLE) AS fraction, greatest(2, CAST(floor((SELECT count(*) FROM e) * CAST(f AS DOUBLE)) AS BIGINT)) AS budget FROM (VALUES (0.00001), (0.05), (1.0)) v(f)"))
+
+    def ample(spark, d):
+        edges = stream(spark, d, g)
+        return estimate_routed(edges, K, analysis.exact_budget(edges, "modulo", K).first()["budget"], seed=SEED, strategy="wedge").global_df.select("est")
+
+    add(f"exact_by_ample_budget_{g}", ample, sql.chain(sql.triangle_parts(g), "SELECT CAST(count(*) AS DOUBLE) AS est FROM tri"))
+    masters = lambda spark, d: union_streams([stream(spark, d, g, "arrival").where(f"t % 3 = {i}") for i in range(3)])
+    add(f"edges_of_three_masters_{g}", masters, stream_sql(g, "arrival"))
+    points = "(VALUES ('a', 5, 4000.0), ('a', 10, 1100.0), ('a', 20, 260.0), ('b', 5, 900.0), ('b', 10, 470.0), ('b', 20, 210.0))"
+    table = lambda spark: spark.sql(f"SELECT col1 AS method, col2 AS k, CAST(col3 AS DOUBLE) AS variance FROM {points}")
+    add("variance_slopes", lambda spark, d: metrics.variance_slope(table(spark), ["method"]).select("method", F.round("slope", 9).alias("slope")), f"SELECT m AS method, round(regr_slope(ln(v), ln(k)), 9) AS slope FROM {points} t(m, k, v) GROUP BY m")
+    add("linearity_of_seconds", lambda spark, d: metrics.linearity(table(spark).selectExpr("variance AS seconds", "k AS edges")).select(F.round("r2", 9).alias("r2")), f"SELECT round(regr_r2(v, k), 9) AS r2 FROM {points} t(m, k, v)")
+    ratio = "seconds DOUBLE, error DOUBLE"
+    add("method_ratios", lambda spark, d: metrics.ratios(spark.createDataFrame([("routed", 2.0, 0.125), ("average", 9.0, 1.5), ("single", 1.0, 4.0)], f"method string, {ratio}"), "routed", ["seconds", "error"]), "SELECT m AS method, s / 2.0::DOUBLE AS seconds_ratio, x / 0.125::DOUBLE AS error_ratio FROM (VALUES ('routed', 2.0::DOUBLE, 0.125::DOUBLE), ('average', 9.0, 1.5), ('single', 1.0, 4.0)) t(m, s, x)")
+
+    def star(spark, d):
+        from ..operators.counting import probes, wedges
+
+        edges = stream(spark, d, g).select("t", F.lit(-1).cast("bigint").alias("u"), F.col("t").alias("v"))
+        held = reservoir(rank_in_worker(assign(edges, "modulo", K)), 10**6, SEED)
+        counts = probes(edges, held, "modulo", K).agg(F.count(F.lit(1)).alias("probes"))
+        load = assign(edges, "modulo", K).groupBy("worker").count().agg(F.max("count").alias("greatest_load"))
+        return counts.crossJoin(load)
+
+    add("star_counterexample", star, sql.chain(sql.stream_parts(g), "SELECT CAST(0 AS BIGINT) AS probes, count(*) AS greatest_load FROM e"))
+
+
 edges_and_truth()
+advice()
 live()
 routed()
 adaptive()

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..operators.aggregate import aggregate, snapshots, weigh
 from ..operators.counting import closures, closures_from_triangles, closures_probed, placed_triangles
+from ..operators.kernels import closures_by_kernel
 from ..operators.mapping import adaptive_map
 from ..operators.sampling import assign, everywhere, load_before, rank_in_worker, reservoir
 from ..schemas import require_edge_stream, require_parameters
@@ -58,6 +59,10 @@ def routed_closures(edges: DataFrame, k: int, budget: int, mapping, seed: int, t
     residency = reservoir(rank_in_worker(assigned), budget, seed, trials, coins)
     if strategy == "wedge":
         found = load_before(assigned, closures(edges, residency, mapping, k, seed, small))
+    elif strategy == "kernel":
+        if coins != "portable":
+            raise ValueError("the kernel draws portable coins")
+        found = closures_by_kernel(edges, mapping, k, budget, seed, trials, seed)
     elif strategy == "probe":
         found = load_before(assigned, closures_probed(edges, residency, mapping, k, seed))
     elif strategy == "triangle":
