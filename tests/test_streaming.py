@@ -63,6 +63,14 @@ def test_events_become_files(spark, tmp_path):
     assert spark.read.parquet(path).count() == 105
 
 
+def test_event_files_were_written_in_order_of_time(spark, tmp_path):
+    """A file stream takes files by their time of modification, so it must follow the events' own time."""
+    path = stream_events(spark, "/root/testdata/sf0.01", str(tmp_path / "ev"))
+    files = sorted((f for f in (tmp_path / "ev").iterdir() if f.name.endswith(".parquet")), key=lambda f: f.stat().st_mtime_ns)
+    spans = [spark.read.parquet(str(f)).agg(F.min("ts"), F.max("ts")).first() for f in files]
+    assert len(files) == 6 and all(a[1] < b[0] for a, b in zip(spans, spans[1:]))
+
+
 def test_adaptive_stream_equals_kernel_across_an_interruption(spark, tmp_path):
     """The third file comes only after a first run ended; both queries go on from their checkpoints."""
     import shutil
