@@ -40,3 +40,12 @@ def test_plans_read_few_columns_and_have_no_cartesian_product(spark):
     assert "l_extendedprice" not in plan and "l_partkey" in plan
     pruned = catalog.queries()["rel_scan_pruned"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull" in pruned
+
+
+def test_redundancy_counts_the_complete_graph(spark):
+    """Four nodes and one edge: all six pairs count, of which (0, 2) and (1, 3) lie inside a worker."""
+    from trianglestream.operators.analysis import complete_redundancy
+
+    rows = spark.createDataFrame([(1, 0, 1), (2, 2, 3)], "t bigint, u bigint, v bigint")
+    assert complete_redundancy(rows, "modulo", 2).first()["twice"] == 4
+    assert complete_redundancy(rows.limit(0), "modulo", 2).first()["twice"] == 0
