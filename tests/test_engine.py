@@ -322,3 +322,20 @@ def test_claims_of_the_workloads(spark):
 def test_ratios_of_methods(spark):
     rows = spark.createDataFrame([("a", 2.0, 0.5), ("b", 6.0, 0.25)], "method string, seconds double, error double")
     assert {tuple(r) for r in metrics.ratios(rows, "a", ["seconds", "error"]).collect()} == {("a", 1.0, 1.0), ("b", 3.0, 0.5)}
+
+
+def test_nearest_vectors_by_blocks(spark, tmp_path):
+    """Against all pairs, with many copies, vectors that differ below the rounding, a null vector and one with a null component."""
+    import math
+
+    from trianglestream.sources.graphs import knn
+
+    draw = random.Random(4)
+    vectors = [[draw.gauss(0, 1) for _ in range(5)] for _ in range(60)] + [[1.0, 2.0, 3.0, 4.0, 5.0]] * 30 + [[1.0, 2.0, 3.0, 4.0, 5.0 + i * 1e-7] for i in range(30)]
+    rows = [(i * 3, x) for i, x in enumerate(vectors)] + [(1, None), (2, [1.0, None, 0.0, 0.0, 0.0])]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    dot = lambda a, b: sum(p * q for p, q in zip(a, b))
+    score = lambda a, b: -math.inf if a is None or b is None or None in a or None in b else round(dot(a, b) / (math.sqrt(dot(a, a)) * math.sqrt(dot(b, b))), 9)
+    want = {(u, v) for u, x in rows for _, v in sorted((-score(x, y), v) for v, y in rows if v != u)[:10]}
+    got = {(r["u"], r["v"]) for r in knn(spark, str(tmp_path)).collect()}
+    assert got == want
