@@ -324,6 +324,22 @@ def test_ratios_of_methods(spark):
     assert {tuple(r) for r in metrics.ratios(rows, "a", ["seconds", "error"]).collect()} == {("a", 1.0, 1.0), ("b", 3.0, 0.5)}
 
 
+def test_cliques_are_counted_without_their_edges(spark):
+    """Groups of members of their own in closed form, groups that share a member by their links; nulls take no part."""
+    from trianglestream.operators.exact import exact_global, exact_local, grouped_global, grouped_local
+    from trianglestream.sources.graphs import _sharing, split_groups
+    from trianglestream.sources.streams import edge_stream
+
+    rows = [(i, "a") for i in range(5)] + [(i, "b") for i in range(5, 8)] + [(8, "c"), (8, "d"), (9, "c"), (10, "c"), (10, "d"), (11, "d")] + [(0, "a"), (None, "a"), (12, None), (13, "e")]
+    df = spark.createDataFrame(rows, "id bigint, key string")
+    edges = edge_stream(_sharing(df, None))
+    assert grouped_global(*split_groups(df)).first()["n"] == exact_global(edges).first()["n"] == 10 + 1 + 2
+    assert sorted(grouped_local(*split_groups(df)).collect()) == sorted(exact_local(edges).collect())
+    groups, pairs = split_groups(df)
+    assert {r["key"] for r in groups.collect()} == {"a", "b", "e"} and pairs.where("u < 8").isEmpty()
+    assert grouped_global(*split_groups(df.limit(0))).first()["n"] == 0
+
+
 def test_nearest_vectors_by_blocks(spark, tmp_path):
     """Against all pairs, with many copies, vectors that differ below the rounding, a null vector and one with a null component."""
     import math
