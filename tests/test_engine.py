@@ -355,3 +355,10 @@ def test_nearest_vectors_by_blocks(spark, tmp_path):
     want = {(u, v) for u, x in rows for _, v in sorted((-score(x, y), v) for v, y in rows if v != u)[:10]}
     got = {(r["u"], r["v"]) for r in knn(spark, str(tmp_path)).collect()}
     assert got == want
+
+
+def test_each_setting_of_a_workload_is_planned_alone(spark):
+    """A grid's plan is the union of written rows, without the stages that made them."""
+    plan = experiments.variance_by_workers(spark, "/root/testdata/sf0.001", ks=(2, 3), budget=20, trials=3)
+    single = experiments._union([spark.range(3).groupBy((F.col("id") % 2).alias("x")).count()] * 2)
+    assert "Exchange" not in single._jdf.queryExecution().executedPlan().toString() and plan.count() == 6
