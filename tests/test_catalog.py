@@ -62,3 +62,12 @@ def test_redundancy_counts_the_complete_graph(spark):
     rows = spark.createDataFrame([(1, 0, 1), (2, 2, 3)], "t bigint, u bigint, v bigint")
     assert complete_redundancy(rows, "modulo", 2).first()["twice"] == 4
     assert complete_redundancy(rows.limit(0), "modulo", 2).first()["twice"] == 0
+
+
+def test_ample_budget_joins_no_wedges_of_samples(spark, monkeypatch):
+    """Samples that hold the stream have a wedge for each pair of its edges at a node; true triangles are far fewer."""
+    from trianglestream.plans import estimators
+
+    monkeypatch.setattr(estimators, "closures", None)
+    truth = catalog.queries()["exact_global_coactivity"](spark, SF).first()["n"]
+    assert catalog.queries()["exact_by_ample_budget_coactivity"](spark, SF).first()["est"] == truth
