@@ -71,3 +71,19 @@ def test_ample_budget_joins_no_wedges_of_samples(spark, monkeypatch):
     monkeypatch.setattr(estimators, "closures", None)
     truth = catalog.queries()["exact_global_coactivity"](spark, SF).first()["n"]
     assert catalog.queries()["exact_by_ample_budget_coactivity"](spark, SF).first()["est"] == truth
+
+
+@pytest.mark.parametrize("name", ["epoch_map_coactivity", "routed_epoch_global_coactivity", "routed_epoch_global_copurchase", "routed_adaptive_global_coactivity"])
+def test_adaptive_mappings_read_a_written_stream(spark, monkeypatch, name):
+    """Epochs read the stream again and again; a plan over the given tables would build it as often."""
+    seen = []
+
+    def noted(edges, *args, **options):
+        seen.append(edges)
+        raise StopIteration
+
+    monkeypatch.setattr(catalog, "adaptive_map", noted)
+    monkeypatch.setattr(catalog, "estimate_routed", noted)
+    with pytest.raises(StopIteration):
+        catalog.queries()[name](spark, SF)
+    assert seen[0].inputFiles() and not any("/root/testdata" in f for f in seen[0].inputFiles())
