@@ -87,3 +87,32 @@ def test_adaptive_mappings_read_a_written_stream(spark, monkeypatch, name):
     with pytest.raises(StopIteration):
         catalog.queries()[name](spark, SF)
     assert seen[0].inputFiles() and not any("/root/testdata" in f for f in seen[0].inputFiles())
+
+
+@pytest.mark.parametrize("colours", [3, 5])
+def test_counts_by_blocks_equal_brute_force(spark, colours):
+    """Loops, repeats in both directions and nulls do not count; a hub meets all nodes; ids may be large or negative."""
+    import random
+
+    from trianglestream.operators.blocks import counted
+
+    draw = random.Random(colours)
+    pairs = [(draw.randrange(60) * 10**15 - 3, draw.randrange(60) * 10**15 - 3) for _ in range(900)] + [(-(2**62), i * 10**15 - 3) for i in range(60)]
+    edges = {(min(e), max(e)) for e in pairs if e[0] != e[1]}
+    near = {}
+    for u, v in edges:
+        near.setdefault(u, set()).add(v)
+        near.setdefault(v, set()).add(u)
+    found = [(u, v, w) for u, v in edges for w in near[u] & near[v] if w > v]
+    want = {x: sum(x in t for t in found) for x in near}
+    rows = spark.createDataFrame(pairs + [(v, u) for u, v in pairs[:100]] + [(None, 1), (2, None)], "u bigint, v bigint")
+    assert counted(rows, colours=colours).first()["n"] == len(found)
+    assert {r["node"]: r["n"] for r in counted(rows, True, colours).collect()} == {x: n for x, n in want.items() if n}
+    assert counted(rows.limit(0)).first()["n"] == 0 and counted(rows.limit(0), True).count() == 0
+
+
+@pytest.mark.parametrize("name", ["exact_global_copurchase", "exact_local_copurchase", "exact_global_tripartite", "exact_local_tripartite"])
+def test_large_exact_counts_shuffle_no_wedges(spark, con, monkeypatch, name):
+    """Open wedges of these graphs are many times their edges."""
+    monkeypatch.setattr(catalog.exact, "triangles", None)
+    assert same(catalog.queries()[name](spark, SF), con, catalog.oracle_sql()[name])
