@@ -7,6 +7,7 @@ import pytest
 from helpers import duck, same
 from trianglestream.functions.coins import Coins
 from trianglestream.functions.hashing import coin_value
+from trianglestream.operators import sampling
 from trianglestream.plans import experiments, oracles as sql
 
 SF = "/root/testdata/sf0.001"
@@ -36,3 +37,13 @@ def test_coins_in_arrays_equal_md5(prefix, low, high, most):
     want = [(r, math.floor(coin_value(*prefix.split(":")[:3], r) * r) + 1) for r in range(low, high)]
     rank, slot = Coins().slots_within(prefix, low, high, most)
     assert list(zip(rank.tolist(), slot.tolist())) == [x for x in want if x[1] <= most]
+
+
+def test_variance_draws_no_row_for_each_coin(spark, con, monkeypatch):
+    """Rows of edges, trials and workers are too many at size."""
+    for module, name in ((sampling, "accepted"), (experiments, "estimate_routed"), (experiments, "estimate_broadcast")):
+        monkeypatch.setattr(module, name, None)
+    got = experiments.variance_by_workers(spark, SF, ks=(3, 5), budget=40, trials=7)
+    names = (("routed_modulo", "modulo"), ("routed_adaptive", "adaptive"), ("broadcast_avg", "broadcast"))
+    rows = [sql.measured_sql({"method": name, "k": k}, "coactivity", k, 40, m, 2, 7) for k in (3, 5) for name, m in names]
+    assert same(got.drop("slope"), con, sql.rows_sql(rows, "method, k, trials, mean, stderr, error, variance, truth"))
