@@ -47,3 +47,19 @@ def test_variance_draws_no_row_for_each_coin(spark, con, monkeypatch):
     names = (("routed_modulo", "modulo"), ("routed_adaptive", "adaptive"), ("broadcast_avg", "broadcast"))
     rows = [sql.measured_sql({"method": name, "k": k}, "coactivity", k, 40, m, 2, 7) for k in (3, 5) for name, m in names]
     assert same(got.drop("slope"), con, sql.rows_sql(rows, "method, k, trials, mean, stderr, error, variance, truth"))
+
+
+def test_parts_of_a_stream_make_their_wedges_once(spark, monkeypatch):
+    """A plan that weighs discoveries reads them more than once; each reading made and moved all wedges again."""
+    from trianglestream.plans.estimators import estimate_routed
+    from trianglestream.sources.graphs import stream
+
+    seen, loads = [], experiments.load_before
+    monkeypatch.setattr(experiments, "load_before", lambda assigned, found: seen.append(found) or loads(assigned, found))
+    rows = experiments.scalability_prefix(spark, SF, graph="coactivity", fractions=(0.5, 1.0), k=4).collect()
+    assert len(seen) == 2 and all("Join" not in df._jdf.queryExecution().executedPlan().toString() for df in seen)
+    edges = stream(spark, SF, "coactivity")
+    n = edges.count()
+    for r in rows:
+        part = edges.where(f"t <= {r['edges']}")
+        assert r["est"] == estimate_routed(part, 4, max(2, int(n * 0.02)), seed=5, strategy="wedge").global_df.first()["est"]
