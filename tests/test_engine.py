@@ -362,3 +362,74 @@ def test_each_setting_of_a_workload_is_planned_alone(spark):
     plan = experiments.variance_by_workers(spark, "/root/testdata/sf0.001", ks=(2, 3), budget=20, trials=3)
     single = experiments._union([spark.range(3).groupBy((F.col("id") % 2).alias("x")).count()] * 2)
     assert "Exchange" not in single._jdf.queryExecution().executedPlan().toString() and plan.count() == 6
+
+
+def test_hashes_of_pairs_in_arrays_equal_md5():
+    """All lengths of ids, signs and the greatest and least ones, so all places of v's first digit in its word."""
+    import hashlib
+
+    import numpy as np
+    from trianglestream.sources.cliques import Hashes, in_order, pack_ids, unpack_ids
+
+    draw = random.Random(3)
+    ids = np.array(sorted({-(2**63), 2**63 - 1, 0, *(s * (10**k - d) for k in range(19) for d in (0, 1) for s in (1, -1))}), np.int64)
+    i, j = (np.array([draw.randrange(len(ids)) for _ in range(4000)], np.int32) for _ in range(2))
+    text = [hashlib.md5(f"s{ids[a]},{ids[b]}".encode()).hexdigest() for a, b in zip(i, j)]
+    assert Hashes(ids).leading(i, j, 2).tolist() == [int(x[:16], 16) for x in text]
+    assert Hashes(ids).leading(i, j, 1).tolist() == [int(x[:8], 16) for x in text]
+    assert [text[x] for x in in_order(ids, i, j)] == sorted(text)
+    assert unpack_ids(pack_ids(ids)).tolist() == ids.tolist() and unpack_ids(pack_ids(ids[:1])).tolist() == ids[:1].tolist()
+
+
+def test_equal_leading_bits_are_settled_by_the_whole_hash(monkeypatch):
+    import hashlib
+
+    import numpy as np
+    from trianglestream.sources import cliques
+
+    real = cliques.Hashes.leading
+    monkeypatch.setattr(cliques.Hashes, "leading", lambda self, i, j, words: real(self, i, j, words) >> np.uint64(60))
+    ids, (i, j) = np.arange(30), np.triu_indices(30, 1)
+    text = [hashlib.md5(f"s{a},{b}".encode()).hexdigest() for a, b in zip(i, j)]
+    assert [text[x] for x in cliques.in_order(ids, i, j)] == sorted(text)
+
+
+@pytest.mark.parametrize("edges,side", [(1500, 40), (200, 1000), (10**6, 2048)])
+def test_stream_of_cliques_equals_the_stream_of_their_pairs(spark, edges, side):
+    """Cells coded by themselves and small ones gathered, groups that share members, nulls and negative ids."""
+    from trianglestream.sources.cliques import clique_stream
+    from trianglestream.sources.graphs import _sharing
+
+    rows = [(i * 37 - 900, "a") for i in range(130)] + [(10**15 + i, f"b{i // 3}") for i in range(60)] + [(-(2**62) + i, "c") for i in range(20)] + [(-(2**62) + i, "d") for i in range(15, 40)]
+    rows += [(-900, "c"), (-863, "c"), (10**15, "a"), (10**15 + 1, "a")]  # pairs that meet twice, inside other cliques
+    df = spark.createDataFrame([*rows, *rows[:9], (None, "a"), (7, None), (8, "alone")], "id bigint, key string")
+    found, want = clique_stream(df, edges, side), edge_stream(_sharing(df, None))
+    assert sorted(found.collect()) == sorted(want.collect()) and found.count() > 8385
+    assert clique_stream(df.limit(0), edges, side).isEmpty()
+
+
+def test_cells_send_few_bytes_an_edge():
+    """A cell of two blocks of 1,000 ids gives each part its share in about a byte an edge, and the two blocks."""
+    import numpy as np
+    import pyarrow as pa
+    from trianglestream.sources.cliques import _cell_packer
+
+    ids = np.arange(2000) * 11
+    batch = pa.RecordBatch.from_arrays([pa.array([ids[:1000], ids[:2]]), pa.array([ids[1000:], ids[:2]])], ["us", "vs"])
+    cell, small = list(_cell_packer(20)([batch]))
+    assert sum(cell.column("n").to_pylist()) == 10**6 and sum(small.column("n").to_pylist()) == 1 and small.column("us").null_count == 1
+    assert cell.num_rows == 20 and cell.nbytes < 1.2 * 10**6
+
+
+def test_host_links_are_not_shuffled(spark, monkeypatch):
+    """Edges of large hosts are too many to move with their ids and keys of order."""
+    from helpers import duck, same
+    from trianglestream.plans import catalog
+    from trianglestream.sources import graphs
+
+    monkeypatch.setattr(graphs, "edge_stream", None)
+    sf = "/root/testdata/sf0.01"
+    stream = catalog.queries()["edges_hostlinks"](spark, sf)
+    assert same(stream, duck(sf), catalog.oracle_sql()["edges_hostlinks"])
+    plan = stream._jdf.queryExecution().executedPlan().toString()
+    assert "ReusedExchange [part" in plan[: plan.index("Initial Plan")]  # counted and sorted from one exchange
