@@ -63,3 +63,41 @@ def test_parts_of_a_stream_make_their_wedges_once(spark, monkeypatch):
     for r in rows:
         part = edges.where(f"t <= {r['edges']}")
         assert r["est"] == estimate_routed(part, 4, max(2, int(n * 0.02)), seed=5, strategy="wedge").global_df.first()["est"]
+
+
+@pytest.mark.parametrize("edges_of_a_cell", [1 << 21, 300])
+def test_triangles_are_listed_without_moved_wedges(spark, monkeypatch, edges_of_a_cell):
+    """Wedges of all edges, shuffled, are many times the disk at size."""
+    from trianglestream.operators import exact, lookups
+    from trianglestream.sources.graphs import stream
+
+    monkeypatch.setattr(lookups, "EDGES", edges_of_a_cell)
+    edges = experiments.pin(stream(spark, SF, "coactivity"), "stream")
+    got = lookups.listed(edges)
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+    want = sorted(map(tuple, exact.triangles(edges).collect()))
+    assert len(want) > 100 and sorted(map(tuple, got.collect())) == want
+
+
+def test_sums_of_samples_in_arrays_equal_residency(spark):
+    """Also loads whose sums pass 64 bits, workers without a triangle, and budgets beyond a worker's edges."""
+    import numpy as np
+    from trianglestream.operators import lookups
+    from trianglestream.plans.estimators import estimate_routed
+    from trianglestream.sources.graphs import stream
+
+    assert lookups._sum_of_pairs(np.full(10, 3_000_000_000, np.int64)) == 10 * 3_000_000_000 * 2_999_999_999
+    edges = stream(spark, SF, "coactivity")
+    assigned, placed = experiments._placed(edges, lookups.listed(edges), "modulo", 40, 3)
+    for b in (2, 30, 10_000):
+        want = estimate_routed(edges, 40, b, seed=3, trials=4, strategy="triangle").global_df.collect()
+        sums = lookups.held_sums(placed, assigned, 40, [b, 5], 3, 4).where(f"budget = {b}").groupBy("trial").agg({"hit": "sum", "num": "sum"}).collect()
+        assert {r[0]: (r["sum(hit)"], r["sum(num)"]) for r in sums} == {r["trial"]: (r["hits"], r["num"]) for r in want}
+
+
+def test_average_by_budget_runs_as_many_trials_as_the_others(spark, monkeypatch):
+    """It had a tenth of them."""
+    seen = {}
+    monkeypatch.setattr(experiments, "effect_of_budget", lambda spark, d, **given: seen.update(given))
+    experiments.WORKLOADS["w7_effect_of_budget"](spark, SF)
+    assert seen["averaged"] == 30
