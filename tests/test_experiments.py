@@ -101,3 +101,21 @@ def test_average_by_budget_runs_as_many_trials_as_the_others(spark, monkeypatch)
     monkeypatch.setattr(experiments, "effect_of_budget", lambda spark, d, **given: seen.update(given))
     experiments.WORKLOADS["w7_effect_of_budget"](spark, SF)
     assert seen["averaged"] == 30
+
+
+@pytest.mark.parametrize("mapping", [None, "modulo"])
+def test_small_streams_go_to_the_samples_without_a_broadcast(spark, monkeypatch, mapping):
+    """The driver held the stream to broadcast it."""
+    from trianglestream.operators import lookups
+    from trianglestream.operators.counting import closures
+    from trianglestream.sources.graphs import stream
+
+    monkeypatch.setattr(lookups, "FOUND", 1 << 12)
+    edges = experiments.pin(stream(spark, SF, "coactivity"), "stream")
+    ranked = sampling.everywhere(edges, 4) if mapping is None else sampling.rank_in_worker(sampling.assign(edges, mapping, 4, 2))
+    held = experiments.pin(sampling.reservoir(ranked, 120, 2, 3), "held")
+    small = closures(edges, held, mapping, 4, 2, small=True)
+    plan = small._jdf.queryExecution().executedPlan().toString()
+    assert "Broadcast" not in plan and "Join" not in plan
+    want = sorted(map(tuple, closures(edges, held, mapping, 4, 2).collect()))
+    assert len(want) > 50 and sorted(map(tuple, small.collect())) == want
