@@ -103,6 +103,19 @@ def test_average_by_budget_runs_as_many_trials_as_the_others(spark, monkeypatch)
     assert seen["averaged"] == 30
 
 
+def test_average_by_true_triangles_equals_wedges(spark):
+    """Also its sums by node; the whole graph's come without a row for each discovery."""
+    from trianglestream.plans.estimators import estimate_broadcast
+    from trianglestream.sources.graphs import stream
+
+    edges = experiments.pin(stream(spark, SF, "coactivity"), "stream")
+    one, two = (estimate_broadcast(edges, 3, 60, 5, 4, strategy=s) for s in ("wedge", "triangle"))
+    rows = sorted(map(tuple, one.global_df.collect()))
+    assert any(r[2] for r in rows) and sorted(map(tuple, two.global_df.collect())) == rows
+    assert "MapInArrow" in two.global_df._jdf.queryExecution().optimizedPlan().toString()
+    assert sorted(map(tuple, one.local_df.collect())) == sorted(map(tuple, two.local_df.collect()))
+
+
 @pytest.mark.parametrize("mapping", [None, "modulo"])
 def test_small_streams_go_to_the_samples_without_a_broadcast(spark, monkeypatch, mapping):
     """The driver held the stream to broadcast it."""
