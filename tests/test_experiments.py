@@ -132,3 +132,23 @@ def test_small_streams_go_to_the_samples_without_a_broadcast(spark, monkeypatch,
     assert "Broadcast" not in plan and "Join" not in plan
     want = sorted(map(tuple, closures(edges, held, mapping, 4, 2).collect()))
     assert len(want) > 50 and sorted(map(tuple, small.collect())) == want
+
+
+def _first_call(monkeypatch, module, name, run):
+    seen = []
+
+    def spied(*args, **given):
+        seen.append((args, given))
+        raise StopIteration
+
+    monkeypatch.setattr(module, name, spied)
+    with pytest.raises(StopIteration):
+        run()
+    return seen[0]
+
+
+def test_single_machine_coin_meets_the_stream_in_tasks(spark, monkeypatch):
+    """Its wedges of all trials were joined with the stream."""
+    from trianglestream.operators import baselines
+
+    assert _first_call(monkeypatch, baselines, "closures", lambda: experiments.single_machine(spark, SF, trials=2))[1] == {"small": True}
