@@ -152,3 +152,10 @@ def test_single_machine_coin_meets_the_stream_in_tasks(spark, monkeypatch):
     from trianglestream.operators import baselines
 
     assert _first_call(monkeypatch, baselines, "closures", lambda: experiments.single_machine(spark, SF, trials=2))[1] == {"small": True}
+
+
+def test_speed_accuracy_meets_the_stream_in_tasks(spark, monkeypatch):
+    """Joins of wedges by each of nine methods held more than the driver has."""
+    from trianglestream.plans import estimators
+
+    assert _first_call(monkeypatch, estimators, "closures", lambda: experiments.speed_accuracy(spark, SF))[0][5] is True
