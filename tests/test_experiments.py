@@ -159,3 +159,9 @@ def test_speed_accuracy_meets_the_stream_in_tasks(spark, monkeypatch):
     from trianglestream.plans import estimators
 
     assert _first_call(monkeypatch, estimators, "closures", lambda: experiments.speed_accuracy(spark, SF))[0][5] is True
+
+
+def test_workers_effect_lists_triangles_once(spark, monkeypatch):
+    """Each of its ten settings listed them by joins."""
+    given = _first_call(monkeypatch, experiments, "estimate_routed", lambda: experiments.effect_of_k(spark, SF, ks=(3,)))[1]
+    assert given["strategy"] == "triangle" and given["found"].inputFiles()
