@@ -139,10 +139,10 @@ def _first_call(monkeypatch, module, name, run):
 
     def spied(*args, **given):
         seen.append((args, given))
-        raise StopIteration
+        raise InterruptedError
 
     monkeypatch.setattr(module, name, spied)
-    with pytest.raises(StopIteration):
+    with pytest.raises(InterruptedError):
         run()
     return seen[0]
 
